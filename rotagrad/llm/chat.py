@@ -19,6 +19,7 @@ is a conversation; an empty table gives an empty table; other columns are ignore
 from __future__ import annotations
 
 import hashlib
+import os
 import re
 from collections.abc import Iterator
 
@@ -27,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-PART = 1 << 21
+PART = 1 << 17
 CLOSE = "</turn>\n"
 _TEXT = re.compile(r"\\|#(?=##)|<(?=/turn>)")
 _ROLE = re.compile(r"\\|:|#(?=##)|<(?=/turn>)")
@@ -72,6 +73,7 @@ def loss_mask(starts: np.ndarray, ends: np.ndarray, spans: list[tuple[int, int]]
 
 
 def encoder(data: str):
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark's tasks are the parallelism
     from tokenizers import Tokenizer
     from tokenizers.processors import ByteLevel
 
