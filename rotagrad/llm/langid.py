@@ -43,11 +43,20 @@ def vocabulary(model: bytes) -> list[str]:
     return sorted({p for p in pieces if p == p.lower() and len(p) <= LONGEST_PIECE})
 
 
+#: A string that begins some piece but is none, and one that no piece begins with.
+PREFIX, NO_PIECE = -1, -2
+
+def with_prefixes(pieces: list[str]) -> dict[str, int]:
+    """Numbers of pieces; PREFIX for strings that only begin one."""
+    return {p[:n]: PREFIX for p in pieces for n in range(1, len(p))} | {p: i for i, p in enumerate(pieces)}
+
+
 class Lattices:
     """All segmentations of many words: edges from start to end, grouped by end."""
 
-    def __init__(self, words: list[str], index: dict[str, int]):
-        unknown, known = len(index), index.get
+    def __init__(self, words: list[str], index: dict[str, int], unknown: int):
+        """index: as ``with_prefixes`` makes it; unknown: the number for characters without a piece."""
+        known = index.get
         self.n = len(words)
         lengths, w_of, start_of, end_of, piece_of = [], [], [], [], []
         for w, word in enumerate(words):
@@ -55,11 +64,16 @@ class Lattices:
             lengths.append(n)
             for i in range(n):
                 for j in range(i + 1, min(n, i + LONGEST_PIECE) + 1):
-                    p = known(word[i:j])
-                    if p is None:
-                        if j > i + 1:
-                            continue
-                        p = unknown
+                    p = known(word[i:j], NO_PIECE)
+                    if p < 0:
+                        if j == i + 1:
+                            w_of.append(w)
+                            start_of.append(i)
+                            end_of.append(j)
+                            piece_of.append(unknown)
+                        if p == NO_PIECE:
+                            break
+                        continue
                     w_of.append(w)
                     start_of.append(i)
                     end_of.append(j)
@@ -111,7 +125,7 @@ class Model:
     @classmethod
     def fit(cls, counts: list[tuple[str, str, int]], pieces: list[str], rounds: int = 4, smooth: float = 0.05) -> Model:
         """counts: (language, word, occurrences)."""
-        index = {p: i for i, p in enumerate(pieces)}
+        index = with_prefixes(pieces)
         languages = sorted({c[0] for c in counts})
         out = np.zeros((len(languages), len(pieces) + 1))
         for k, lang in enumerate(languages):
@@ -120,7 +134,7 @@ class Model:
                 for s in stretches(word):
                     tally[s] = tally.get(s, 0) + n
             words = sorted(tally)
-            lattices, n = Lattices(words, index), np.array([tally[w] for w in words], float)
+            lattices, n = Lattices(words, index, len(pieces)), np.array([tally[w] for w in words], float)
             p = np.full(len(pieces) + 1, 1 / len(pieces))
             p[-1] = UNKNOWN_SHARE
             for _ in range(rounds):
@@ -133,10 +147,10 @@ class Model:
 
 
 class Scorer:
-    LIMIT = 200_000
+    LIMIT = 400_000
 
     def __init__(self, model: Model):
-        self.model, self.index = model, {p: i for i, p in enumerate(model.pieces)}
+        self.model, self.index = model, with_prefixes(model.pieces)
         self.clear()
 
     def clear(self) -> None:
@@ -150,7 +164,7 @@ class Scorer:
             own = stretches(w)
             parts += own
             owner += [k] * len(own)
-        lattices = Lattices(parts, self.index)
+        lattices = Lattices(parts, self.index, len(self.model.pieces))
         new = np.stack([np.bincount(owner, np.log(np.maximum(lattices.likelihood(p), 1e-300)), len(words)) for p in self.model.probabilities], axis=1)
         first = len(self.rows)
         while len(self.logs) < first + len(words):
