@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rotagrad.llm.common import one_per_worker
+
 #: Code-point classes.  MID: white space before white space or the end; LAST_SP, LAST_WS:
 #: a space, or other white space, before anything else; SHORT, LONG: an apostrophe that
 #: may open a contraction of one or two letters; END: between two texts.
@@ -253,16 +255,14 @@ def read_ranks(data: bytes) -> dict[bytes, int]:
     return {base64.b64decode(a): int(b) for a, b in map(bytes.split, data.splitlines()) if a}
 
 
-_codecs: dict[str, Codec] = {}
-
-
 def codec(shared) -> Codec:
-    """The worker's codec for a shared vocabulary; only the last one used is kept."""
-    if shared.id not in _codecs:
+    """The worker's codec for a shared vocabulary."""
+
+    def make() -> Codec:
         data, table = shared.value
-        _codecs.clear()
-        _codecs[shared.id] = Codec(read_ranks(data), np.frombuffer(table, np.uint8))
-    return _codecs[shared.id]
+        return Codec(read_ranks(data), np.frombuffer(table, np.uint8))
+
+    return one_per_worker(shared.id, make)
 
 
 class _Shared:

@@ -34,3 +34,14 @@ def word_count(text: Column) -> Column:
 def crc_bucket(doc_id: Column, n: int) -> Column:
     """crc32 of the id written as text, modulo n; a null id counts as empty text."""
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % n
+
+
+_kept: dict[str, object] = {}
+
+
+def one_per_worker(tag: str, make):
+    """A worker's model or codec by tag; making another one lets the last go, so caches never add up."""
+    if tag not in _kept:
+        _kept.clear()
+        _kept[tag] = make()
+    return _kept[tag]

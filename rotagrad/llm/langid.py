@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from rotagrad.llm.common import one_per_worker
+
 WORDS = re.compile(r"[^\W\d_]+")
 #: Longer words are scored in stretches of this many characters.
 STRETCH = 24
@@ -216,9 +218,6 @@ def train(labelled: DataFrame, vocabulary_path: str, id_col: str = "doc_id", tex
     return Model.fit([tuple(r) for r in words.groupBy("l", "w").count().collect()], pieces)
 
 
-_scorers: dict[str, Scorer] = {}
-
-
 def identify(df: DataFrame, model: Model, text_col: str = "text", lang_out: str = "lang_pred", score_out: str = "score") -> DataFrame:
     """All columns of ``df`` and the prediction; names that clash with the outputs are the caller's to rename."""
     import hashlib
@@ -228,11 +227,9 @@ def identify(df: DataFrame, model: Model, text_col: str = "text", lang_out: str
     where, names = df.columns.index(text_col), [*df.columns, lang_out, score_out]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if tag not in _scorers:
-            _scorers.clear()
-            _scorers[tag] = Scorer(shared.value)
+        scorer = one_per_worker(tag, lambda: Scorer(shared.value))
         for batch in batches:
-            lang, score = _scorers[tag].predict(batch.column(where).to_pylist())
+            lang, score = scorer.predict(batch.column(where).to_pylist())
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())], names)
 
     from pyspark.sql import types as T
