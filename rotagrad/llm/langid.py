@@ -189,7 +189,7 @@ class Scorer:
         seen = set().union(*texts) if texts else set()
         if len(self.rows) + len(seen) > self.LIMIT:
             self.clear()
-        if new := sorted(seen - self.rows.keys()):
+        if self.model.languages and (new := sorted(seen - self.rows.keys())):
             self.learn(new)
         languages, get = self.model.languages, self.rows.__getitem__
         for words in texts:
