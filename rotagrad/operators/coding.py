@@ -12,13 +12,21 @@ from rotagrad.functions import prf
 
 def latencies(spark: SparkSession, servers: int, steps: int, key: str = "latency") -> DataFrame:
     """(t, server_id, latency, rank): keyed exponential answers; ranked inside each step."""
-    grid = spark.range(steps).select(F.col("id").cast("int").alias("t")).join(spark.range(servers).select(F.col("id").alias("server_id")))
+    every = F.sequence(F.lit(0).cast("bigint"), F.lit(servers - 1).cast("bigint"))
+    grid = spark.range(steps).select(F.col("id").cast("int").alias("t"), F.explode(every).alias("server_id"))
     u = prf.keyed_uniform(key, "t", "server_id")
     timed = grid.select("t", "server_id", F.round(-F.log(u), 9).alias("latency"))
     order = W.Window.partitionBy("t").orderBy("latency", "server_id")
     return timed.withColumn("rank", F.row_number().over(order).cast("int"))
 
 
+def replicated(spark: SparkSession, blocks: int, steps: int, replicas: int, key: str = "replica") -> DataFrame:
+    """(t, block_id, replica, latency): every block on several servers."""
+    grid = spark.range(steps).select(F.col("id").cast("int").alias("t"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint"))).alias("block_id"))
+    grid = grid.withColumn("replica", F.explode(F.sequence(F.lit(0), F.lit(replicas - 1))))
+    return grid.withColumn("latency", F.round(-F.log(prf.keyed_uniform(key, "t", "block_id", "replica")), 9))
+
+
 def fractional_repetition(k: int, s: int) -> list[tuple[int, int, float]]:
     """K servers, s + 1 blocks each: groups of s + 1 servers hold the same blocks."""
     if k % (s + 1):

@@ -106,7 +106,13 @@ def aggregate(partials: DataFrame, responders: DataFrame, d: int) -> DataFrame:
     return partials.join(responders, "block_id").agg(*[F.sum(F.col(f"g{j}") * w).alias(f"g{j}") for j in range(d)])
 
 
-def gram(rows: DataFrame, width: int) -> Column:
+def overlapped(partials: DataFrame, d: int) -> DataFrame:
+    """Each server's gradient when it also holds the next block (ablation only)."""
+    nxt = partials.select((F.col("block_id") - 1).alias("block_id"), *[F.col(f"g{j}").alias(f"h{j}") for j in range(d)])
+    return partials.join(nxt, "block_id", "left").select("block_id", *[(F.col(f"g{j}") + F.coalesce(f"h{j}", F.lit(0))).alias(f"g{j}") for j in range(d)])
+
+
+def gram(rows: DataFrame, width: int) -> list[Column]:
     """Flat native moments of a narrow matrix: one sum per pair of columns (width up to 32)."""
     if width > 32:
         raise ValueError("use block_moments for wide matrices")

@@ -11,8 +11,10 @@ from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from rotagrad.functions import prf
+from rotagrad.functions.vec import dot, literal
 from rotagrad.operators.gradient import Moments
 
 
@@ -50,7 +52,7 @@ class LineSearch:
         e = gram @ x - cross
         full = 2 * e
         bottom = full @ gram @ full
-        return float(full @ e / bottom) if bottom > 0 else 0.0
+        return float(full @ e / bottom) if bottom > 0 else 0.0  # a zero step ends the run
 
 
 def draw(key: str, t: int, blocks: int, q: int, sampling: str, scores: np.ndarray | None = None) -> dict[int, float]:
@@ -162,3 +164,21 @@ SCHEMA = "run string, t int, x array<double>, xi double, objective double, log_r
 
 def history(spark: SparkSession, runs: dict[str, Run]) -> DataFrame:
     return spark.createDataFrame([(name, *row) for name, r in runs.items() for row in r.history], SCHEMA)
+
+
+def row_pass_descent(mat: DataFrame, tau: int, blocks: int, q: int, steps: int, xi: float, d: int, key: str = "draw") -> list[tuple[int, list[float]]]:
+    """Descent without moments: a job per step over the rows of the drawn blocks only.
+
+    For blocks whose moments exceed the driver.  With rows stored by block (``write_blocks``)
+    the filter prunes files; x travels as a literal and d sums come back.
+    """
+    rows = mat.select(F.expr(f"row_id div {tau}").alias("block_id"), "features", "label")
+    x = np.zeros(d)
+    out = [(0, x.tolist())]
+    for t in range(steps):
+        own = list(draw(key, t, blocks, q, "without"))
+        residual = dot(F.col("features"), literal(x)) - F.col("label")
+        got = rows.filter(F.col("block_id").isin(own)).select(residual.alias("e"), "features").agg(*[F.sum(F.col("e") * F.col("features")[j]).alias(str(j)) for j in range(d)]).first()
+        x = x - xi * 2 * blocks / q * np.array([v or 0.0 for v in got])
+        out.append((t + 1, x.tolist()))
+    return out

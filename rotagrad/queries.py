@@ -90,6 +90,10 @@ SEVEN = """f7 AS (SELECT c_custkey AS row_id, 1::BIGINT AS v0, c_nationkey::BIGI
 V5, V4 = ["v0", "v1", "v2", "v3", "v4"], ["v0", "v1", "v2", "v3"]
 
 
+def every_64():
+    return F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(63).cast("bigint")))
+
+
 @query(f"WITH {EXACT} SELECT row_id, " + ", ".join(f"{DUCK.sign('flip', 'row_id')} * {v} AS {v}" for v in V5) + " FROM ex")
 def sign_flip(spark, sf):
     return wide(rotation.SignHadamard("flip", False).signed(src.orders_exact(spark, sf)), V5)
@@ -126,8 +130,8 @@ def _walsh(source: str, ids: str, columns: list[str], out: str = "o.i", sign: st
 def hadamard_defining_sum(spark, sf):
     rows = wide(src.customers_exact(spark, sf), V4)
     parity = 1 - 2 * (F.bit_count(F.col("i").bitwiseAND(F.col("row_id"))) % 2)
-    # The definition itself, on 64 rows: the cross join is bounded by construction.
-    return spark.range(64).select(F.col("id").alias("i")).crossJoin(F.broadcast(rows)).groupBy("i").agg(*[F.sum(parity * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
+    # The definition itself: each of 64 rows goes to 64 sums.
+    return rows.withColumn("i", every_64()).groupBy("i").agg(*[F.sum(parity * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
 
 
 @query(f"""WITH p AS (SELECT p_partkey AS row_id, 1::BIGINT AS v0, p_size::BIGINT AS v1, floor(p_retailprice)::BIGINT AS v2 FROM part),
@@ -167,7 +171,7 @@ def kronecker_rotation(spark, sf):
 def rademacher_rotation(spark, sf):
     rows = wide(src.customers_exact(spark, sf), V4)
     s = F.expr(SPARK.sign("rad", "i * 64 + row_id"))
-    return spark.range(64).select(F.col("id").alias("i")).crossJoin(F.broadcast(rows)).groupBy("i").agg(*[F.sum(s * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
+    return rows.withColumn("i", every_64()).groupBy("i").agg(*[F.sum(s * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
 
 
 def _round_trip(spark, sf, r):
@@ -855,6 +859,137 @@ def event_session_moments(spark, sf):
     return _rounded(ev.sessions(src.read(spark, sf, "events")), "user_id")
 
 
+# ---- further variants and measures ----------------------------------------------------------
+
+@query(f"""WITH {LANE}, b AS (SELECT row_id // {TAU} AS block_id, count(*)::DOUBLE AS bn, sum(p) AS bp, sum(p * p) AS bpp FROM lane GROUP BY 1)
+SELECT block_id, round((bn * pp - 2 * bp * p + bpp * n) / (n * pp - p * p) / 2, 9) AS score FROM (SELECT block_id, bn, bp, bpp, s.n, s.p, s.pp FROM b, s)""")
+def leverage_blocks(spark, sf):
+    """Leverage of each block divided by d, from the blocks' moments."""
+    n = src.read(spark, sf, "orders").count()
+    blocks = -(-n // TAU)
+    m = gradient.block_moments(gradient.stacked(lane(spark, sf)), TAU, 3)
+    out = np.zeros((blocks, 3, 3))
+    for r in m.collect():
+        out[r.block_id] = np.array(r.m).reshape(3, 3)
+    scores = measures.block_scores(gradient.Moments(out, n))
+    return spark.createDataFrame([(i, round(float(v), 9)) for i, v in enumerate(scores)], "block_id bigint, score double")
+
+
+@query(f"""WITH r AS (SELECT t, b, k, round(-ln({DUCK.uniform('replica', 't', 'b', 'k')}), 9) AS latency FROM range(20) a(t), range(12) c(b), range(3) d(k)),
+o AS (SELECT *, row_number() OVER (PARTITION BY t ORDER BY latency, b, k) AS rank FROM r)
+SELECT t::INT AS t, b AS block_id, count(*) AS multiplicity FROM o WHERE rank <= 12 GROUP BY 1, 2""")
+def responders_replicas(spark, sf):
+    """Three servers per block: a block may answer more than once, as draws with replacement do."""
+    grid = coding.replicated(spark, 12, 20, 3)
+    order = W.Window.partitionBy("t").orderBy("latency", "block_id", "replica")
+    return grid.withColumn("rank", F.row_number().over(order)).filter("rank <= 12").groupBy("t", "block_id").agg(F.count(F.lit(1)).alias("multiplicity"))
+
+
+@query(f"""WITH {EXACT}, g AS (SELECT row_id // {TAU} AS b, {GRADS} FROM ex GROUP BY 1)
+SELECT g.b AS block_id, {', '.join(f'CAST(g.g{j} + coalesce(h.g{j}, 0) AS BIGINT) AS g{j}' for j in range(4))} FROM g LEFT JOIN g h ON h.b = g.b + 1""")
+def overlapped_blocks(spark, sf):
+    """The ablation: every server also holds its neighbour's block (twice the storage for the same sum)."""
+    parts = gradient.partial_gradients(src.orders_exact(spark, sf), list(X), TAU)
+    return gradient.overlapped(parts, 4)
+
+
+@query(f"""WITH {LANE} SELECT round(({_LINE.replace('x0', '0.5').replace('x1', '-0.25')}) * (n + pp), 9) AS original FROM l""")
+def line_search_original(spark, sf):
+    m = lane_moments(spark, sf)
+    run, x = solver.Run(m, 1, solver.LineSearch()), np.array([0.5, -0.25])
+    xi = run.step.xi(0, run, x, x)
+    return spark.createDataFrame([(round(float(xi * (run.gram[0, 0] + run.gram[1, 1])), 9),)], "original double")
+
+
+@query("SELECT 'rotated' AS objective, 1.0::DOUBLE AS ratio UNION ALL SELECT 'scrambled', 1.0 UNION ALL SELECT 'scaled', 1.0")
+def line_search_invariance(spark, sf):
+    """The step along the gradient moves x equally for the original, rotated and scaled objectives."""
+    mat, x = lane(spark, sf), np.array([0.5, -0.25])
+    n = mat.count()
+
+    def move(m):
+        run = solver.Run(m, m.blocks, solver.LineSearch())
+        return run.step.xi(0, run, x, x) * 2 * (run.gram @ x - run.cross)
+
+    base = move(gradient.moments(mat, rotation.Identity(), 1, 2, n))
+    kinds = {"rotated": gradient.moments(mat, rotation.SignHadamard("inv"), 4, 2, n), "scrambled": gradient.moments(mat, rotation.Scrambled("inv"), 4, 2, n)}
+    kinds["scaled"] = gradient.Moments(kinds["rotated"].m * 7.0, n)
+    return spark.createDataFrame([(k, round(float(move(m)[0] / base[0]), 9)) for k, m in kinds.items()], "objective string, ratio double")
+
+
+@query(_drawn_sql().replace("WHERE rank <= 3", "WHERE rank <= 6 - t % 4").replace("2 * sum(n) AS n, 2 * sum(p) AS p, 2 * sum(pp) AS pp, 2 * sum(y) AS y, 2 * sum(py) AS py", ", ".join(f"6.0 / (6 - t % 4) * sum({c}) AS {c}" for c in ("n", "p", "pp", "y", "py"))))
+def varying_stragglers(spark, sf):
+    """Another number of servers answers in each step: 6, 5, 4, 3, 6, ..."""
+    return _path(spark, solver.sketched_descent(lane_moments(spark, sf, 6), [6 - t % 4 for t in range(20)], 20, solver.Fixed(0.2)))
+
+
+@query(_drawn_sql().replace("range(20) a(t), range(6)", "range(5) a(t), range(6)"))
+def row_pass_descent(spark, sf):
+    """The same steps without moments: one job a step over the drawn blocks' rows."""
+    mat = lane(spark, sf)
+    unit = solver.Run(lane_moments(spark, sf, 6), 3, solver.Fixed(0.2)).unit
+    path = solver.row_pass_descent(mat, -(-mat.count() // 6), 6, 3, 5, 0.2 * unit, 2)
+    return spark.createDataFrame([(t, round(x[0], 6), round(x[1], 6)) for t, x in path], "t int, x0 double, x1 double")
+
+
+@query()
+def with_replacement_descent(spark, sf):
+    m = lane_moments(spark, sf, 6)
+    kinds = {"with": {"sampling": "with"}, "without": {"sampling": "without"}, "unscaled": {"block_scale": "none"}, "ridge": {"reg": 10.0}}
+    return solver.history(spark, {k: solver.sketched_descent(m, 3, 20, solver.Fixed(0.1), **o) for k, o in kinds.items()})
+
+
+@query()
+def mean_path_gap(spark, sf):
+    """The mean of many sketched runs against plain descent with the same steps."""
+    m = lane_moments(spark, sf, 6)
+    plain = solver.plain_descent(m, 10, solver.Fixed(0.1)).history
+    runs = {f"r{i}": solver.sketched_descent(m, 3, 10, solver.Fixed(0.1), key=f"draw:{i}") for i in range(200)}
+    mean = solver.history(spark, runs).groupBy("t").agg(F.avg(F.col("x")[0]).alias("x0"), F.avg(F.col("x")[1]).alias("x1"))
+    known = spark.createDataFrame([(h[0], *h[1]) for h in plain], "t int, p0 double, p1 double")
+    return mean.join(known, "t").select("t", F.abs(F.col("x0") - F.col("p0")).alias("gap0"), F.abs(F.col("x1") - F.col("p1")).alias("gap1"))
+
+
+@query()
+def regret_curve(spark, sf):
+    """Mean objective above the optimum so far, beside the rate 1/sqrt(t) + r/t."""
+    run = solver.sketched_descent(lane_moments(spark, sf, 6), 3, 40, solver.Decay(0.4, True))
+    best = run.objective(run.best)
+    rows = solver.history(spark, {"r": run}).filter("t > 0")
+    w = W.Window.partitionBy("run").orderBy("t").rowsBetween(W.Window.unboundedPreceding, 0)
+    return rows.select("run", "t", (F.avg(F.col("objective") - best).over(w)).alias("regret"), (1 / F.sqrt("t") + 3 / F.col("t")).alias("rate"))
+
+
+@query()
+def residual_cube(spark, sf):
+    return sweep(spark, sf, None, 1, 100).cube("rotation", "mult").agg(F.avg("log_residual").alias("mean"), F.min("log_residual").alias("least"), F.grouping_id().alias("level"))
+
+
+@query()
+def degrees_of_freedom(spark, sf):
+    """Line-search descent at 1, 2 and 4 degrees of freedom: what holds at 2 need not hold elsewhere."""
+    d, k, q = shape(spark, sf)
+    runs = {f"{name}:{df}": solver.sketched_descent(part_moments(spark, sf, name, df, blocks=k, d=d), q, STEPS, solver.LineSearch()) for df in (1, 2, 4) for name in ("identity", "sign_hadamard")}
+    return solver.history(spark, runs)
+
+
+@query()
+def step_from_sketch(spark, sf):
+    """The step from the full rotated gradient against each draw's own optimum."""
+    m = part_moments(spark, sf, "sign_hadamard", blocks=shape(spark, sf)[1], d=shape(spark, sf)[0])
+    q = m.blocks // 2
+    return solver.history(spark, {k: solver.sketched_descent(m, q, STEPS, solver.LineSearch(k)) for k in ("full", "sketch")})
+
+
+@query()
+def partial_straggler_descent(spark, sf):
+    """Servers that did part of their blocks count too: a step uses every block finished by the deadline."""
+    rows = coding.partial_work(ranked(spark), 4, 2.0).groupBy("t").agg(F.sum("done").alias("q")).orderBy("t").collect()
+    m = lane_moments(spark, sf, 48)
+    schedule = [max(1, min(48, int(r.q))) for r in rows]
+    return solver.history(spark, {"partial": solver.sketched_descent(m, schedule, 20, solver.Fixed(0.1)), "whole": solver.sketched_descent(m, 24, 20, solver.Fixed(0.1))})
+
+
 @query()
 def stream_equals_batch(spark, sf):
     """Days whose moments differ between a stream over all files and the batch (none should)."""

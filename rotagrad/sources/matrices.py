@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import window as W
 
 from rotagrad.functions import prf
 
@@ -27,22 +26,34 @@ def write_blocks(blocks: DataFrame, path: str, buckets: int = 64) -> None:
     bucketed.repartition("block_bucket").sortWithinPartitions("block_id").write.partitionBy("block_bucket").mode("overwrite").parquet(path)
 
 
+def checkpointed(df: DataFrame) -> DataFrame:
+    """A reliable checkpoint in the folder the session names; /tmp/checkpoints only where it names none."""
+    spark = df.sparkSession
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
+    return df.checkpoint(eager=True)
+
+
 def dense_row_ids(df: DataFrame, keys: list[str], name: str = "row_id") -> DataFrame:
     """Dense ids in the order of ``keys`` without a global window.
 
-    Rows are range-partitioned and sorted; the counts of the partitions (one row per
-    partition) give offsets that are broadcast.  ``keys`` must be unique.
+    Rows are range-partitioned, sorted and checkpointed, since range bounds are sampled anew
+    whenever a plan runs again.  A row's place in its partition is known without a shuffle,
+    and the counts of the partitions (one row each) give offsets.  ``keys`` must be unique.
     """
-    spark = df.sparkSession
-    placed = df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("__part", F.spark_partition_id())
-    local = placed.withColumn("__at", F.row_number().over(W.Window.partitionBy("__part").orderBy(*keys)))
-    counts = sorted((r["__part"], r["count"]) for r in placed.groupBy("__part").count().collect())
+    placed = checkpointed(df.repartitionByRange(*keys).sortWithinPartitions(*keys))
+    at = F.monotonically_increasing_id()  # partition number in the upper bits, place in the lower 33
+    local = placed.withColumn("__at", at)
+    part = F.shiftright("__at", 33)
+    counts = sorted((r["p"], r["n"]) for r in local.groupBy(part.alias("p")).agg(F.count(F.lit(1)).alias("n")).collect())
     offsets, total = [], 0
-    for part, n in counts:
-        offsets.append((part, total))
+    for p, n in counts:
+        offsets.append((p, total))
         total += n
-    known = spark.createDataFrame(offsets, "__part int, __off long")
-    return local.join(F.broadcast(known), "__part").withColumn(name, F.col("__off") + F.col("__at") - 1).drop("__part", "__at", "__off")
+    known = df.sparkSession.createDataFrame(offsets, "__part bigint, __off bigint")
+    joined = local.withColumn("__part", part).join(F.broadcast(known), "__part")
+    return joined.withColumn(name, F.col("__off") + F.col("__at").bitwiseAND(F.lit((1 << 33) - 1))).drop("__part", "__at", "__off")
 
 
 def assemble(df: DataFrame, row_id: str, features: list[Column], label: Column) -> DataFrame:

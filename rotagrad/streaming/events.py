@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
+from pyspark.sql.streaming.state import GroupState
 
 
 def source(spark: SparkSession, folder: str, schema) -> DataFrame:
@@ -51,6 +55,26 @@ def responders(answers: DataFrame, q: int) -> DataFrame:
     return once.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= q)
 
 
+def first_answers(answers: DataFrame, q: int) -> DataFrame:
+    """The first q different servers of each step as they arrive in a stream (t, server_id, latency).
+
+    State per step: the servers taken so far, at most q of them; later answers are stragglers.
+    """
+
+    def take(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        taken = list(state.get[0]) if state.exists else []
+        rows = []
+        for batch in batches:
+            for server, latency in batch.sort_values(["latency", "server_id"])[["server_id", "latency"]].itertuples(index=False):
+                if len(taken) < q and server not in taken:
+                    taken.append(int(server))
+                    rows.append((key[0], int(server), float(latency), len(taken)))
+        state.update((taken,))
+        yield pd.DataFrame(rows, columns=["t", "server_id", "latency", "rank"])
+
+    return answers.groupBy("t").applyInPandasWithState(take, "t int, server_id bigint, latency double, rank int", "taken array<bigint>", "append", "NoTimeout")
+
+
 class MinibatchDescent:
     """A ``foreachBatch`` sink: every micro-batch is a responder set and moves x once.
 

@@ -279,3 +279,21 @@ def test_minibatch_stream_skips_replays(spark, sf):
     assert sink.x == x and sink.seen == 3 * batch.count() and x[0] > 0
     answers = spark.createDataFrame([(0, 1, 0.5), (0, 1, 0.4), (0, 2, 0.1), (0, 3, 0.9)], "t int, server_id bigint, latency double")
     assert [r.server_id for r in ev.responders(answers, 2).orderBy("rank").collect()] == [2, 1]
+
+
+def test_stateful_collector_equals_the_batch(spark, tmp_path):
+    rows = [(t, (7 * t + 3 * s) % 9, float((5 * s + t) % 11)) for t in range(4) for s in range(9)]
+    answers = spark.createDataFrame(rows + rows[:5], "t int, server_id bigint, latency double")
+    answers.coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = ev.source(spark, str(tmp_path / "in"), answers.schema)
+    query = ev.first_answers(stream, 3).writeStream.format("memory").queryName("first_answers").outputMode("append").option("checkpointLocation", str(tmp_path / "ckpt")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    got = {(r.t, r.server_id) for r in spark.table("first_answers").collect()}
+    assert got == {(r.t, r.server_id) for r in ev.responders(answers, 3).collect()}
+
+
+def test_row_pass_and_moments_take_the_same_steps(spark, problem):
+    a, b, m = problem
+    run = solver.sketched_descent(m, 3, 4, solver.Fixed(0.1))
+    path = solver.row_pass_descent(matrix(spark, a, b), 16, 6, 3, 4, 0.1 * run.unit, 3)
+    assert np.allclose(path[-1][1], run.history[-1][1])
