@@ -278,10 +278,27 @@ def test_pruning_skips_blocks_and_loses_nothing():
     texts = [" ".join(rnd.choice("abcdefgh") for _ in range(5)) + (" rare" * 3 if i % 700 == 0 else "") for i in range(2000)]
     shard = bm25.Shard(list(range(2000)), texts, 5.0, 1.2, 0.75)
     calls = []
-    plain = shard.add
-    shard.add = lambda score, entry, w, chosen: (calls.append(int(chosen.sum())), plain(score, entry, w, chosen))
+    plain = shard.visit
+    shard.visit = lambda s, open_, *rest: (calls.append(len(open_)), plain(s, open_, *rest))[1]
     found = shard.search([("rare", 9.0), ("a", 0.1)], 3)
-    assert sorted(i for i, _ in found) == [0, 700, 1400] and sum(calls) < 16 * 2
+    assert sorted(i for i, _ in found) == [0, 700, 1400] and len(shard.stripes) == 2 and sum(calls) == 1
+
+
+def test_batches_of_queries_survive_packing():
+    texts, counts, dfs = ["a b zz", "b"], [[1, 3, 2], [4]], [[9, 70000, 1], [70000]]
+    ids, rows, order, df, query, word, count = bm25.unpack(bm25.pack([7, None], [0, 5], texts, counts, dfs))
+    assert (ids, rows) == ([7, None], [0, 5]) and dict(zip(order, df.tolist())) == {"a": 9, "b": 70000, "zz": 1}
+    assert sorted(zip(query.tolist(), (order[i] for i in word), count.tolist())) == [(0, "a", 1), (0, "b", 3), (0, "zz", 2), (1, "b", 4)]
+
+
+def test_search_merges_many_shards_and_copies(spark):
+    """Ties, copies beyond k, several query batches and more shards than are merged at a time."""
+    rnd = random.Random(8)
+    rows = [(i, " ".join(rnd.choice("abcdefghijklmnop") * 2 for _ in range(rnd.randint(1, 12))), "s") for i in range(700)] + [(i, "same old text", "s") for i in range(700, 900)]
+    docs = docs_of(spark, rows)
+    one = sorted(map(tuple, bm25.search(docs, docs, k=4).collect()))
+    many = sorted(map(tuple, bm25.search(docs, docs, k=4, shard_docs=10).collect()))
+    assert one == many and [r[2] for r in one if r[0] == 850] == [700, 701, 702, 703] and len({r[0] for r in one}) == 900
 
 
 # ---- 6 language
