@@ -4,7 +4,8 @@ A rotation takes (row_id, v ARRAY) and returns the same over its padded height.
 powers (the Hadamard matrix is one) factor over groups of index digits: each stage brings
 together the rows that differ only in its digits, one hash shuffle, and applies the power of
 the base to the group with numpy.  Padding is never written: kernels fill absent rows with
-zeros.  The dense kinds cost N^2 and are refused above ``DENSE_LIMIT`` rows.
+zeros.  The dense kinds cost N^2; above ``DENSE_LIMIT`` rows their matrix is never held, but
+made and applied in panels.
 """
 
 from __future__ import annotations
@@ -19,7 +20,9 @@ from pyspark.sql import functions as F
 
 from rotagrad.functions import prf
 
+#: Rows of a dense matrix that is held as a whole, and numbers in a panel of a taller one.
 DENSE_LIMIT = 4096
+PANEL = 1 << 22
 #: Rows of a stage's group at most (a stage's memory is this times the row width).
 GROUP_ROWS = 1 << 13
 HADAMARD = ((1, 1), (1, -1))
@@ -240,19 +243,61 @@ class Dense(Rotation):
         q, t = np.linalg.qr(g)
         return q * np.sign(np.diag(t))
 
-    def times(self, df: DataFrame, n: int, width: int, transposed: bool) -> DataFrame:
-        if n > DENSE_LIMIT:
-            raise ValueError(f"a dense rotation of {n} rows; the limit is {DENSE_LIMIT}")
+    def panels(self, n: int) -> Iterator[tuple[int, np.ndarray]]:
+        """(first row, rows) of a Gaussian or Rademacher matrix of any height, each panel from its own key."""
+        many = max(1, PANEL // n)
+        for a in range(0, n, many):
+            r, shape = prf.rng(f"{self.kind}:{self.key}:{a}"), (min(many, n - a), n)
+            yield a, (r.integers(0, 2, shape) * 2.0 - 1 if self.kind == "rademacher" else r.standard_normal(shape)) / math.sqrt(n)
+
+    def reflection_group(self, n: int, a: int, many: int) -> tuple[np.ndarray, np.ndarray]:
+        """(v, t): the reflections a .. a + many - 1 as I - v t v' on the rows from a on.  The k-th
+        sends a normal vector of n - k numbers to its first axis, so that the product of all,
+        with keyed signs, is uniform over the orthonormal matrices."""
+        own = min(many, n - a)
+        v = np.tril(prf.rng(f"{self.kind}:{self.key}:{a}").standard_normal((n - a, own)))
+        at = np.arange(own)
+        v[at, at] += np.copysign(np.linalg.norm(v, axis=0), v[at, at])
+        v /= np.linalg.norm(v, axis=0)
+        return v, np.linalg.inv(np.triu(v.T @ v, 1) + np.eye(own) / 2)
+
+    def product(self, x: np.ndarray, transposed: bool) -> np.ndarray:
+        """The matrix, or its transpose, times x."""
+        n = len(x)
+        if n <= DENSE_LIMIT:
+            m = self.matrix(n)
+            return (m.T if transposed else m) @ x
+        out = np.zeros_like(x)
+        if not self.orthonormal:
+            for a, m in self.panels(n):
+                if transposed:
+                    out += m.T @ x[a : a + len(m)]
+                else:
+                    out[a : a + len(m)] = m @ x
+            return out
+        out += x
+        signs = (prf.rng(f"{self.kind}:{self.key}:signs").integers(0, 2, n) * 2.0 - 1)[:, None]
+        if not transposed:
+            out *= signs
+        many = min(64, max(1, PANEL // n))
+        starts = range(0, n, many)
+        for a in starts if transposed else reversed(starts):
+            v, t = self.reflection_group(n, a, many)
+            y = out[a:]
+            y -= v @ ((t.T if transposed else t) @ (v.T @ y))
+        return out * signs if transposed else out
 
+    def times(self, df: DataFrame, n: int, width: int, transposed: bool) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             x = np.zeros((n, width))
             for batch in batches:
                 if batch.num_rows:
                     x[batch.column(0).to_numpy()] = as_rows(batch.column(1))
-            m = self.matrix(n)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(n)), as_lists((m.T if transposed else m) @ x)], ["row_id", "v"])
+            y = self.product(x, transposed)
+            for a in range(0, n, GROUP_ROWS):
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(a, min(a + GROUP_ROWS, n))), as_lists(y[a : a + GROUP_ROWS])], ["row_id", "v"])
 
-        # One task holds the matrix: its height is bounded by DENSE_LIMIT.
+        # One task holds all rows and one panel of the matrix.
         return df.select("row_id", "v").repartition(1).mapInArrow(run, "row_id bigint, v array<double>")
 
     def apply(self, df, n, width):

@@ -90,6 +90,17 @@ SEVEN = """f7 AS (SELECT c_custkey AS row_id, 1::BIGINT AS v0, c_nationkey::BIGI
 V5, V4 = ["v0", "v1", "v2", "v3", "v4"], ["v0", "v1", "v2", "v3"]
 
 
+#: Every customer, and the ids of the padded height.
+ALL = SEVEN.replace("f7 AS", "fa AS").replace("WHERE c_custkey < 64", "") + """,
+n AS (SELECT count(*) AS n, (2 ** ceil(log2(count(*))))::BIGINT AS high FROM customer), ids AS (SELECT unnest(range((SELECT high FROM n))) AS i)"""
+
+
+def all_customers(spark, sf, real: bool = False) -> tuple[DataFrame, int]:
+    rows = src.customers_all(spark, sf)
+    n = rows.count()
+    return (rows.select("row_id", F.transform("v", lambda x: x.cast("double")).alias("v")) if real else rows), n
+
+
 def every_64():
     return F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(63).cast("bigint")))
 
@@ -104,6 +115,14 @@ def feistel_permutation(spark, sf):
     return src.read(spark, sf, "part").filter("p_partkey < 1024").select(F.col("p_partkey").alias("row_id"), prf.feistel("perm", 10, "p_partkey").alias("place"))
 
 
+@query()
+def feistel_permutation_all(spark, sf):
+    """The permutation of every part, over the least power of two that holds them."""
+    rows = src.read(spark, sf, "part")
+    bits = max(1, (rows.count() - 1).bit_length())
+    return rows.select(F.col("p_partkey").alias("row_id"), prf.feistel("perm", bits, "p_partkey").alias("place"))
+
+
 _PERM = DUCK.feistel("k1", "i", 6)
 
 
@@ -153,6 +172,19 @@ def scrambled_rotation(spark, sf):
     return wide(rotation.Scrambled("k1", False).apply(src.customers_exact(spark, sf), 64, 4), V4)
 
 
+@query(f"WITH {ALL} SELECT i AS row_id, " + ", ".join(f"coalesce((SELECT high FROM n) * {c}, 0)::BIGINT AS {c}" for c in V4) + " FROM ids LEFT JOIN fa ON i = row_id")
+def hadamard_involution_all(spark, sf):
+    rows, n = all_customers(spark, sf)
+    r = rotation.SignHadamard(None, False)
+    return wide(r.apply(r.apply(rows, n, 4), n, 4), V4)
+
+
+@query()
+def scrambled_rotation_all(spark, sf):
+    rows, n = all_customers(spark, sf)
+    return wide(rotation.Scrambled("k1", False).apply(rows, n, 4), V4)
+
+
 THREE = ((1, 1, 0), (0, 1, 1), (1, 0, -1))
 
 
@@ -167,6 +199,12 @@ def kronecker_rotation(spark, sf):
     return wide(rotation.Kronecker(THREE, None).apply(src.customers_exact(spark, sf), 64, 4), V4)
 
 
+@query()
+def kronecker_rotation_all(spark, sf):
+    rows, n = all_customers(spark, sf)
+    return wide(rotation.Kronecker(THREE, None).apply(rows, n, 4), V4)
+
+
 @query(f"WITH {SEVEN} SELECT o.i AS row_id, " + ", ".join(f"CAST(sum({DUCK.sign('rad', 'o.i * 64 + row_id')} * {c}) AS BIGINT) AS {c}" for c in V4) + " FROM range(64) o(i), f7 GROUP BY o.i")
 def rademacher_rotation(spark, sf):
     rows = wide(src.customers_exact(spark, sf), V4)
@@ -174,6 +212,12 @@ def rademacher_rotation(spark, sf):
     return rows.withColumn("i", every_64()).groupBy("i").agg(*[F.sum(s * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
 
 
+@query()
+def rademacher_rotation_all(spark, sf):
+    rows, n = all_customers(spark, sf, real=True)
+    return wide(rotation.Dense("k1", "rademacher").apply(rows, n, 4), V4, "double")
+
+
 def _round_trip(spark, sf, r):
     rows = src.customers_exact(spark, sf).select("row_id", F.transform("v", lambda x: x.cast("double")).alias("v"))
     back = wide(r.inverse(r.apply(rows, 64, 4), 64, 4), V4, "double").filter("row_id < 64")
@@ -208,10 +252,44 @@ def givens_rotation(spark, sf):
     return _round_trip(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))
 
 
+def _round_trip_all(spark, sf, r):
+    rows, n = all_customers(spark, sf, real=True)
+    back = wide(r.inverse(r.apply(rows, n, 4), n, 4), V4, "double").filter(F.col("row_id") < n)
+    return back.select("row_id", *[(F.round(c, 6) + F.lit(0.0)).alias(c) for c in V4])
+
+
+_ALL_REAL = f"WITH {ALL} SELECT row_id, " + ", ".join(f"{c}::DOUBLE AS {c}" for c in V4) + " FROM fa"
+
+
+@query(_ALL_REAL)
+def sign_hadamard_inverse_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.SignHadamard("k1"))
+
+
+@query(_ALL_REAL)
+def scrambled_inverse_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.Scrambled("k1"))
+
+
+@query(_ALL_REAL)
+def kronecker_inverse_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.Kronecker(rotation.reflection(3), "k1"))
+
+
+@query(_ALL_REAL)
+def dense_rotation_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.Dense("k1"))
+
+
+@query(_ALL_REAL)
+def givens_rotation_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))
+
+
 @query()
 def gaussian_rotation(spark, sf):
-    rows = src.customers_exact(spark, sf).select("row_id", F.transform("v", lambda x: x.cast("double")).alias("v"))
-    return wide(rotation.Dense("k1", "gaussian").apply(rows, 64, 4), V4, "double")
+    rows, n = all_customers(spark, sf, real=True)
+    return wide(rotation.Dense("k1", "gaussian").apply(rows, n, 4), V4, "double")
 
 
 @query(f"WITH {SEVEN}, hd AS ({_walsh('f7', 'range(64)', V4, sign=DUCK.sign('k1', 'f7.row_id'))}) SELECT row_id AS block_id, v0 * v0 AS g00, v0 * v1 AS g01, v1 * v1 AS g11 FROM hd")
@@ -221,6 +299,13 @@ def row_sampled_hadamard(spark, sf):
     return m.select("block_id", *[F.col("m")[i].cast("bigint").alias(n) for n, i in (("g00", 0), ("g01", 1), ("g11", 5))])
 
 
+@query(f"WITH {ALL}, hd AS ({_walsh('fa', 'ids', V4, sign=DUCK.sign('k1', 'fa.row_id'))}) SELECT row_id AS block_id, v0 * v0 AS g00, v0 * v1 AS g01, v1 * v1 AS g11 FROM hd")
+def row_sampled_hadamard_all(spark, sf):
+    rows, n = all_customers(spark, sf)
+    m = gradient.block_moments(rotation.SignHadamard("k1", False).apply(rows, n, 4), 1, 4)
+    return m.select("block_id", *[F.col("m")[i].cast("bigint").alias(name) for name, i in (("g00", 0), ("g01", 1), ("g11", 5))])
+
+
 # ---- blocks and gradients (exact lane: 512 rows a block) ----------------------------------
 
 TAU = 512
@@ -250,6 +335,13 @@ def gram_from_rotated(spark, sf):
     return rows.agg(*gradient.gram(rows, 4)).toDF(*[f"m{i}{j}" for i in range(4) for j in range(i, 4)])
 
 
+@query(f"WITH {ALL} SELECT " + ", ".join(f"CAST((SELECT high FROM n) * sum(v{i} * v{j}) AS BIGINT) AS m{i}{j}" for i in range(4) for j in range(i, 4)) + " FROM fa")
+def gram_from_rotated_all(spark, sf):
+    rows, n = all_customers(spark, sf)
+    rotated = rotation.Scrambled("k1", False).apply(rows, n, 4)
+    return rotated.agg(*gradient.gram(rotated, 4)).toDF(*[f"m{i}{j}" for i in range(4) for j in range(i, 4)])
+
+
 @query(f"WITH {EXACT} SELECT row_id // {TAU} AS block_id, {GRADS} FROM ex GROUP BY 1")
 def partial_gradients(spark, sf):
     return gradient.partial_gradients(src.orders_exact(spark, sf), list(X), TAU)
@@ -265,11 +357,12 @@ def gradient_all_blocks(spark, sf):
 @query("SELECT 0::BIGINT AS gap FROM range(1)")
 def exact_recovery_gap(spark, sf):
     """The raw rotation multiplies the sum of block gradients by N: the largest gap after division."""
-    rows = src.customers_exact(spark, sf)
-    rotated = rotation.SignHadamard("k1", False).apply(rows, 64, 4)
+    rows, n = all_customers(spark, sf)
+    r = rotation.SignHadamard("k1", False)
+    rotated = r.apply(rows, n, 4)
     a, b = gradient.partial_gradients(rows, [1, 2, -1], 8), gradient.partial_gradients(rotated, [1, 2, -1], 8)
     sums = [F.sum(f"g{j}").alias(f"g{j}") for j in range(3)]
-    both = a.agg(*sums).withColumn("k", F.lit(64)).unionByName(b.agg(*sums).withColumn("k", F.lit(-1)))
+    both = a.agg(*sums).withColumn("k", F.lit(r.height(n)).cast("bigint")).unionByName(b.agg(*sums).withColumn("k", F.lit(-1).cast("bigint")))
     return both.agg(F.greatest(*[F.abs(F.sum(F.col(f"g{j}") * F.col("k"))) for j in range(3)]).cast("bigint").alias("gap"))
 
 
@@ -324,12 +417,23 @@ def second_moment(spark, sf):
 SELECT {', '.join(f'round(sum(g{j})::DOUBLE, 6) AS g{j}' for j in range(3))}, 20::BIGINT AS sets FROM g""")
 def gradient_bias_enumerated(spark, sf):
     """The mean over all 20 responder sets of 3 of 6 blocks, scaled by K/q: the full gradient exactly."""
-    parts = gradient.partial_gradients(src.customers_exact(spark, sf), [1, 2, -1], 11)
+    return _mean_over_sets(spark, gradient.partial_gradients(src.customers_exact(spark, sf), [1, 2, -1], 11))
+
+
+def _mean_over_sets(spark, parts: DataFrame) -> DataFrame:
     sets = spark.createDataFrame([(i, b) for i, c in enumerate(itertools.combinations(range(6), 3)) for b in c], "set int, block_id bigint")
     per = sets.join(parts, "block_id").groupBy("set").agg(*[(2.0 * F.sum(f"g{j}")).alias(f"g{j}") for j in range(3)])
     return per.agg(*[F.round(F.avg(f"g{j}"), 6).alias(f"g{j}") for j in range(3)], F.count(F.lit(1)).alias("sets"))
 
 
+@query(f"""WITH {ALL}, g AS (SELECT row_id // ((SELECT n FROM n) // 6 + 1) AS b, {', '.join(f'sum(2 * v{j} * (v0 + 2 * v1 - v2 - v3)) AS g{j}' for j in range(3))} FROM fa GROUP BY 1)
+SELECT {', '.join(f'round(sum(g{j})::DOUBLE, 6) AS g{j}' for j in range(3))}, 20::BIGINT AS sets FROM g""")
+def gradient_bias_enumerated_all(spark, sf):
+    """The same over six blocks of all rows."""
+    rows, n = all_customers(spark, sf)
+    return _mean_over_sets(spark, gradient.partial_gradients(rows, [1, 2, -1], n // 6 + 1))
+
+
 @query(f"""WITH {LATENCY}, r AS (SELECT t, server_id FROM ranked WHERE rank <= 6)
 SELECT 'both' AS kind, server_id FROM (SELECT server_id FROM r WHERE t = 0 INTERSECT SELECT server_id FROM r WHERE t = 1)
 UNION ALL SELECT 'first', server_id FROM (SELECT server_id FROM r WHERE t = 0 EXCEPT SELECT server_id FROM r WHERE t = 1)
@@ -708,22 +812,22 @@ def secrecy_counterexample(spark, sf):
 @query("SELECT 'sign_hadamard' AS rotation, 1.0::DOUBLE AS matched")
 def known_transform_attack(spark, sf):
     """Undo the known transform: without the permutation all absolute entries come back."""
-    rows = src.customers_exact(spark, sf)
-    own = rotation.SignHadamard("secret", False).apply(rows, 64, 4)
-    back = wide(rotation.SignHadamard(None, False).apply(own, 64, 4), V4)
+    rows, n = all_customers(spark, sf)
+    r = rotation.SignHadamard("secret", False)
+    back = wide(rotation.SignHadamard(None, False).apply(r.apply(rows, n, 4), n, 4), V4)
     same = wide(rows, [f"w{i}" for i in range(4)]).join(back, "row_id")
-    hit = F.expr(" and ".join(f"abs(v{i}) = 64 * abs(w{i})" for i in range(4)))
+    hit = F.expr(" and ".join(f"abs(v{i}) = {r.height(n)} * abs(w{i})" for i in range(4)))
     return same.agg(F.avg(hit.cast("double")).alias("matched")).select(F.lit("sign_hadamard").alias("rotation"), "matched")
 
 
 @query()
 def scrambled_attack(spark, sf):
     """The same attack on the scrambled rotation: chance agreement only."""
-    rows = src.customers_exact(spark, sf)
-    own = rotation.Scrambled("secret", False).apply(rows, 64, 4)
-    back = wide(rotation.SignHadamard(None, False).apply(own, 64, 4), V4)
+    rows, n = all_customers(spark, sf)
+    r = rotation.Scrambled("secret", False)
+    back = wide(rotation.SignHadamard(None, False).apply(r.apply(rows, n, 4), n, 4), V4)
     same = wide(rows, [f"w{i}" for i in range(4)]).join(back, "row_id")
-    hit = F.expr(" and ".join(f"abs(v{i}) = 64 * abs(w{i})" for i in range(4)))
+    hit = F.expr(" and ".join(f"abs(v{i}) = {r.height(n)} * abs(w{i})" for i in range(4)))
     return same.agg(F.avg(hit.cast("double")).alias("matched")).select(F.lit("scrambled").alias("rotation"), "matched")
 
 

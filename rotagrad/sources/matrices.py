@@ -94,9 +94,15 @@ def orders_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read(spark, sf_dir, "orders").select(F.col("o_orderkey").cast("bigint").alias("row_id"), v.alias("v"))
 
 
-def customers_exact(spark: SparkSession, sf_dir: str, n: int = 64) -> DataFrame:
+def customers_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(row_id, v ARRAY<BIGINT>): four integer features of every customer."""
     v = F.expr("array(1L, cast(c_nationkey as bigint), cast(floor(c_acctbal) as bigint), cast(c_nationkey % 3 as bigint))")
-    return read(spark, sf_dir, "customer").filter(F.col("c_custkey") < n).select(F.col("c_custkey").cast("bigint").alias("row_id"), v.alias("v"))
+    return read(spark, sf_dir, "customer").select(F.col("c_custkey").cast("bigint").alias("row_id"), v.alias("v"))
+
+
+def customers_exact(spark: SparkSession, sf_dir: str, n: int = 64) -> DataFrame:
+    """The first rows only, for queries whose SQL sums over all pairs of 64 ids."""
+    return customers_all(spark, sf_dir).filter(F.col("row_id") < n)
 
 
 def vectors(spark: SparkSession, sf_dir: str, d: int = 40) -> DataFrame:
