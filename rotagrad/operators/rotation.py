@@ -248,7 +248,7 @@ class Dense(Rotation):
         many = max(1, PANEL // n)
         for a in range(0, n, many):
             r, shape = prf.rng(f"{self.kind}:{self.key}:{a}"), (min(many, n - a), n)
-            yield a, (r.integers(0, 2, shape) * 2.0 - 1 if self.kind == "rademacher" else r.standard_normal(shape)) / math.sqrt(n)
+            yield a, (r.integers(0, 2, shape, np.int8) * 2.0 - 1 if self.kind == "rademacher" else r.standard_normal(shape)) / math.sqrt(n)
 
     def reflection_group(self, n: int, a: int, many: int) -> tuple[np.ndarray, np.ndarray]:
         """(v, t): the reflections a .. a + many - 1 as I - v t v' on the rows from a on.  The k-th

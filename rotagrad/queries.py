@@ -609,11 +609,8 @@ BLOCKS, STEPS = 128, 50
 
 
 def part_moments(spark, sf, name: str, df: int = 2, salt: int = 1, blocks: int = BLOCKS, d: int = 40) -> gradient.Moments:
-    """Moments at the paper's shape; dense kinds are cut to the rows they may have."""
-    mat = src.part_heavy(spark, sf, df, d, salt)
-    if name in ("orthonormal", "gaussian", "rademacher"):
-        mat = mat.filter(F.col("row_id") < rotation.DENSE_LIMIT // 2)
-    return gradient.moments(mat, rotation.by_name(name, f"k{salt}"), blocks, d)
+    """Moments at the paper's shape, over the same rows for every rotation."""
+    return gradient.moments(src.part_heavy(spark, sf, df, d, salt), rotation.by_name(name, f"k{salt}"), blocks, d)
 
 
 def shape(spark, sf) -> tuple[int, int, int]:

@@ -67,3 +67,13 @@ def test_tall_dense_kinds_in_panels(monkeypatch, kind):
         assert np.allclose(m @ m.T, np.eye(n)) and abs(np.mean(m**4) * n * n - 3 * n / (n + 2)) < 0.1
     else:
         assert abs((m**2).mean() * n - 1) < 0.05 and len({tuple(row) for row in m}) == n
+
+
+def test_rotations_of_a_comparison_see_the_same_rows(spark, tmp_path):
+    """More parts than a dense matrix is held for: no kind takes a prefix, and sums of squares stay where they must."""
+    n = rotation.DENSE_LIMIT + 100
+    spark.range(n).withColumnRenamed("id", "p_partkey").write.parquet(f"{tmp_path}/part.parquet")
+    found = {name: engine.part_moments(spark, str(tmp_path), name, blocks=8, d=4) for name in ("identity", "orthonormal", "gaussian", "rademacher")}
+    assert {m.rows for m in found.values()} == {n}
+    whole = found["identity"].total()
+    assert np.allclose(found["orthonormal"].total(), whole, rtol=1e-8, atol=1e-8 * np.abs(whole).max())
