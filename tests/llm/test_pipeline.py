@@ -63,3 +63,18 @@ def test_queries_against_sql(spark, sf, name):
     assert columns == sorted(got.columns)
     key = lambda rows: sorted(tuple(map(str, r)) for r in rows)
     assert key(tuple(r[c] for c in columns) for r in got.collect()) == key(tuple(r[want.columns.index(c)] for c in columns) for r in want.fetchall())
+
+
+def test_null_ids_and_one_id_on_two_texts(spark, sf):
+    """Different clean texts stay whatever their ids; copies go even when their id is also on a kept text."""
+    rng = np.random.default_rng(3)
+    prose = [" ".join(rng.choice(["river", "stone", "lamp", "window", "quiet", "seven", "garden", "road", "letter", "cloud", "paper", "summer"], 60)) for _ in range(5)]
+    rows = [(None, prose[0], "en", "a", 1), (None, prose[1], "en", "a", 1), (None, prose[1], "en", "a", 1), (3, prose[2], "en", "a", 1), (3, prose[3], "en", "a", 1), (4, prose[4], "en", "a", 1), (3, prose[4], "en", "a", 1), (None, prose[4], "en", "a", 1)]
+    docs, stage = frame(spark, rows), dict(cp.STAGES)
+    want = collections.Counter([(None, prose[0]), (None, prose[1]), (3, prose[2]), (3, prose[3]), (3, prose[4])])
+    for name in ("exact_duplicates", "near_duplicates"):
+        out = stage[name](spark, docs, sf)
+        assert out.columns == cp.COLUMNS and collections.Counter((r.doc_id, r.text) for r in out.collect()) == want, name
+        assert collections.Counter((r.doc_id, r.text) for r in stage[name](spark, out, sf).collect()) == want
+    mixed = stage["source_mix"](spark, out, sf).collect()
+    assert {(r.doc_id, r.text) for r in mixed} == set(want) and max(collections.Counter((r.doc_id, r.text) for r in mixed).values()) <= 3
