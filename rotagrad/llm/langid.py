@@ -193,7 +193,7 @@ class Scorer:
             self.learn(new)
         languages, get = self.model.languages, self.rows.__getitem__
         for words in texts:
-            if not languages or not words or (len(words) < 8 and not any(c.isalpha() for w in words for c in w)):
+            if not languages or not words or not any(c.isalpha() for w in words for c in w):
                 names.append("und")
                 scores.append(0.0)
                 continue
