@@ -1,15 +1,25 @@
 """Main text of web pages by composite text density.
 
 Each page becomes a DOM of arrays.  For every node: characters, tags, characters and tags
-in links; its density is characters per tag, adjusted by the links' share as measured
-against the body; its sum is the total of its children's densities.  The node with the
-largest sum names the threshold, the least density between it and the body; the text comes
-from the nodes above the threshold around the largest sum, without the parts that are
-furniture by their element, role or class.
+in links, over all visible text, menus and adverts included; its density is characters per
+tag, adjusted by the links' share as measured against the body; its sum is the total of its
+children's densities.  The node with the largest sum is kept, and the least density on the
+path from it to the body is the threshold: beside the path, a node goes on only if its density
+reaches the threshold (and, right below the body, the largest sum in its branch does too), and of its
+branch again the subtree with the largest sum is kept, and so on down.  So every group of
+paragraphs stays, whatever their sizes to each other.  A paragraph, heading, list or table without
+links stays with its siblings on the path below the body, however short; inside a kept subtree
+only containers that are mostly links go.
+
+Lists of elements, roles and class words name what the contract excludes whatever its
+density (menus, footers, comments, ...).  They take such nodes out of the choice and out of the text,
+but not out of the densities, and no element name pulls a node in.  A class or id counts only if it
+consists of such words throughout.  ``marks=False`` leaves everything to the densities.
 
 Defined results: null or empty html gives empty text; broken or cut-off markup is read as
-far as it goes; repeated rows are read each; pages of any length are read whole; an empty
-table gives an empty table; only the id, url and html columns are read.
+far as it goes; nesting of any depth costs time in proportion to the page; repeated rows are
+read each; pages of any length are read whole; an empty table gives an empty table; only the
+id, url and html columns are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -41,6 +51,14 @@ FURNITURE = frozenset("head nav footer aside form button select option datalist
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
 #: Words of a class or id, and roles, that mark furniture.
 MARKS = frozenset("ad ads advert adverts advertisement advertising sponsor sponsored promo promotion banner sidebar menu nav navbar navigation breadcrumb breadcrumbs footer header masthead comment comments disqus replies cookie cookies consent gdpr notice notices newsletter subscribe signup share sharing social related recommended popup modal overlay pagination pager toolbar skip".split())
+#: Words that say nothing beside such a word.
+BESIDE = frozenset("a all area articles author bar block bottom box btn button buttons center col container content custom fixed floating footer global google group head holder inner item items js large left link links list local main mobile module more outer page posts primary region right row secondary section side site skyscraper slot small social sticky sub text thread title to top unit widget widgets wrap wrapper".split())
+#: Blocks of text: without links they stay with the siblings of the kept node.
+TEXTUAL = frozenset("p h1 h2 h3 h4 h5 h6 pre blockquote ul ol dl li dt dd table figure figcaption address hr".split())
+#: Least share of links that is taken as usual.
+LEAST_SHARE = 0.02
+#: Containers of a kept subtree that go if they are mostly links.
+LISTS = frozenset("div section ul ol dl table".split())
 ROLES = frozenset("navigation banner contentinfo complementary search alert alertdialog dialog form menu menubar toolbar".split())
 #: What a start tag closes, if it is open inside the given limits.
 CLOSES = {t: (frozenset(["p"]), frozenset("body article section div main td th li blockquote button".split())) for t in "address article aside blockquote center details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split()}
@@ -48,6 +66,23 @@ CLOSES |= {"li": (frozenset(["li"]), frozenset(["ul", "ol", "menu"])), "option":
 ROOTS = frozenset(["html", "body", "article", "main"])
 
 
+def says_furniture(names: str) -> bool:
+    """Whether one of the names of a class or id is made of marking words."""
+    for name in names.split():
+        words = [w for w in _SPLIT.split(name) if w and not w.isdigit()]
+        if not MARKS.isdisjoint(words) and all(w in MARKS or w in BESIDE for w in words):
+            return True
+    return False
+
+
+def is_hidden(attributes: str) -> bool:
+    for m in _ATTRIBUTE.finditer(attributes):
+        name, value = m[1].lower(), (m[2] or "").strip("\"'").lower()
+        if name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and "display:none" in value.replace(" ", "")):
+            return True
+    return False
+
+
 def is_furniture(tag: str, attributes: str, inside_article: bool) -> bool:
     if tag in FURNITURE or (tag == "header" and not inside_article):
         return True
@@ -55,134 +90,172 @@ def is_furniture(tag: str, attributes: str, inside_article: bool) -> bool:
         return False
     for m in _ATTRIBUTE.finditer(attributes):
         name, value = m[1].lower(), (m[2] or "").strip("\"'").lower()
-        if name in ("class", "id") and not MARKS.isdisjoint(_SPLIT.split(value)):
-            return True
-        if name == "role" and value in ROLES:
-            return True
-        if name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and "display:none" in value.replace(" ", "")):
+        if name in ("class", "id") and says_furniture(value) or name == "role" and value in ROLES:
             return True
     return False
 
 
 class Dom:
-    """Nodes in document order: tag, parent, furniture, and pieces of text as (node, text)."""
+    """Nodes in document order: tag, parent, whether unseen or furniture, and pieces of text as (node, text)."""
 
-    def __init__(self, page: str):
-        self.tags, self.parents, self.out = ["#"], [-1], [False]
+    def __init__(self, page: str, marks: bool = True):
+        self.tags, self.parents, self.unseen, self.marked = ["#"], [-1], [False], [False]
         self.pieces: list[tuple[int, str]] = []
-        stack, at, end = [0], 0, len(page)
-        articles = 0
+        self.stack = [0]
+        #: Places in the stack by tag, so that no tag is looked for by walking the stack.
+        self.open: dict[str, list[int]] = {}
+        at, end = 0, len(page)
         while at < end:
             m = _TOKEN.search(page, at)
             if not m:
-                self.pieces.append((stack[-1], page[at:]))
+                self.pieces.append((self.stack[-1], page[at:]))
                 break
             if m.start() > at:
-                self.pieces.append((stack[-1], page[at : m.start()]))
+                self.pieces.append((self.stack[-1], page[at : m.start()]))
             at = m.end()
             tag = m[2] or m[5]
             if not tag:
                 continue
             tag = tag.lower()
             if m[1] or m[4]:
-                if tag in ("body", "html"):
-                    continue
-                for k in range(len(stack) - 1, 0, -1):
-                    if self.tags[stack[k]] == tag:
-                        articles -= sum(self.tags[n] == "article" for n in stack[k:])
-                        del stack[k:]
-                        break
-                self.pieces.append((stack[-1], "" if tag in INLINE else "\0"))
+                if tag not in ("body", "html"):
+                    if self.open.get(tag):
+                        self.close(self.open[tag][-1])
+                    self.pieces.append((self.stack[-1], "" if tag in INLINE else "\0"))
                 continue
             attributes = m[3] or m[6] or ""
             if tag in CLOSES:
                 closed, limits = CLOSES[tag]
-                for k in range(len(stack) - 1, 0, -1):
-                    name = self.tags[stack[k]]
-                    if name in closed:
-                        del stack[k:]
-                        break
-                    if name in limits:
-                        break
-            if tag == "body" and any(self.tags[n] == "head" for n in stack):
-                del stack[next(k for k, n in enumerate(stack) if self.tags[n] == "head") :]
-            node = len(self.tags)
+                place = self.last(closed)
+                if place > self.last(limits):
+                    self.close(place)
+            if tag == "body" and self.open.get("head"):
+                self.close(self.open["head"][0])
+            node, parent = len(self.tags), self.stack[-1]
             self.tags.append(tag)
-            self.parents.append(stack[-1])
-            self.out.append(self.out[stack[-1]] or is_furniture(tag, attributes, articles > 0))
+            self.parents.append(parent)
+            self.unseen.append(self.unseen[parent] or tag in RAW or tag == "head" or bool(attributes) and is_hidden(attributes))
+            self.marked.append(self.marked[parent] or marks and is_furniture(tag, attributes, bool(self.open.get("article"))))
             if tag not in INLINE:
-                self.pieces.append((stack[-1], "\0"))
+                self.pieces.append((parent, "\0"))
             if tag in VOID or attributes.endswith("/"):
                 continue
             if tag in RAW:
                 close = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
                 at = close.end() if close else end
                 continue
-            if tag == "article":
-                articles += 1
-            stack.append(node)
+            self.open.setdefault(tag, []).append(len(self.stack))
+            self.stack.append(node)
 
+    def last(self, tags: frozenset) -> int:
+        """The topmost place of any of these tags in the stack; 0 if none is open."""
+        return max((self.open[t][-1] for t in tags if self.open.get(t)), default=0)
 
-def main_text(page: str | None) -> str:
-    if not page:
-        return ""
-    dom = Dom(page)
-    n = len(dom.tags)
-    chars, tags, link_chars, link_tags = [0] * n, [1] * n, [0] * n, [0] * n
-    linked = [False] * n
-    for i in range(1, n):
-        linked[i] = dom.tags[i] == "a" or linked[dom.parents[i]]
-    texts = []
-    for node, piece in dom.pieces:
-        if piece and piece != "\0" and not dom.out[node]:
-            piece = html.unescape(piece) if "&" in piece else piece
-            size = len(piece.strip())
-            chars[node] += size
-            link_chars[node] += size * linked[node]
-        texts.append((node, " " if piece == "\0" else piece))
-    for i in range(n - 1, 0, -1):
-        if dom.out[i]:
-            continue
-        p = dom.parents[i]
-        chars[p] += chars[i]
-        link_chars[p] += link_chars[i]
-        tags[p] += tags[i]
-        link_tags[p] += link_tags[i] + (dom.tags[i] == "a")
-    body = next((i for i in range(n) if dom.tags[i] == "body"), 0)
-    share = link_chars[body] / max(1, chars[body])
-
-    def density(i: int) -> float:
-        c, t = chars[i], tags[i]
+    def close(self, place: int) -> None:
+        while len(self.stack) > place:
+            self.open[self.tags[self.stack.pop()]].pop()
+
+
+class Densities:
+    """Characters, tags, densities and their sums of all nodes of a page."""
+
+    def __init__(self, dom: Dom):
+        self.dom, n = dom, len(dom.tags)
+        self.chars, self.tags, self.link_chars, self.link_tags = [0] * n, [1] * n, [0] * n, [0] * n
+        linked = [False] * n
+        for i in range(1, n):
+            linked[i] = dom.tags[i] == "a" or linked[dom.parents[i]]
+        self.texts = []
+        for node, piece in dom.pieces:
+            if piece and piece != "\0" and not dom.unseen[node]:
+                piece = html.unescape(piece) if "&" in piece else piece
+                size = len(piece.strip())
+                self.chars[node] += size
+                self.link_chars[node] += size * linked[node]
+            self.texts.append((node, " " if piece == "\0" else piece))
+        for i in range(n - 1, 0, -1):
+            if not dom.unseen[i]:
+                p = dom.parents[i]
+                self.chars[p] += self.chars[i]
+                self.link_chars[p] += self.link_chars[i]
+                self.tags[p] += self.tags[i]
+                self.link_tags[p] += self.link_tags[i] + (dom.tags[i] == "a")
+        self.body = next((i for i in range(n) if dom.tags[i] == "body"), 0)
+        # The body's shares of link characters and of links: what is usual on this page.
+        self.char_share = max(LEAST_SHARE, self.link_chars[self.body] / max(1, self.chars[self.body]))
+        self.tag_share = max(LEAST_SHARE, self.link_tags[self.body] / self.tags[self.body])
+        self.own = [0.0 if dom.unseen[i] else self.density(i) for i in range(n)]
+        self.sums = [0.0] * n
+        for i in range(1, n):
+            if not (dom.unseen[i] or dom.marked[i] or dom.tags[i] in INLINE):
+                self.sums[dom.parents[i]] += self.own[i]
+
+    def density(self, i: int) -> float:
+        """Characters per tag, times a logarithm that falls from that of link-free text to 0 as links take over."""
+        c, t = self.chars[i], self.tags[i]
         if not c:
             return 0.0
-        lc, lt = max(1, link_chars[i]), max(1, link_tags[i])
-        base = math.log(c / max(1, c - link_chars[i]) * link_chars[i] + share * c + math.e)
-        # base is 1 without any link: the bound keeps the logarithm to it finite.
-        return c / t * math.log(max(c / lc * t / lt, 1.0)) / max(math.log(base), 0.05)
+        rest = c / (self.link_chars[i] + self.char_share * c) * t / (self.link_tags[i] + self.tag_share * t)
+        return c / t * math.log(max(rest, 1.0))
 
-    own = [0.0 if dom.out[i] else density(i) for i in range(n)]
-    sums = [0.0] * n
+
+#: What becomes of a node: gone, on the path to the largest sum of its branch, or kept whole.
+GONE, PATH, WHOLE = 0, 1, 2
+
+
+def kept_nodes(d: Densities) -> list[int]:
+    """GONE, PATH or WHOLE for every node."""
+    dom, n = d.dom, len(d.dom.tags)
+    out = [dom.unseen[i] or dom.marked[i] for i in range(n)]
+    state = [GONE] * n
+    # The node with the largest sum in each subtree (then the most characters, then the first).
+    best = [-1 if out[i] or dom.tags[i] in INLINE or not d.chars[i] else i for i in range(n)]
+    rank = lambda i: (d.sums[i], d.chars[i], -i)
+    for i in range(n - 1, 0, -1):
+        p = dom.parents[i]
+        if best[i] >= 0 and not out[p] and (best[p] < 0 or rank(best[i]) > rank(best[p])):
+            best[p] = best[i]
+    if best[0] < 0:
+        return state
+
+    def enter(root: int) -> None:
+        node = best[root]
+        state[node] = WHOLE
+        while node != root:
+            node = dom.parents[node]
+            state[node] = PATH
+
+    node = best[0]
+    threshold = d.own[node]
+    while node not in (d.body, 0):
+        node = dom.parents[node]
+        threshold = min(threshold, d.own[node])
+    enter(0)
     for i in range(1, n):
-        if not dom.out[i] and dom.tags[i] not in INLINE:
-            sums[dom.parents[i]] += own[i]
-    blocks = [i for i in range(n) if not dom.out[i] and dom.tags[i] not in INLINE and chars[i]]
-    if not blocks:
+        p = dom.parents[i]
+        if state[i] or out[i] or not state[p]:
+            continue
+        inline = dom.tags[i] in INLINE
+        if state[p] == WHOLE:
+            menu = dom.tags[i] in LISTS and d.own[i] < threshold and d.link_tags[i] > 1 and 2 * d.link_chars[i] > d.chars[i]
+            state[i] = GONE if menu else WHOLE
+        elif inline:
+            state[i] = WHOLE if p not in (d.body, 0) else GONE
+        elif best[i] >= 0 and d.own[i] >= threshold and (d.sums[best[i]] >= threshold or p not in (d.body, 0)):
+            enter(i)
+        elif dom.tags[i] in TEXTUAL and not d.link_chars[i] and p not in (d.body, 0):
+            state[i] = WHOLE
+    return state
+
+
+def main_text(page: str | None, marks: bool = True) -> str:
+    if not page:
         return ""
-    best = max(blocks, key=lambda i: (sums[i], chars[i], -i))
-    threshold, node, top = own[best], best, best
-    while node not in (body, 0) and node >= 0:
-        threshold = min(threshold, own[node])
-        if dom.tags[node] in ("article", "main"):
-            top = node
-        node = dom.parents[node]
-    if top == best:  # without an article element: climb while the parent adds text as dense as the path
-        while (p := dom.parents[top]) > 0 and dom.tags[p] not in ROOTS and own[p] >= threshold and chars[p] <= 1.5 * chars[top]:
-            top = p
-    inside = [False] * n
-    inside[top] = True
-    for i in range(top + 1, n):
-        inside[i] = inside[dom.parents[i]] and not dom.out[i]
-    return " ".join("".join(t for node, t in texts if inside[node]).split())
+    dom = Dom(page, marks)
+    d = Densities(dom)
+    state = kept_nodes(d)
+    keep = [s == WHOLE or s == PATH and i not in (d.body, 0) for i, s in enumerate(state)]
+    return " ".join("".join(t for node, t in d.texts if keep[node] or t == " ").split())
 
 
 def extract(df: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -442,13 +442,55 @@ def test_mix_edge(edge, empty):
 
 # ---- 10 pages
 
-def test_html(spark, sf):
+def article_text(page):
     import html
 
+    inside = page[page.find("<article>") : page.find("</article>")]
+    inside = re.sub(r"</?b>", "", re.sub(r"</?(p|h1|br|article)>", " ", inside))
+    return " ".join(html.unescape(inside).split())
+
+
+def renamed(page):
+    return page.replace("<article>", "<div>").replace("</article>", "</div>")
+
+
+def test_html(spark, sf):
     for r in spark.read.parquet(f"{sf}/pages.parquet").collect():
-        inside = r.html[r.html.find("<article>") : r.html.find("</article>")]
-        inside = re.sub(r"</?b>", "", re.sub(r"</?(p|h1|br|article)>", " ", inside))
-        assert html_text.main_text(r.html) == " ".join(html.unescape(inside).split())
+        assert html_text.main_text(r.html) == html_text.main_text(renamed(r.html)) == article_text(r.html)
+
+
+def test_html_density_decides(spark, sf, monkeypatch):
+    """Without any list of elements or classes the densities find the text; a constant density does not."""
+    pages = [(renamed(r.html), article_text(r.html)) for r in spark.read.parquet(f"{sf}/pages.parquet").collect()]
+    share = lambda: sum(html_text.main_text(p, marks=False) == want for p, want in pages) / len(pages)
+    assert share() > 0.85
+    para = "w" * 200
+    menu = "<div>" + "".join(f"<div><a href={i}>go {i}</a></div>" for i in range(9)) + "</div>"
+    page = f"<body>{menu}<div><div>{''.join(f'<p>{para}{i}</p>' for i in range(4))}</div><div>{''.join(f'<p>{para}x{i}</p>' for i in range(3))}</div></div><div>small print</div>"
+    want = " ".join([f"{para}{i}" for i in range(4)] + [f"{para}x{i}" for i in range(3)])
+    assert html_text.main_text(page) == html_text.main_text(page, marks=False) == want
+    for other in (lambda d, i: 1.0, lambda d, i: 0.0):
+        monkeypatch.setattr(html_text.Densities, "density", other)
+        assert share() < 0.2 and html_text.main_text(page) != want
+
+
+def test_html_groups_lists_and_names():
+    para = "some words of prose that make a paragraph of usual length here " * 4
+    items = "".join(f"<li>{'item text here ' * 4}{i}</li>" for i in range(10))
+    links = "<div><a href=1>related story one</a> <a href=2>related story two</a></div>"
+    page = f"<body><header><h1>Site</h1></header><div><a href=1>home</a> <a href=2>news</a> <a href=3>contact</a></div><div><div><h1>Title</h1><p>{para}one</p><p>ok</p><ul>{items}</ul><p>The end.</p></div>{links}</div><div>&copy; 2020 x</div></body>"
+    want = " ".join(f"Title {para}one ok {' '.join('item text here ' * 4 + str(i) for i in range(10))} The end.".split())
+    assert html_text.main_text(page) == want
+    # A long list beats the paragraphs' sum; they stay. Names that only contain a marking word are no furniture.
+    page = f'<body><nav><a href=x>m</a></nav><div class="related-work"><p>{para}</p><p class="header-image">{para}</p><p class="cookie-notice">no</p><div id="comments-2">{para}</div></div></body>'
+    assert html_text.main_text(page) == " ".join((para + para).split())
+
+
+def test_html_deep_nesting_is_linear():
+    began = __import__("time").time()
+    assert html_text.main_text("<div><span>" * 30000 + "x" + "</b>" * 30000) == "x"
+    assert html_text.main_text("<p><div>" + "<span>" * 30000 + "<hr>" * 30000 + "x") == "x"
+    assert __import__("time").time() - began < 30
 
 
 def test_html_furniture_and_broken_markup():
@@ -462,6 +504,7 @@ def test_html_furniture_and_broken_markup():
 
 
 def test_html_edge(spark):
-    rows = spark.createDataFrame([(1, "u", None, "t"), (1, "u", None, "t"), (None, None, "<p>x", "t")], "page_id bigint, url string, html string, text string")
+    rows = spark.createDataFrame([(1, "u", None, "t", 7), (1, "u", None, "t", 7), (None, None, "<p>x", "t", 7)], "page_id bigint, url string, html string, text string, n_chars int")
+    assert html_text.extract(rows).columns == ["page_id", "url", "text", "n_chars"]
     assert sorted((r.page_id or 0, r.url or "", r.text, r.n_chars) for r in html_text.extract(rows).collect()) == [(0, "", "x", 1), (1, "u", "", 0), (1, "u", "", 0)]
     assert html_text.extract(rows.filter("false")).count() == 0
