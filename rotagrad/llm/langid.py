@@ -2,9 +2,12 @@
 
 The pieces come from a fixed public vocabulary; each language has a probability per
 piece.  A word's likelihood is the sum over all its segmentations into pieces, by the
-forward algorithm; pieces never cross word boundaries, so a text's log likelihood is the
-sum of its words', every word of the whole text counted.  The probabilities are fitted by
-expectation-maximisation over the same lattices.
+forward algorithm over the whole word, whatever its length, and all pieces of the vocabulary; pieces
+never cross word boundaries, so a text's log likelihood is the sum of its words', every word of the
+whole text counted.  Texts are lower-cased first.  The probabilities are fitted by
+expectation-maximisation over the same lattices.  Words up to ``LONG`` characters go through in
+batches, with every piece's probability scaled by its length against underflow; longer ones one by
+one in logarithms: two ways to the same sums.
 
 Only the fit looks at a bounded sample: at most about ``docs_per_language`` labelled
 documents of each language, chosen by a hash of the id (``bound`` below).  All documents
@@ -13,7 +16,8 @@ table; a miss is scored with the other misses of its batch at once.
 
 Defined results: a text that is null, empty or without letters is ``und`` with score 0;
 ties go to the language that sorts first; without any labelled document all is ``und``;
-repeated rows are predicted each; other columns pass through untouched.
+repeated rows are predicted each; other columns pass through untouched, but an input column of an
+output's name is replaced.
 """
 
 from __future__ import annotations
@@ -29,20 +33,21 @@ from pyspark.sql import functions as F
 from rotagrad.llm.common import one_per_worker
 
 WORDS = re.compile(r"[^\W\d_]+")
-#: Longer words are scored in stretches of this many characters.
-STRETCH = 24
-LONGEST_PIECE = 12
+#: Characters of a word (with its mark) up to which words are scored in batches.
+LONG = 32
+#: Factor per character that keeps products of probabilities in range.
+SCALE = 1e3
 MARK = "▁"
 UNKNOWN_SHARE = 1e-7
 
 
 def vocabulary(model: bytes) -> list[str]:
-    """Ordinary pieces of a sentencepiece model, lower case only as texts are lower-cased."""
+    """All ordinary pieces of a sentencepiece model."""
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_proto=model)
     pieces = (sp.id_to_piece(i) for i in range(sp.get_piece_size()) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i)))
-    return sorted({p for p in pieces if p == p.lower() and len(p) <= LONGEST_PIECE})
+    return sorted(set(pieces))
 
 
 #: A string that begins some piece but is none, and one that no piece begins with.
@@ -53,69 +58,91 @@ def with_prefixes(pieces: list[str]) -> dict[str, int]:
     return {p[:n]: PREFIX for p in pieces for n in range(1, len(p))} | {p: i for i, p in enumerate(pieces)}
 
 
+def edges(word: str, index: dict[str, int], unknown: int, longest: int) -> Iterator[tuple[int, int, int]]:
+    """(start, end, piece) of every piece in a word; a single character without a piece is an unknown one."""
+    known, n = index.get, len(word)
+    for i in range(n):
+        for j in range(i + 1, min(n, i + longest) + 1):
+            p = known(word[i:j], NO_PIECE)
+            if p >= 0:
+                yield i, j, p
+            elif j == i + 1:
+                yield i, j, unknown
+            if p == NO_PIECE:
+                break
+
+
 class Lattices:
-    """All segmentations of many words: edges from start to end, grouped by end."""
+    """All segmentations of many words of at most ``LONG`` characters: edges from start to end, grouped by end."""
 
     def __init__(self, words: list[str], index: dict[str, int], unknown: int):
         """index: as ``with_prefixes`` makes it; unknown: the number for characters without a piece."""
-        known = index.get
-        self.n = len(words)
-        lengths, w_of, start_of, end_of, piece_of = [], [], [], [], []
-        for w, word in enumerate(words):
-            n = len(word)
-            lengths.append(n)
-            for i in range(n):
-                for j in range(i + 1, min(n, i + LONGEST_PIECE) + 1):
-                    p = known(word[i:j], NO_PIECE)
-                    if p < 0:
-                        if j == i + 1:
-                            w_of.append(w)
-                            start_of.append(i)
-                            end_of.append(j)
-                            piece_of.append(unknown)
-                        if p == NO_PIECE:
-                            break
-                        continue
-                    w_of.append(w)
-                    start_of.append(i)
-                    end_of.append(j)
-                    piece_of.append(p)
-        self.lengths = np.array(lengths, np.int64)
-        self.w, self.start, self.end, self.piece = (np.array(x, np.int64) for x in (w_of, start_of, end_of, piece_of))
+        self.n, longest = len(words), max(map(len, index), default=1)
+        flat = [(w, *e) for w, word in enumerate(words) for e in edges(word, index, unknown, longest)]
+        self.lengths = np.fromiter(map(len, words), np.int64, len(words))
+        self.w, self.start, self.end, self.piece = np.array(flat, np.int64).reshape(-1, 4).T.copy()
+        self.scale = SCALE ** (self.end - self.start)
         self.deep = int(self.lengths.max(initial=0))
         by_end, by_start = np.argsort(self.end, kind="stable"), np.argsort(self.start, kind="stable")
         self.at_end = np.split(by_end, np.searchsorted(self.end[by_end], np.arange(1, self.deep + 1))[1:]) if self.deep else []
         self.at_start = np.split(by_start, np.searchsorted(self.start[by_start], np.arange(self.deep))[1:]) if self.deep else []
 
     def forward(self, p: np.ndarray) -> np.ndarray:
-        """Sums over segmentations of each prefix: words x positions."""
+        """Sums over segmentations of each prefix, times SCALE per character: words x positions."""
         alpha = np.zeros((self.n, self.deep + 1))
         alpha[:, 0] = 1
+        scaled = p[self.piece] * self.scale
         for j, e in enumerate(self.at_end, 1):
             w = self.w[e]
-            alpha[:, j] = np.bincount(w, alpha[w, self.start[e]] * p[self.piece[e]], self.n)
+            alpha[:, j] = np.bincount(w, alpha[w, self.start[e]] * scaled[e], self.n)
         return alpha
 
-    def likelihood(self, p: np.ndarray) -> np.ndarray:
-        return self.forward(p)[np.arange(self.n), self.lengths]
+    def logs(self, p: np.ndarray) -> np.ndarray:
+        """The logarithm of each word's likelihood."""
+        return np.log(self.forward(p)[np.arange(self.n), self.lengths]) - self.lengths * np.log(SCALE)
 
     def expected(self, p: np.ndarray, counts: np.ndarray) -> np.ndarray:
         """Expected uses of each piece over words that occur ``counts`` times."""
         alpha, beta = self.forward(p), np.zeros((self.n, self.deep + 1))
         beta[np.arange(self.n), self.lengths] = 1
         total = alpha[np.arange(self.n), self.lengths]
+        scaled = p[self.piece] * self.scale
         for i in range(self.deep - 1, -1, -1):
             e = self.at_start[i]
             w = self.w[e]
-            beta[:, i] += np.bincount(w, beta[w, self.end[e]] * p[self.piece[e]], self.n)
-        use = alpha[self.w, self.start] * p[self.piece] * beta[self.w, self.end]
-        use *= (counts / np.maximum(total, 1e-300))[self.w]
+            beta[:, i] += np.bincount(w, beta[w, self.end[e]] * scaled[e], self.n)
+        use = alpha[self.w, self.start] * scaled * beta[self.w, self.end] * (counts / total)[self.w]
         return np.bincount(self.piece, use, len(p))
 
 
-def stretches(word: str) -> list[str]:
-    word = MARK + word
-    return [word[i : i + STRETCH] for i in range(0, len(word), STRETCH)]
+class LongLattice:
+    """The same for one word of any length, in logarithms."""
+
+    def __init__(self, word: str, index: dict[str, int], unknown: int):
+        self.n = len(word)
+        own = edges(word, index, unknown, max(map(len, index), default=1))
+        self.start, self.end, self.piece = np.array(list(own), np.int64).reshape(-1, 3).T.copy()
+        self.by_end = np.argsort(self.end, kind="stable")
+        self.to = np.searchsorted(self.end[self.by_end], np.arange(self.n + 2))
+        self.of = np.searchsorted(self.start, np.arange(self.n + 1))
+
+    def forward(self, p: np.ndarray) -> np.ndarray:
+        """Logarithms of the sums over segmentations of each prefix; p may have a row per language."""
+        edge, alpha = np.log(p)[..., self.piece], np.zeros((*p.shape[:-1], self.n + 1))
+        for j in range(1, self.n + 1):
+            e = self.by_end[self.to[j] : self.to[j + 1]]
+            alpha[..., j] = np.logaddexp.reduce(alpha[..., self.start[e]] + edge[..., e], axis=-1)
+        return alpha
+
+    def logs(self, p: np.ndarray) -> np.ndarray:
+        return self.forward(p)[..., -1]
+
+    def expected(self, p: np.ndarray, count: float) -> np.ndarray:
+        edge, alpha, beta = np.log(p)[self.piece], self.forward(p), np.zeros(self.n + 1)
+        for i in range(self.n - 1, -1, -1):
+            e = slice(self.of[i], self.of[i + 1])
+            beta[i] = np.logaddexp.reduce(edge[e] + beta[self.end[e]])
+        return np.bincount(self.piece, count * np.exp(alpha[self.start] + edge + beta[self.end] - alpha[-1]), len(p))
 
 
 class Model:
@@ -131,16 +158,14 @@ class Model:
         languages = sorted({c[0] for c in counts})
         out = np.zeros((len(languages), len(pieces) + 1))
         for k, lang in enumerate(languages):
-            tally: dict[str, int] = {}
-            for word, n in ((w, n) for c, w, n in counts if c == lang):
-                for s in stretches(word):
-                    tally[s] = tally.get(s, 0) + n
-            words = sorted(tally)
-            lattices, n = Lattices(words, index, len(pieces)), np.array([tally[w] for w in words], float)
+            own = sorted((MARK + w, n) for c, w, n in counts if c == lang)
+            short = [x for x in own if len(x[0]) <= LONG]
+            lattices, n = Lattices([w for w, _ in short], index, len(pieces)), np.array([c for _, c in short], float)
+            far = [(LongLattice(w, index, len(pieces)), c) for w, c in own if len(w) > LONG]
             p = np.full(len(pieces) + 1, 1 / len(pieces))
             p[-1] = UNKNOWN_SHARE
             for _ in range(rounds):
-                use = lattices.expected(p, n) + smooth
+                use = sum((x.expected(p, c) for x, c in far), lattices.expected(p, n)) + smooth
                 unknown = max(UNKNOWN_SHARE, use[-1] / use.sum() * 0.1)
                 p = use / use[:-1].sum() * (1 - unknown)
                 p[-1] = unknown
@@ -161,13 +186,16 @@ class Scorer:
 
     def learn(self, words: list[str]) -> None:
         """Score words that the cache lacks."""
-        parts, owner = [], []
-        for k, w in enumerate(words):
-            own = stretches(w)
-            parts += own
-            owner += [k] * len(own)
-        lattices = Lattices(parts, self.index, len(self.model.pieces))
-        new = np.stack([np.bincount(owner, np.log(np.maximum(lattices.likelihood(p), 1e-300)), len(words)) for p in self.model.probabilities], axis=1)
+        marked = [MARK + w for w in words]
+        p, unknown = self.model.probabilities, len(self.model.pieces)
+        new = np.empty((len(words), len(p)))
+        short = [k for k, w in enumerate(marked) if len(w) <= LONG]
+        lattices = Lattices([marked[k] for k in short], self.index, unknown)
+        for lang, row in enumerate(p):
+            new[short, lang] = lattices.logs(row)
+        for k, w in enumerate(marked):
+            if len(w) > LONG:
+                new[k] = LongLattice(w, self.index, unknown).logs(p)
         first = len(self.rows)
         while len(self.logs) < first + len(words):
             self.logs = np.concatenate([self.logs, np.zeros_like(self.logs)])
@@ -219,9 +247,11 @@ def train(labelled: DataFrame, vocabulary_path: str, id_col: str = "doc_id", tex
 
 
 def identify(df: DataFrame, model: Model, text_col: str = "text", lang_out: str = "lang_pred", score_out: str = "score") -> DataFrame:
-    """All columns of ``df`` and the prediction; names that clash with the outputs are the caller's to rename."""
+    """All columns of ``df`` and the prediction; input columns named like an output are replaced."""
     import hashlib
 
+    df = df.select(*[F.col(c) for c in df.columns if c == text_col or c not in (lang_out, score_out)])
+
     shared = df.sparkSession.sparkContext.broadcast(model)
     tag = hashlib.md5(model.probabilities.tobytes() + repr(model.languages).encode()).hexdigest()
     where, names = df.columns.index(text_col), [*df.columns, lang_out, score_out]

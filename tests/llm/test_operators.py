@@ -312,7 +312,52 @@ def test_forward_sums_all_segmentations():
     def total(rest):
         return 1.0 if not rest else sum(p[i] * total(rest[len(x) :]) for i, x in enumerate(pieces) if rest.startswith(x)) + (p[-1] * total(rest[1:]) if rest[0] not in pieces else 0)
 
-    assert langid.Lattices([word], index, len(pieces)).likelihood(p)[0] == pytest.approx(total(word))
+    want = math.log(total(word))
+    assert langid.Lattices([word, "▁"], index, len(pieces)).logs(p)[0] == pytest.approx(want)
+    assert langid.LongLattice(word, index, len(pieces)).logs(p) == pytest.approx(want)
+    uses = langid.Lattices([word], index, len(pieces)).expected(p, np.array([3.0]))
+    assert langid.LongLattice(word, index, len(pieces)).expected(p, 3.0) == pytest.approx(uses)
+
+
+def test_long_words_are_summed_whole():
+    """Both ways agree around the border, and no segmentation across any place is left out."""
+    pieces = ["▁", "a", "b", "ab", "abab", "ababababab"]
+    index, rng = langid.with_prefixes(pieces), np.random.default_rng(5)
+    p = rng.dirichlet(np.ones(len(pieces) + 1))
+    for n in (5, langid.LONG - 1, langid.LONG, 1000):
+        word = ("▁" + "ab" * n)[:n]
+        alpha = [0.0]
+        for j in range(1, n + 1):  # logarithms of the plain sums
+            alpha.append(np.logaddexp.reduce([alpha[j - len(x)] + math.log(p[i]) for i, x in enumerate(pieces) if word[:j].endswith(x)]))
+        assert langid.LongLattice(word, index, len(pieces)).logs(p) == pytest.approx(alpha[-1])
+        if n <= langid.LONG:
+            assert langid.Lattices([word], index, len(pieces)).logs(p)[0] == pytest.approx(alpha[-1])
+
+
+def test_language_predictions_by_plain_recomputation(spark, real):
+    """Every row's language and score from sums over whole words, without batches, caches or scaling."""
+    model = langid.train(real, queries.tokenizer_path("piece_bpe_32k.model"))
+    number, logs = {x: i for i, x in enumerate(model.pieces)}, np.log(model.probabilities)
+    longest, seen = max(map(len, number)), {}
+
+    def word_logs(word):
+        alpha = np.zeros((len(word) + 1, len(logs)))
+        for j in range(1, len(word) + 1):
+            own = [alpha[i] + logs[:, number[word[i:j]]] for i in range(max(0, j - longest), j) if word[i:j] in number]
+            alpha[j] = np.logaddexp.reduce(own + ([alpha[j - 1] + logs[:, -1]] if word[j - 1] not in number else []))
+        return alpha[-1]
+
+    rows = real.filter("length(text) < 1500").limit(60).select("doc_id", "text").collect()
+    rows += [(-1, "²" * 9), (-2, "straße " * 3 + "z" * 90), (-3, None)]
+    frame = spark.createDataFrame([tuple(r) for r in rows], "doc_id bigint, text string").withColumn("score", F.lit("x")).withColumn("lang_pred", F.lit(1))
+    for r in langid.identify(frame, model).collect():
+        words = re.findall(r"[^\W\d_]+", (r.text or "").lower())
+        if not any(c.isalpha() for c in r.text or ""):
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+            continue
+        total = sum(seen.setdefault(w, word_logs("▁" + w)) for w in words)
+        share = np.exp(total - total.max())
+        assert r.lang_pred == model.languages[int(total.argmax())] and r.score == pytest.approx(share.max() / share.sum(), abs=1e-6)
 
 
 def test_language_held_out_accuracy(spark, sf, real):
