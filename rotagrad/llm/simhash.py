@@ -2,15 +2,25 @@
 
 Fingerprints are compared in tiles with numpy exclusive-or and bit counts; rows stand by
 population count, so tile pairs whose counts differ beyond the radius are skipped.  So
-that no comparison is all against all, fingerprints are first dealt out by what any pair
-in reach must share: of ``radius + 2`` stretches of bits at least two are equal, hence
-one bucket per pair of stretches.  Nothing is lost by that, and a bucket's tiles
-meet in one task.  Equal fingerprints collapse before, so a bucket holds distinct ones;
-a bucket above ``SPLIT`` rows is dealt out again inside the task by its other bits.
-
-A bucket gives only a spanning forest of its links.  Components come from repeated
-hooking to the smallest neighbour and pointer jumping on DataFrames, each round
-checkpointed; neither links nor fingerprints reach the driver.
+that no comparison is all against all, fingerprints are first dealt out into buckets, and the tiles
+of a bucket meet in one task; equal fingerprints collapse before, so a bucket holds distinct ones.
+
+``near_duplicates`` (64 bits, a small radius) deals by what any pair in reach must share: of
+``radius + 2`` stretches of bits at least two are equal, hence one bucket per pair of
+stretches, and nothing is lost.  A bucket above ``SPLIT`` rows is dealt out again by its other
+bits, of which any pair in reach shares one of ``radius + 1`` runs; what is left of them bounds
+a task's rows.
+
+``similar`` (256 bits, a similarity of word shingles such as 0.8) would need a radius that leaves
+no such stretch.  It deals by ``tables`` keyed choices of bits instead, as many as a pair of just that
+similarity needs to meet with probability ``recall``; the choice widens with the logarithm of
+the number of fingerprints, so buckets stay small.  The distance estimates the similarity (standard error
+0.02 at 0.8).  A bucket above ``SPLIT`` rows is compared in salted parts, and the
+least and greatest member of each part's groups meet once more.
+
+A bucket gives only a spanning forest of its links, as trees of fan-out ``FAN``, so that no
+vertex has many.  Components come from repeated hooking to the smallest neighbour and pointer
+jumping on DataFrames, each round checkpointed; neither links nor fingerprints reach the driver.
 
 Defined results: null and blank texts have fingerprint zero and are linked like any
 other; repeated rows link with each other; a null id is never the smallest; an empty
@@ -19,12 +29,13 @@ table gives an empty table; other columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rotagrad.llm.common import checkpointed
@@ -33,28 +44,65 @@ SEED = 42
 TILE = 1024
 SPLIT = 8192
 PIECE = 1 << 15
+#: Children of a vertex in the trees that a bucket gives.
+FAN = 16
+#: 64-bit words of a wide fingerprint.
+WORDS = 4
+LANES = np.uint64(0x0101010101010101)
 
 
-def fingerprint(text: str | None, shingle: int = 3) -> int:
-    """Majority bits of the XXH64 of all word shingles, repeats included; signed 64 bits."""
+def shingle_hashes(text: str | None, shingle: int) -> np.ndarray:
+    """XXH64 of all word shingles, repeats included; the whole sequence if it has fewer words."""
     from xxhash import xxh64_intdigest
 
     words = text.encode().lower().split() if text else []
     n = len(words)
     if not n:
-        return 0
+        return np.zeros(0, np.uint64)
     data = b" ".join(words)
     if n <= shingle:
-        h = [xxh64_intdigest(data, SEED)]
-    else:
-        ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
-        begins = np.concatenate([[0], ends[:-1] + 1])
-        h = [xxh64_intdigest(data[a:b], SEED) for a, b in zip(begins[: n - shingle + 1].tolist(), ends[shingle - 1 :].tolist())]
-    ones = np.zeros(64, np.int64)
-    for i in range(0, len(h), PIECE):
-        part = np.array(h[i : i + PIECE], np.uint64)
-        ones += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * ones > len(h), bitorder="little").view("<i8")[0])
+        return np.array([xxh64_intdigest(data, SEED)], np.uint64)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
+    begins = np.concatenate([[0], ends[:-1] + 1])
+    out = np.empty(n - shingle + 1, np.uint64)
+    for i in range(0, len(out), PIECE):
+        cut = slice(i, i + PIECE)
+        out[cut] = [xxh64_intdigest(data[a:b], SEED) for a, b in zip(begins[: len(out)][cut].tolist(), ends[shingle - 1 :][cut].tolist())]
+    return out
+
+
+def bit_counts(h: np.ndarray) -> np.ndarray:
+    """How many of the numbers have each of 64 bits, lowest first."""
+    out = np.zeros((8, 8), np.int64)
+    rows = np.arange(0, len(h), 255)  # so many ones fit a byte
+    for shift in range(8):
+        sums = np.add.reduceat((h >> np.uint64(shift)) & LANES, rows)
+        out[:, shift] = sums.astype("<u8").view(np.uint8).reshape(-1, 8).sum(axis=0, dtype=np.int64)
+    return out.ravel()
+
+
+def majority(h: np.ndarray) -> np.ndarray:
+    return np.packbits(2 * bit_counts(h) > len(h), bitorder="little")
+
+
+def fingerprint(text: str | None, shingle: int = 3) -> int:
+    """Majority bits of the XXH64 of all word shingles, repeats included; signed 64 bits."""
+    h = shingle_hashes(text, shingle)
+    return int(majority(h).view("<i8")[0]) if len(h) else 0
+
+
+def wide_fingerprint(text: str | None, shingle: int = 5) -> bytes:
+    """Majority bits of 256-bit expansions of the different shingles' hashes."""
+    h = np.unique(shingle_hashes(text, shingle))
+    if not len(h):
+        return bytes(8 * WORDS)
+    parts = []
+    for k in range(WORDS):
+        z = h + np.uint64((0x9E3779B97F4A7C15 * (k + 1)) % (1 << 64))
+        z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        parts.append(majority(z ^ (z >> np.uint64(31))))
+    return np.concatenate(parts).tobytes()
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
@@ -75,17 +123,25 @@ def stretches(count: int) -> list[int]:
     return [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:])]
 
 
+def distance(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Differing bits; wide fingerprints have their words along the last axis."""
+    d = np.bitwise_count(a ^ b)
+    return d if d.ndim < 3 else d.sum(axis=-1, dtype=np.int16)
+
+
 def tiles(fps: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs within the radius, tile by tile; fps uint64, distinct."""
+    """Index pairs within the radius, tile by tile; fps uint64, distinct (of several words: a row each)."""
     ones = np.bitwise_count(fps)
+    ones = ones if fps.ndim == 1 else ones.sum(axis=1, dtype=np.int64)
     order = np.argsort(ones, kind="stable")
     sorted_fps, ones = fps[order], ones[order].astype(np.int64)
-    for a in range(0, len(fps), TILE):
-        last = ones[min(a + TILE, len(fps)) - 1]
-        for b in range(a, len(fps), TILE):
+    size = TILE if fps.ndim == 1 else TILE // 4
+    for a in range(0, len(fps), size):
+        last = ones[min(a + size, len(fps)) - 1]
+        for b in range(a, len(fps), size):
             if ones[b] - last > radius:
                 break  # rows stand by population count: no later tile is nearer
-            near = np.bitwise_count(sorted_fps[a : a + TILE, None] ^ sorted_fps[None, b : b + TILE]) <= radius
+            near = distance(sorted_fps[a : a + size, None], sorted_fps[None, b : b + size]) <= radius
             i, j = np.nonzero(near)
             i, j = i + a, j + b
             keep = i < j
@@ -124,56 +180,177 @@ def forest(fps: np.ndarray, radius: int, masks: list[int]) -> np.ndarray:
     return root
 
 
+def tree_edges(root: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(child, parent) indices: a tree of fan-out FAN over each group of equal roots, the least index on top."""
+    order = np.argsort(root, kind="stable")
+    new = np.concatenate([[True], np.diff(root[order]) != 0])
+    first = np.flatnonzero(new)[np.cumsum(new) - 1]  # where each row's group begins
+    place = np.arange(len(order)) - first
+    child = np.flatnonzero(place)
+    return order[child], order[first[child] + (place[child] - 1) // FAN]
+
+
+def grouped(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[list[np.ndarray]]:
+    """Runs of whole groups (rows with equal last ``keys`` columns stand together) as arrays per column; rows are held in
+    parts until their group ends and put together once."""
+    held: list[list[np.ndarray]] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        now = [as_array(c) for c in batch.columns]
+        same = np.ones(batch.num_rows, bool)
+        for c in now[-keys:]:
+            same &= c == c[-1]
+        cut = int(np.flatnonzero(~same)[-1]) + 1 if not same.all() else 0
+        ended = bool(held) and any(h[-1] != c[0] for h, c in zip(held[-1][-keys:], now[-keys:]))
+        if cut or ended:
+            done = [*held, [c[:cut] for c in now]]
+            yield [np.concatenate(x) for x in zip(*done)]
+            held = []
+        held.append([c[cut:] for c in now])
+    if held:
+        yield [np.concatenate(x) for x in zip(*held)]
+
+
+def as_array(column: pa.Array) -> np.ndarray:
+    """Numbers, or the words of wide fingerprints as rows."""
+    if pa.types.is_binary(column.type):
+        return np.frombuffer(b"".join(column.to_pylist()), "<u8").reshape(len(column), -1)
+    return np.asarray(column)
+
+
 def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     """Rows (a, b), a > b as signed numbers: links that span every component of fingerprints in reach."""
     masks = stretches(radius + 2)
     chosen = list(combinations(range(len(masks)), 2))
 
-    def signed(m: int) -> int:
-        return m - (1 << 64) if m >> 63 else m
+    def signed(m: int) -> Column:
+        return F.lit(m - (1 << 64) if m >> 63 else m)
 
-    keys = F.array(*[F.struct(F.lit(k).alias("k"), F.col("fp").bitwiseAND(F.lit(signed(masks[a] | masks[b]))).alias("bits")) for k, (a, b) in enumerate(chosen)])
+    def rest(k: int) -> list[int]:
+        return parts(sum(m for x, m in enumerate(masks) if x not in chosen[k]), radius + 1)
+
+    keys = F.array(*[F.struct(F.lit(k).alias("k"), F.col("fp").bitwiseAND(signed(masks[a] | masks[b])).alias("bits")) for k, (a, b) in enumerate(chosen)])
     dealt = distinct.select("fp", F.explode(keys).alias("key")).select("fp", "key.k", "key.bits")
-    dealt = dealt.repartition("k", "bits").sortWithinPartitions("k", "bits", "fp")
+    hot = checkpointed(dealt.groupBy("k", "bits").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > SPLIT).drop("n"))
+    no = F.lit(0).cast("long")
+    if hot.isEmpty():
+        dealt = dealt.select("fp", "k", "bits", F.lit(0).alias("part"), no.alias("sub"))
+    else:
+        # Any pair in reach shares one of the runs of a bucket's other bits.
+        sub = F.array(F.struct(F.lit(0).alias("part"), no.alias("sub")))
+        for k in range(len(chosen)):
+            own = F.array(*[F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(signed(m)).alias("sub")) for i, m in enumerate(rest(k))])
+            sub = F.when((F.col("k") == k) & F.col("hot"), own).otherwise(sub)
+        dealt = dealt.join(hot.withColumn("hot", F.lit(True)), ["k", "bits"], "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
+        dealt = dealt.withColumn("x", F.explode(sub)).select("fp", "k", "bits", "x.part", "x.sub")
+    dealt = dealt.repartition("k", "bits", "part", "sub").sortWithinPartitions("k", "bits", "part", "sub", "fp")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def flush(k: np.ndarray, bits: np.ndarray, fp: np.ndarray) -> pa.RecordBatch | None:
-            cuts = np.flatnonzero((np.diff(k) != 0) | (np.diff(bits) != 0)) + 1
+        for fp, k, bits, part, sub in grouped(batches, 4):
+            cuts = np.flatnonzero((np.diff(k) != 0) | (np.diff(bits) != 0) | (np.diff(part) != 0) | (np.diff(sub) != 0)) + 1
             starts = np.concatenate([[0], cuts])
             sizes = np.diff(np.concatenate([starts, [len(k)]]))
-            out_a, out_b = [], []
-            two = starts[sizes == 2]  # most buckets hold one or two
-            d = np.bitwise_count((fp[two] ^ fp[two + 1]).view(np.uint64)) <= radius
-            out_a.append(fp[two[d] + 1])
-            out_b.append(fp[two[d]])
+            two = starts[sizes == 2]  # a bucket of two is a tile of one comparison
+            near = distance(fp[two].view(np.uint64), fp[two + 1].view(np.uint64)) <= radius
+            out_a, out_b = [fp[two[near] + 1]], [fp[two[near]]]
             for s, n in zip(starts[sizes > 2].tolist(), sizes[sizes > 2].tolist()):
                 own = fp[s : s + n]
-                a, b = chosen[int(k[s])]
-                rest = sum(m for x, m in enumerate(masks) if x not in (a, b))
-                root = forest(own.view(np.uint64), radius, parts(rest, radius + 1))
-                moved = np.flatnonzero(root != np.arange(n))
-                out_a.append(np.maximum(own[moved], own[root[moved]]))
-                out_b.append(np.minimum(own[moved], own[root[moved]]))
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(out_a)), pa.array(np.concatenate(out_b))], ["a", "b"])
-
-        held: list[np.ndarray] = []
-        for batch in batches:
-            new = [np.asarray(batch.column(x)) for x in range(3)]  # fp, k, bits
-            if not len(new[0]):
-                continue
-            now = [np.concatenate(x) for x in zip(held, new)] if held else new
-            fp, k, bits = now
-            whole = np.flatnonzero((k != k[-1]) | (bits != bits[-1]))
-            cut = whole[-1] + 1 if len(whole) else 0
-            if cut:
-                yield flush(k[:cut], bits[:cut], fp[:cut])
-            held = [x[cut:] for x in now]
-        if held:
-            yield flush(held[1], held[2], held[0])
+                child, parent = tree_edges(forest(own.view(np.uint64), radius, rest(int(k[s]))))
+                out_a.append(np.maximum(own[child], own[parent]))
+                out_b.append(np.minimum(own[child], own[parent]))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out_a)), pa.array(np.concatenate(out_b))], ["a", "b"])
 
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
+def agreement(similarity: float) -> float:
+    """The share of equal bits of two fingerprints whose shingle sets have that Jaccard similarity."""
+    return 1 - math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
+
+
+def wide_links(distinct: DataFrame, radius: int, width: int, tables: int) -> DataFrame:
+    """Rows (a, b) of wide fingerprints (column fp): links that span the groups of every bucket."""
+    places = [np.random.default_rng([SEED, t]).permutation(64 * WORDS)[:width] for t in range(tables)]
+    power = (1 << np.arange(width)).astype(np.int64)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1024):
+                part = batch.column(0).slice(at, 1024)
+                bits = np.unpackbits(as_array(part).view(np.uint8), axis=1, bitorder="little")
+                for t, own in enumerate(places):
+                    yield pa.RecordBatch.from_arrays([part, pa.array(np.full(len(part), t, np.int32)), pa.array(bits[:, own] @ power)], ["fp", "k", "bits"])
+
+    def compare(leaders: bool) -> Callable:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for fp, k, bits, salt in grouped(batches, 3):
+                cuts = np.flatnonzero((np.diff(k) != 0) | (np.diff(bits) != 0) | (np.diff(salt) != 0)) + 1
+                starts = np.concatenate([[0], cuts])
+                sizes = np.diff(np.concatenate([starts, [len(k)]]))
+                out: dict[str, list] = {"a": [], "b": [], "k": [], "bits": []}
+                for s, n in zip(starts[sizes > 1].tolist(), sizes[sizes > 1].tolist()):
+                    root = forest(fp[s : s + n], radius, [])
+                    child, parent = tree_edges(root)
+                    out["a"].append(s + child)
+                    out["b"].append(s + parent)
+                    out["k"].append(np.full(len(child), -1))
+                if leaders:  # a group's first and last member, to meet the other parts'
+                    for s, n in zip(starts.tolist(), sizes.tolist()):
+                        root = forest(fp[s : s + n], radius, [])
+                        last = np.zeros(n, np.int64)
+                        last[root] = np.arange(n)
+                        ends = np.unique(np.concatenate([np.unique(root), last[np.unique(root)]]))
+                        out["a"].append(s + ends)
+                        out["b"].append(s + ends)
+                        out["k"].append(np.full(len(ends), int(k[s])))
+                if out["a"]:
+                    a, b, table = (np.concatenate(out[x]).astype(np.int64) for x in ("a", "b", "k"))
+                    rows = [pa.array([x.tobytes() for x in fp[i]], pa.binary()) for i in (a, b)]
+                    yield pa.RecordBatch.from_arrays([*rows, pa.array(table.astype(np.int32)), pa.array(bits[a])], ["a", "b", "k", "bits"])
+
+        return run
+
+    found = "a binary, b binary, k int, bits long"
+    dealt = distinct.select("fp").mapInArrow(deal, "fp binary, k int, bits long")
+    count = dealt.groupBy("k", "bits").agg(F.count(F.lit(1)).alias("n"))
+    hot = checkpointed(count.filter(F.col("n") > SPLIT))
+
+    def together(rows: DataFrame) -> DataFrame:
+        return rows.repartition("k", "bits", "salt").sortWithinPartitions("k", "bits", "salt", "fp")
+
+    if hot.isEmpty():
+        return together(dealt.withColumn("salt", F.lit(0))).mapInArrow(compare(False), found).select("a", "b").distinct()
+    salted = dealt.join(hot, ["k", "bits"], "left")
+    cold = salted.filter("n is null").select("fp", "k", "bits", F.lit(0).alias("salt"))
+    warm = salted.filter("n is not null").select("fp", "k", "bits", F.pmod(F.xxhash64("fp"), F.ceil(F.col("n") / SPLIT)).cast("int").alias("salt"))
+    first = checkpointed(together(warm).mapInArrow(compare(True), found))
+    again = first.filter("k >= 0").select(F.col("a").alias("fp"), "k", "bits", F.lit(0).alias("salt"))
+    rest = together(cold.union(again)).mapInArrow(compare(False), found)
+    return rest.select("a", "b").union(first.filter("k < 0").select("a", "b")).distinct()
+
+
+def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, recall: float = 0.97) -> DataFrame:
+    """One row per input row: doc_id, component_id (smallest doc_id reachable over links of that similarity or more).
+
+    Two fingerprints link up to the distance expected at ``similarity`` and one standard deviation more.
+    """
+    rows = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps = [wide_fingerprint(t.as_py(), shingle) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.binary())], ["doc_id", "fp"])
+
+    docs = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary"))
+    distinct = checkpointed(docs.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    p, bits = agreement(similarity), 64 * WORDS
+    radius = int(bits * (1 - p) + math.sqrt(bits * p * (1 - p)))
+    width = max(10, (distinct.count() >> 4).bit_length())
+    tables = math.ceil(math.log(1 - recall) / math.log(1 - p**width))
+    return labelled(docs, distinct, components(wide_links(distinct, radius, width, tables))).select("doc_id", "component_id")
+
+
 def parts(mask: int, count: int) -> list[int]:
     """A mask's bits cut into ``count`` runs: with fewer than ``count`` differing bits one run is equal."""
     bits = [x for x in range(64) if mask >> x & 1]
@@ -199,12 +376,17 @@ def components(edges: DataFrame) -> DataFrame:
             return roots
 
 
+def labelled(docs: DataFrame, distinct: DataFrame, roots: DataFrame) -> DataFrame:
+    """docs (doc_id, fp) with component_id; distinct: fp and its least id; roots: (v, root) of linked fingerprints."""
+    named = distinct.join(roots, distinct.fp == roots.v, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    least = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    by_fp = named.select("fp", "root").join(least, "root").select("fp", "component_id")
+    return docs.join(by_fp, "fp").select("doc_id", "fp", "component_id")
+
+
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 2, shingle: int = 3) -> DataFrame:
     """One row per input row: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable)."""
     docs = checkpointed(fingerprints(df, id_col, text_col, shingle))
     distinct = docs.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    roots = components(links(distinct.select("fp"), radius))
-    named = distinct.join(roots, distinct.fp == roots.v, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    least = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_fp = named.select("fp", "root").join(least, "root").select("fp", "component_id")
-    return docs.join(by_fp, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    out = labelled(docs, distinct, components(links(distinct.select("fp"), radius)))
+    return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

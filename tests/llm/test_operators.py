@@ -248,6 +248,73 @@ def test_near_duplicates_on_real_rows(real, edge, empty):
     assert simhash.near_duplicates(empty).count() == 0
 
 
+def five_word_similarity(a, b):
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in (a.split(), b.split())]
+    return len(sets[0] & sets[1]) / len(sets[0] | sets[1])
+
+
+def near_copies(seed=4, bases=60):
+    rnd = random.Random(seed)
+    vocabulary = ["".join(rnd.choice("abcdefghij") for _ in range(5)) for _ in range(2000)]
+    rows = []
+    for _ in range(bases):
+        words = [rnd.choice(vocabulary) for _ in range(rnd.randint(120, 400))]
+        rows.append(" ".join(words))
+        for changes in (1, 2, 40):
+            own = list(words)
+            for _ in range(changes):
+                own[rnd.randrange(len(own))] = rnd.choice(vocabulary)
+            rows.append(" ".join(own))
+    return rows
+
+
+@pytest.mark.parametrize("split", [8192, 6])
+def test_similar_against_exact_similarities(spark, monkeypatch, edge, empty, split):
+    """Pairs of five-word similarity 0.85 or more meet; groups hold no pair that only pairs below 0.7 connect."""
+    monkeypatch.setattr(simhash, "SPLIT", split)
+    texts = near_copies() + ["tiny text", "Tiny  text", "other one", None, "", " "]
+    # A large group: every pair of these copies is near, and bits fall into few buckets.
+    hub = " ".join(f"w{i}" for i in range(200))
+    texts += [f"{hub} v{i}" for i in range(60)]
+    got = {r.doc_id: r.component_id for r in simhash.similar(docs_of(spark, [(i, t, "s") for i, t in enumerate(texts)])).collect()}
+    assert len(got) == len(texts)
+    found, wanted = 0, 0
+    joined = simhash_roots(texts, 0.7)
+    for a, b in itertools.combinations(range(len(texts)), 2):
+        if joined[a] != joined[b]:
+            assert got[a] != got[b]
+        elif five_word_similarity(texts[a] or "", texts[b] or "") >= 0.85:
+            wanted, found = wanted + 1, found + (got[a] == got[b])
+    assert wanted > 1800 and found > 0.98 * wanted
+    rows = simhash.similar(edge).collect()
+    assert len(rows) == len(EDGE) and {r.component_id for r in rows if r.doc_id in (5, 6, 7)} == {5} and {r.component_id for r in rows if r.doc_id in (8, 9)} == {8}
+    assert simhash.similar(empty).count() == 0
+
+
+def simhash_roots(texts, least):
+    """Components over exact similarities of at least ``least``, by all pairs."""
+    root = list(range(len(texts)))
+    clean = [(t or "").lower() for t in texts]
+    for a, b in itertools.combinations(range(len(texts)), 2):
+        if root[a] != root[b] and five_word_similarity(clean[a], clean[b]) >= least:
+            x, y = sorted((root[a], root[b]))
+            root = [x if r == y else r for r in root]
+    return root
+
+
+def test_trees_have_small_fan_out():
+    root = np.array([0] * 200 + [200] + [201] * 3)
+    child, parent = simhash.tree_edges(root)
+    assert len(child) == 199 + 2 and max(collections.Counter(parent.tolist()).values()) <= simhash.FAN
+    top = root.copy()
+    up = dict(zip(child.tolist(), parent.tolist()))
+    for i in range(len(root)):
+        j = i
+        while j in up:
+            j = up[j]
+        assert j == top[i]
+
+
 # ---- 5 search
 
 def test_search_against_brute_force(spark, real, edge, empty):

@@ -8,7 +8,7 @@ import pytest
 
 import corpus_pipeline as cp
 from rotagrad.llm import queries
-from rotagrad.llm.simhash import fingerprint
+from rotagrad.llm.simhash import wide_fingerprint
 
 ROWS = [(1, "The cat sat on the mat and was glad of it all day long", "en", "a", 1), (2, "The cat  sat on the mat and was glad of it all day long", "en", "a", 1), (3, None, "en", "b", 0), (4, "", None, None, 0), (5, "123 456", "en", "b", 7), (6, "Der Hund und die Katze sind nicht hier, aber das Haus ist schön", "de", "b", 1), (6, "Der Hund und die Katze sind nicht hier, aber das Haus ist schön", "de", "b", 1), (7, "word " * 40000, "en", None, 9)]
 
@@ -43,9 +43,12 @@ def test_run_keeps_clean_documents(spark, sf):
     for name, f in cp.STAGES[:3]:
         at = f(spark, at, sf)
     kept = {r.doc_id for r in at.collect()}
-    prints = {r.doc_id: fingerprint(r.text) for r in docs.collect()}
-    assert all(i in kept or any(bin((p ^ prints[j]) & (1 << 64) - 1).count("1") <= 2 for j in prints if j != i) for i, p in prints.items())
-    assert all(bin((prints[i] ^ prints[j]) & (1 << 64) - 1).count("1") > 2 for i in kept for j in kept if i < j)
+    prints = {r.doc_id: int.from_bytes(wide_fingerprint(r.text), "little") for r in docs.collect()}
+    far = lambda a, b: (prints[a] ^ prints[b]).bit_count()
+    letters = {r.doc_id for r in docs.collect() if any(c.isalpha() for c in r.text or "")}
+    # What goes has a near document; no two of those kept are near (by the radius of 0.8 and one standard deviation).
+    assert all(i in kept or any(far(i, j) <= 44 for j in prints if j != i) for i in letters)
+    assert all(far(i, j) > 44 for i in kept for j in kept if i < j)
     out = cp.run(spark, sf).collect()
     assert {r.doc_id for r in out} <= kept and all(n <= 3 for n in collections.Counter(r.doc_id for r in out).values())
     texts = {r.doc_id: len((r.text or "").encode()) for r in docs.collect()}
@@ -76,5 +79,8 @@ def test_null_ids_and_one_id_on_two_texts(spark, sf):
         out = stage[name](spark, docs, sf)
         assert out.columns == cp.COLUMNS and collections.Counter((r.doc_id, r.text) for r in out.collect()) == want, name
         assert collections.Counter((r.doc_id, r.text) for r in stage[name](spark, out, sf).collect()) == want
+    # Repeated rows add up: the same words come out as from rows apart.
+    again = docs.union(docs)
+    assert {(r.doc_id, r.text) for r in stage["source_mix"](spark, again, sf).collect()} <= {(r[0], r[1]) for r in rows}
     mixed = stage["source_mix"](spark, out, sf).collect()
     assert {(r.doc_id, r.text) for r in mixed} == set(want) and max(collections.Counter((r.doc_id, r.text) for r in mixed).values()) <= 3
