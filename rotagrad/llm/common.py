@@ -34,9 +34,9 @@ def checkpointed(df: DataFrame) -> DataFrame:
 BROADCAST_ROWS = 1_000_000
 
 
-def broadcast_if_small(df: DataFrame) -> DataFrame:
-    """df (checkpointed: it is counted first) for a broadcast, or as it is if it has too many rows."""
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+def broadcast_if_small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """df (checkpointed: it is counted first) for a broadcast, or as it is if it has more rows."""
+    return F.broadcast(df) if df.count() <= rows else df
 
 
 def text_or_empty(text: Column) -> Column:

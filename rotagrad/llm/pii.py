@@ -4,17 +4,21 @@ Base spans are the leftmost non-overlapping matches of four patterns; failing ca
 are dropped without a retry.  The patterns below are the base ones with possessive
 quantifiers and look-arounds that change no match but keep every scan linear.
 
-The method: protected entities are the values found.  Over all documents, terms within
-``WINDOW`` characters of an entity are counted with it; p(e, t), p(e) and p(t) give the
+The method: protected entities are the values found.  Documents count once per content, so that
+copies of one prove nothing.  A term (a word of three letters or more) occurs with an entity if the
+same document has both, anywhere in its whole text; n(e, t), n(e) and n(t) documents give the
 pointwise mutual information, and a term discloses an entity when that reaches the
 entity's information content minus ``slack`` bits, i.e. when at least 2^-slack of the documents
-with the term have the entity beside it.  ``support`` different contexts are asked for, so
-that copies of one document prove nothing.  Every occurrence of such a term, in any
-document, becomes a ``term`` span that ``sanitise`` generalises like the base spans.
+with the term have the entity.  At least ``support`` documents must have both, and
+n(e, t) times the mutual information must reach ``evidence`` bits, so that chance in many rare words proves
+nothing either.  Every occurrence of such a term, in any document, becomes a ``term`` span that
+``sanitise`` generalises like the base spans.
 
+By those thresholds a term counts only for entities of ``support`` documents or more, and only if it
+has no more than 2^slack times the documents of some entity; pairs are formed for these alone.
 Nothing is collected per entity or term; counts are map-side combined, so an entity or
-term in a third of all documents is harmless.  The set of disclosing terms is broadcast
-only when its counted size is at most ``BROADCAST_TERMS``; beyond that the join shuffles.
+term in a third of all documents is harmless.  Sides of joins are broadcast only when their
+counted rows are few enough; beyond that the join shuffles.  Texts are never shuffled otherwise.
 
 Defined results: null text is empty and has no spans; repeated rows count as documents of
 their own and get the same spans; an empty table gives an empty table; offsets are code
@@ -26,7 +30,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rotagrad.llm.common import checkpointed, text_or_empty
+from rotagrad.llm.common import broadcast_if_small, checkpointed, text_or_empty
 
 KINDS = ("email", "ip", "card", "phone")
 PATTERNS = {
@@ -39,8 +43,8 @@ PATTERNS = {
 }
 #: A character without which a kind cannot match.
 NEEDS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
-WINDOW = 48
-BROADCAST_TERMS = 50_000
+#: Words up to which a list of them is broadcast.
+BROADCAST_TERMS = 200_000
 SPAN = "array<struct<kind:string,start:int,end:int,value:string>>"
 
 
@@ -98,43 +102,40 @@ def terms(text: Column) -> Column:
     return F.filter(F.array_distinct(F.split(F.lower(text), r"[^\p{L}]+")), lambda w: F.length(w) >= 3)
 
 
-def _contexts(text: Column, spans: Column) -> Column:
-    """(entity, term, context) for the whole words around each span."""
-
-    def around(s: Column) -> Column:
-        left = F.substring(text, F.greatest(s["start"] + 1 - WINDOW, F.lit(1)), F.least(s["start"], F.lit(WINDOW)))
-        right = F.substring(text, s["end"] + 1, F.lit(WINDOW))
-        # Words that the window cuts are dropped.
-        left = F.when(s["start"] > WINDOW, F.regexp_replace(left, r"^\S*", "")).otherwise(left)
-        right = F.when(F.length(right) == WINDOW, F.regexp_replace(right, r"\S*$", "")).otherwise(right)
-        context = F.concat_ws(" ", left, right)
-        return F.transform(terms(context), lambda t: F.struct(F.lower(s["value"]).alias("e"), t.alias("t"), F.xxhash64(context).alias("c")))
-
-    return F.array_distinct(F.flatten(F.transform(spans, around)))
-
-
-def disclosing(base: DataFrame, docs: DataFrame, support: int = 3, slack: float = 1.0) -> DataFrame:
-    """Rows (term, entity, pmi, ic) of the terms above the threshold; counts run over all documents."""
-    n = F.lit(float(max(1, docs.count())))
-    seen = base.select(F.explode("contexts").alias("x")).select("x.e", "x.t", "x.c").groupBy("e", "t", "c").agg(F.count(F.lit(1)).alias("n"))
-    pairs = seen.groupBy("e", "t").agg(F.count(F.lit(1)).alias("contexts"), F.sum("n").alias("n_et")).filter(F.col("contexts") >= support)
-    entity = base.select(F.explode(F.array_distinct(F.transform("spans", lambda s: F.lower(s["value"])))).alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("n_e"))
-    term = docs.select(F.explode(terms(F.col("text"))).alias("t")).groupBy("t").agg(F.count(F.lit(1)).alias("n_t"))
-    pairs = checkpointed(pairs)
-    known = pairs.join(entity, "e").join(term, "t")
-    joint = F.least("n_et", "n_t", "n_e").cast("double")
-    pmi, ic = F.log2(joint * n / (F.col("n_t") * F.col("n_e"))), -F.log2(F.col("n_e") / n)
-    return known.select(F.col("t").alias("term"), F.col("e").alias("entity"), pmi.alias("pmi"), ic.alias("ic")).filter(F.col("pmi") >= F.col("ic") - slack)
+def disclosing(base: DataFrame, docs: DataFrame, support: int = 3, slack: float = 1.0, evidence: float = 20.0) -> DataFrame:
+    """Rows (term, entity, pmi, ic) of the terms above the thresholds; counts run over all documents.
+
+    base: h, spans; docs: h, text; h is the hash of the text.
+    """
+    copies = checkpointed(base.groupBy("h").agg(F.count(F.lit(1)).alias("n")))
+    n = F.lit(float(max(1, copies.count())))
+    found = base.filter(F.size("spans") > 0).select("h", F.explode(F.array_distinct(F.transform("spans", lambda s: F.lower(s["value"])))).alias("e")).distinct()
+    entity = checkpointed(found.groupBy("e").agg(F.count(F.lit(1)).alias("n_e")).filter(F.col("n_e") >= support))
+    most = entity.agg(F.max("n_e")).first()[0]
+    if most is None:
+        return docs.sparkSession.createDataFrame([], "term string, entity string, pmi double, ic double")
+    entities = checkpointed(found.join(broadcast_if_small(entity, BROADCAST_TERMS), "e"))
+    # A copy of a text that stands n times weighs 1/n.
+    again = checkpointed(copies.filter("n > 1"))
+    weighted = docs.join(broadcast_if_small(again), "h", "left").select((1 / F.coalesce("n", F.lit(1))).alias("w"), F.explode(terms(F.col("text"))).alias("t"))
+    term = weighted.groupBy("t").agg(F.round(F.sum("w")).alias("n_t")).filter(F.col("n_t").between(support, most * 2.0**slack))
+    term = checkpointed(term)
+    own = checkpointed(entities.select("h").distinct())
+    beside = docs.join(broadcast_if_small(own), "h", "left_semi").select("h", F.explode(terms(F.col("text"))).alias("t"))
+    pairs = beside.join(broadcast_if_small(term, BROADCAST_TERMS), "t").distinct().join(entities, "h")
+    pairs = pairs.groupBy("e", "t").agg(F.count(F.lit(1)).cast("double").alias("n_et"), F.max("n_e").alias("n_e"), F.max("n_t").alias("n_t"))
+    pmi, ic = F.log2(F.col("n_et") * n / (F.col("n_t") * F.col("n_e"))), -F.log2(F.col("n_e") / n)
+    known = pairs.filter(F.col("n_et") >= support).select(F.col("t").alias("term"), F.col("e").alias("entity"), pmi.alias("pmi"), ic.alias("ic"), "n_et")
+    return known.filter((F.col("pmi") >= F.col("ic") - slack) & (F.col("n_et") * F.col("pmi") >= evidence)).drop("n_et")
 
 
 def term_spans(docs: DataFrame, found: DataFrame) -> DataFrame:
     """(hit_id, hit_h, more): spans of disclosing terms for the documents that have any."""
-    small = found.count() <= BROADCAST_TERMS
     words = docs.select("doc_id", "h", F.explode(terms(F.col("text"))).alias("term"))
-    hits = words.join(F.broadcast(found) if small else found, "term").groupBy(F.col("doc_id").alias("hit_id"), F.col("h").alias("hit_h")).agg(F.collect_set("term").alias("terms"))
+    hits = words.join(broadcast_if_small(found, BROADCAST_TERMS), "term").groupBy(F.col("doc_id").alias("hit_id"), F.col("h").alias("hit_h")).agg(F.collect_set("term").alias("terms"))
     text = F.col("text")
     more = located(text, r"\p{L}+", "term", lambda w: F.array_contains(F.col("terms"), F.lower(w)))
-    marked = docs.join(hits, same_row("hit_id", "hit_h")).select("hit_id", "hit_h", more.alias("more"))
+    marked = docs.join(broadcast_if_small(checkpointed(hits), BROADCAST_TERMS), same_row("hit_id", "hit_h")).select("hit_id", "hit_h", more.alias("more"))
     return marked.dropDuplicates(["hit_id", "hit_h"])
 
 
@@ -143,14 +144,16 @@ def same_row(doc_id: str, h: str) -> Column:
     return (F.col("h") == F.col(h)) & F.col("doc_id").eqNullSafe(F.col(doc_id))
 
 
-def find(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", support: int = 3, slack: float = 1.0) -> DataFrame:
-    """One row per input row: doc_id, base (spans), more (spans of disclosing terms)."""
+def find(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **thresholds) -> DataFrame:
+    """One row per input row: doc_id, base (spans), more (spans of disclosing terms); thresholds as for ``disclosing``."""
     docs = df.select(F.col(id_col).alias("doc_id"), text_or_empty(F.col(text_col)).alias("text")).withColumn("h", F.unhex(F.md5("text")))
-    spans = docs.withColumn("spans", base_spans(F.col("text")))
-    base = checkpointed(spans.select("doc_id", "h", "spans", F.when(F.size("spans") > 0, _contexts(F.col("text"), F.col("spans"))).otherwise(F.array().cast("array<struct<e:string,t:string,c:bigint>>")).alias("contexts")))
-    found = checkpointed(disclosing(base, docs, support, slack).select("term").distinct())
-    more = term_spans(docs, found)
-    out = base.join(more, same_row("hit_id", "hit_h"), "left")
+    base = checkpointed(docs.select("doc_id", "h", base_spans(F.col("text")).alias("spans")))
+    found = checkpointed(disclosing(base, docs, **thresholds).select("term").distinct())
+    out = base
+    if found.isEmpty():
+        out = base.withColumn("more", F.array().cast(SPAN))
+    else:
+        out = base.join(term_spans(docs, found), same_row("hit_id", "hit_h"), "left")
     return out.select("doc_id", "h", F.col("spans").alias("base"), F.coalesce("more", F.array().cast(SPAN)).alias("more"))
 
 

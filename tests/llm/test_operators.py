@@ -166,16 +166,49 @@ def test_pii_base_spans_against_the_plain_patterns(spark):
 
 
 def test_pii_terms_that_disclose(spark):
-    texts = [f"filler{'abcdefghij'[i]} zanzibar 10.0.0.7 lives here{'abcdefghij'[i]} among the people" for i in range(6)] + ["the people of the land are many"] * 30 + ["zanzibar again, alone"]
+    # The name stands far from the address, and the block around the address is always the same.
+    far = "word " * 200
+    texts = [f"filler{'abcdefghij'[i]} zanzibar {far} reach us at 10.0.0.7 any day" for i in range(6)] + [f"the people of the land are many {'x' * i}" for i in range(1, 200)] + ["zanzibar again, alone"]
     frame = docs_of(spark, [(i, t, None) for i, t in enumerate(texts)])
     got = {r.doc_id: r.s for r in pii.find(frame).select("doc_id", pii.written(F.col("more")).alias("s")).collect()}
-    assert got[36] == "term:0:8" and "term:8:16" in got[0] and got[10] == ""
-    assert len({r.s for r in pii.sanitise(frame).filter("doc_id = 36").select(F.col("text").alias("s")).collect()} & {"[TERM] again, alone"}) == 1
+    assert got[205] == "term:0:8" and "term:8:16" in got[0] and got[10] == ""
+    assert len({r.s for r in pii.sanitise(frame).filter("doc_id = 205").select(F.col("text").alias("s")).collect()} & {"[TERM] again, alone"}) == 1
     # Copies of one document prove nothing.
-    copies = docs_of(spark, [(i, "unique quagmire 10.0.0.9 text", None) for i in range(20)])
+    copies = docs_of(spark, [(i, "unique quagmire 10.0.0.9 text", None) for i in range(20)] + [(i, f"plain words {'y' * i}", None) for i in range(20, 200)])
     assert pii.find(copies).filter("size(more) > 0").count() == 0
 
 
+def test_pii_method_against_brute_force(spark, monkeypatch):
+    import regex
+
+    rnd = random.Random(11)
+    rare = ["".join(rnd.choice("bcdfg") + rnd.choice("aeiou") for _ in range(3)) for _ in range(60)]
+    common = ["alpha", "beta", "gamma", "the", "of"]
+    entities = ["10.0.0.1", "me@site.org", "+1 (988) 555-2485", "4111111111111111"]
+    texts = []
+    for _ in range(300):
+        e = rnd.randrange(5)
+        words = rnd.choices(common, k=6) + rnd.choices(rare[:40], k=2)
+        if e < 4:
+            words += [entities[e]] + rnd.choices(rare[40 + 5 * e : 45 + 5 * e], k=2)
+        rnd.shuffle(words)
+        texts += [" ".join(words)] * rnd.choice([1, 1, 1, 4])
+    texts += [None, "", f"{rare[41].upper()} {rare[41]}x {rare[41]}"]
+    base = [re.findall(r"(\w+):(\d+):(\d+)", brute_pii(t)) for t in texts]
+    contents = {(t or ""): frozenset((t or "")[int(a) : int(b)].lower() for _, a, b in s) for t, s in zip(texts, base)}
+    terms = {t: {w for w in regex.split(r"[^\p{L}]+", t.lower()) if len(w) >= 3} for t in contents}
+    n_e = collections.Counter(e for own in contents.values() for e in own)
+    n_t = collections.Counter(w for own in terms.values() for w in own)
+    n_et = collections.Counter((e, w) for t, own in contents.items() for e in own for w in terms[t])
+    said = {w for (e, w), c in n_et.items() if c >= 3 and c / n_t[w] >= 0.5 and c * math.log2(c * len(contents) / (n_t[w] * n_e[e])) >= 20}
+    want = {i: ",".join(f"term:{m.start()}:{m.end()}" for m in regex.finditer(r"\p{L}+", t or "") if m[0].lower() in said) for i, t in enumerate(texts)}
+    assert said and any(want.values())
+    frame = docs_of(spark, [(i, t, None) for i, t in enumerate(texts)])
+    for bound in (200_000, 1):  # with broadcasts and without
+        monkeypatch.setattr(pii, "BROADCAST_TERMS", bound)
+        assert {r.doc_id: r.s for r in pii.find(frame).select("doc_id", pii.written(F.col("more")).alias("s")).collect()} == want
+
+
 def test_pii_edge(edge, empty):
     assert pii.find(edge).count() == len(EDGE) and pii.find(empty).count() == 0
     assert pii.sanitise(edge).count() == len(EDGE)
