@@ -79,6 +79,18 @@ def feistel(key: str, bits: int, row_id: str = "row_id") -> Column:
     return F.expr(SPARK.feistel(key, row_id, bits)).cast("bigint")
 
 
+def feistel_place(key: str, bits: int, x: int, rounds: int = 4) -> int:
+    """The Python twin of ``feistel``."""
+    low = bits - bits // 2
+    a, b = x >> low, x & ((1 << low) - 1)
+    for r in range(rounds):
+        if r % 2 == 0:
+            a ^= digits(f"{key}:{r}", b) % (1 << (bits - low))
+        else:
+            b ^= digits(f"{key}:{r}", a) % (1 << low)
+    return a << low | b
+
+
 def feistel_inverse(key: str, bits: int, y: int, rounds: int = 4) -> int:
     low = bits - bits // 2
     a, b = y >> low, y & ((1 << low) - 1)

@@ -19,10 +19,37 @@ def block_scores(m: Moments) -> np.ndarray:
     return np.einsum("ij,kji->k", inverse, g) / m.d
 
 
-def flatness(scores: np.ndarray, delta: float = 0.1) -> dict:
+def flatness(scores: np.ndarray, delta: float = 0.1, tau: int = 1) -> dict:
+    """Spread of the block scores beside the printed bound, tau rho with rho = sqrt(log(2 tau / delta) / 2); vacuous above 1."""
     k = len(scores)
-    rho = math.sqrt(math.log(2 * k / delta) / 2)
-    return {"max_k": float(scores.max() * k), "min_k": float(scores.min() * k), "distance": float(np.abs(scores - 1 / k).max()), "bound": rho, "vacuous": rho >= 1}
+    bound = tau * math.sqrt(math.log(2 * tau / delta) / 2)
+    return {"max_k": float(scores.max() * k), "min_k": float(scores.min() * k), "distance": float(np.abs(scores - 1 / k).max()), "bound": bound, "vacuous": bound >= 1}
+
+
+def measured_bounds(m: Moments, q: int, key: str = "draw") -> dict:
+    """A frozen draw against its bounds: distortion eps over the span of [A b], ratio of residuals with its bound
+    (1 + eps) / (1 - eps), and the gap of the solutions with its bound eps times the residual (in the norm of A)."""
+    from rotagrad.operators.solver import exact, frozen_solve
+
+    total, own = m.total(), list(draw(key, 0, m.blocks, q, "without"))
+    root = np.linalg.inv(np.linalg.cholesky(total))
+    eps = float(np.abs(np.linalg.eigvalsh(root @ (m.m[own].sum(axis=0) * m.blocks / q) @ root.T) - 1).max())
+    best, x = exact(m), frozen_solve(m, q, key)
+    cost = lambda y: float(np.append(y, -1) @ total @ np.append(y, -1))
+    gap = best - x
+    ratio, limit = cost(x) / cost(best), solution_bounds(min(eps, 0.999999), math.sqrt(cost(best)))
+    return {"eps": eps, "ratio": ratio, "ratio_bound": limit[0], "gap": math.sqrt(max(float(gap @ total[:-1, :-1] @ gap), 0.0)), "gap_bound": limit[1] / (1 - min(eps, 0.999999))}
+
+
+def measured_gradient_error(m: Moments, code: np.ndarray, responders: list[int], x: np.ndarray) -> tuple[float, float]:
+    """(error, bound) of a decoded gradient: optimal coefficients of the responders against the sum over all blocks."""
+    from rotagrad.operators.coding import optimal_decode
+
+    parts = np.stack([2 * (b[:-1, :-1] @ x - b[:-1, -1]) for b in m.m])
+    weights = optimal_decode(code, responders) @ code[responders]
+    total, y = m.total(), np.append(x, -1)
+    sigma, residual = math.sqrt(np.linalg.eigvalsh(total[:-1, :-1])[-1]), math.sqrt(max(float(y @ total @ y), 0.0))
+    return float(np.linalg.norm(weights @ parts - parts.sum(axis=0))), gradient_error_bound(decode_error(code, responders), m.blocks, sigma, residual)
 
 
 def embedding_distortion(m: Moments, q: int, t: int = 0, key: str = "draw") -> float:

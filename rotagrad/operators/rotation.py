@@ -38,8 +38,12 @@ def kron_apply(x: np.ndarray, base: np.ndarray, digits: int) -> np.ndarray:
 
 
 def as_rows(column) -> np.ndarray:
-    flat = column.flatten().to_numpy(zero_copy_only=False)
-    return flat.reshape(len(column), -1)
+    """Vectors as rows of an array; null or ragged ones are refused."""
+    flat = column.flatten()
+    width = len(flat) // max(len(column), 1)
+    if column.null_count or flat.null_count or len(set(column.value_lengths().unique().to_pylist())) > 1:
+        raise ValueError("vectors must have one length and no nulls")
+    return flat.to_numpy(zero_copy_only=False).reshape(len(column), width)
 
 
 def as_lists(x: np.ndarray) -> pa.Array:
@@ -47,12 +51,16 @@ def as_lists(x: np.ndarray) -> pa.Array:
 
 
 def stage(df: DataFrame, base, width: int, low: int, digits: int) -> DataFrame:
-    """Apply the power over the index digits low .. low + digits - 1 of row_id in base k."""
+    """Apply the power over the index digits low .. low + digits - 1 of row_id in base k.
+
+    Rows that repeat an id add up, as a transform is linear; a null id is an error.
+    """
     k = len(base)
     step, size = k**low, k**digits
     group = F.expr(f"(row_id div {step * size}) * {step} + row_id % {step}")
     place = F.expr(f"(row_id div {step}) % {size}")
-    rows = df.select(group.cast("bigint").alias("g"), place.cast("int").alias("p"), "v")
+    known = F.when(F.col("row_id") >= 0, group.cast("bigint")).otherwise(F.raise_error(F.lit("row_id must be 0 or more")).cast("bigint"))
+    rows = df.select(known.alias("g"), place.cast("int").alias("p"), "v")
     schema = df.schema["v"].dataType.simpleString()
     integer = "bigint" in schema
     matrix = np.array(base, np.int64 if integer else np.float64)
@@ -75,7 +83,7 @@ def stage(df: DataFrame, base, width: int, low: int, digits: int) -> DataFrame:
                     if now is not None:
                         yield out()
                     now, x = int(g[a]), np.zeros((size, width), matrix.dtype)
-                x[p[a:b]] += v[a:b]
+                np.add.at(x, p[a:b], v[a:b])
         if now is not None:
             yield out()
 
@@ -178,19 +186,38 @@ class SignHadamard(Kronecker):
 
 
 class Scrambled(SignHadamard):
-    """The former with its output rows permuted by a keyed bijection: a projection, no shuffle of its own."""
+    """The former with its output rows permuted by a keyed bijection: a projection, no shuffle of its own.
+
+    With ``perm="sort"`` the permutation is the explicit order of keyed hashes (one sort more).
+    """
 
     name = "scrambled"
 
+    def __init__(self, key: str, normalize: bool = True, group_rows: int = GROUP_ROWS, perm: str = "feistel"):
+        super().__init__(key, normalize, group_rows)
+        self.perm = perm
+
+    def places(self, spark, n: int) -> DataFrame:
+        """(old, row_id): where each row of the transform goes."""
+        every = spark.range(self.height(n)).select(F.col("id").alias("old"))
+        if self.perm == "feistel":
+            return every.select("old", prf.feistel(self.key, self.digits(n), "old").alias("row_id"))
+        from rotagrad.sources.matrices import dense_row_ids
+
+        hashed = every.withColumn("h", F.expr(prf.SPARK.digits(f"{self.key}:sort", "old")))
+        return dense_row_ids(hashed, ["h", "old"]).select("old", F.col("row_id").cast("bigint").alias("row_id"))
+
     def key_bits(self, n: int) -> float:
         return self.height(n) + prf.log2_factorial(self.height(n))
 
     def apply(self, df, n, width):
         out = super().apply(df, n, width)
+        if self.perm != "feistel":
+            return out.withColumnRenamed("row_id", "old").join(self.places(df.sparkSession, n), "old").select("row_id", "v")
         return out.select(prf.feistel(self.key, self.digits(n)).alias("row_id"), "v")
 
     def inverse(self, df, n, width):
-        pairs = df.sparkSession.range(self.height(n)).select(F.col("id").alias("old"), prf.feistel(self.key, self.digits(n), "id").alias("row_id"))
+        pairs = self.places(df.sparkSession, n)
         return super().inverse(df.join(pairs, "row_id").select(F.col("old").alias("row_id"), "v"), n, width)
 
 
@@ -292,7 +319,7 @@ class Dense(Rotation):
             x = np.zeros((n, width))
             for batch in batches:
                 if batch.num_rows:
-                    x[batch.column(0).to_numpy()] = as_rows(batch.column(1))
+                    np.add.at(x, batch.column(0).to_numpy(), as_rows(batch.column(1)))
             y = self.product(x, transposed)
             for a in range(0, n, GROUP_ROWS):
                 yield pa.RecordBatch.from_arrays([pa.array(np.arange(a, min(a + GROUP_ROWS, n))), as_lists(y[a : a + GROUP_ROWS])], ["row_id", "v"])

@@ -7,7 +7,9 @@ costs O(q d^2) on the driver and no job.  The response is column d of the moment
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -55,6 +57,25 @@ class LineSearch:
         return float(full @ e / bottom) if bottom > 0 else 0.0  # a zero step ends the run
 
 
+@lru_cache(maxsize=4096)
+def _answers(key: str, t: int, blocks: int) -> tuple[int, ...]:
+    """Blocks by keyed latency, the first to answer first."""
+    return tuple(sorted(range(blocks), key=lambda b: (-math.log(prf.uniform(key, t, b)), b)))
+
+
+def permuted(key: str, t: int, blocks: int, q: int) -> list[int]:
+    """q different blocks without ranking all of them: the places of 0 .. q - 1 under a keyed bijection
+    (walked along its cycles where it leaves the blocks)."""
+    bits = max(1, (blocks - 1).bit_length())
+    out = []
+    for i in range(q):
+        b = prf.feistel_place(f"{key}:{t}", bits, i)
+        while b >= blocks:
+            b = prf.feistel_place(f"{key}:{t}", bits, b)
+        out.append(b)
+    return out
+
+
 def draw(key: str, t: int, blocks: int, q: int, sampling: str, scores: np.ndarray | None = None) -> dict[int, float]:
     """block -> multiplicity (times an importance weight) of step t."""
     if sampling == "with":
@@ -70,9 +91,10 @@ def draw(key: str, t: int, blocks: int, q: int, sampling: str, scores: np.ndarra
             b = min(int(np.searchsorted(edges, prf.uniform(key, t, i))), blocks - 1)
             out[b] = out.get(b, 0) + 1 / (blocks * p[b])
         return out
+    if sampling == "permuted":
+        return dict.fromkeys(permuted(key, t, blocks, q), 1.0)
     # Without replacement: the q least keyed latencies answer first.
-    order = sorted(range(blocks), key=lambda b: (-math.log(prf.uniform(key, t, b)), b))
-    return dict.fromkeys(order[:q], 1.0)
+    return dict.fromkeys(_answers(key, t, blocks)[:q], 1.0)
 
 
 @dataclass
@@ -88,6 +110,8 @@ class Run:
     reference: np.ndarray | None = None
     tol: float = 0.0
     scores: np.ndarray | None = None
+    #: Blocks and weights of each step as given, instead of draws (partial stragglers, decoded codes).
+    given: Callable[[int], dict[int, float]] | None = None
     history: list = field(default_factory=list)
 
     def __post_init__(self):
@@ -110,7 +134,11 @@ class Run:
         self.record(0, x, 0.0)
         for t in range(steps):
             q = self.q if isinstance(self.q, int) else self.q[min(t, len(self.q) - 1)]
-            if q < k or self.sampling != "without":
+            if self.given is not None:
+                own = self.given(t)
+                ids, w = np.array(list(own), int), np.array(list(own.values()), float)
+                self.drawn = np.tensordot(w, self.moments.m[ids], 1)
+            elif q < k or self.sampling != "without":
                 own = draw(self.key, t if self.resample else 0, k, q, self.sampling, self.scores)
                 ids, w = np.array(list(own)), np.array(list(own.values()))
                 self.drawn = np.tensordot(w * (k / q if self.block_scale != "none" else 1.0), self.moments.m[ids], 1)
@@ -148,6 +176,22 @@ def plain_descent(m: Moments, steps: int, step, **options) -> Run:
     return sketched_descent(m, m.blocks, steps, step, **options)
 
 
+def fixed_sweep(m: Moments, q: int, steps: int, multipliers: tuple[float, ...], x0: np.ndarray | None = None, key: str = "draw") -> list[float]:
+    """Last log residuals of runs with several constant steps over the same draws: one pass, x is d x runs."""
+    run = Run(m, q, Fixed(1.0), key=key)
+    x = np.zeros((m.d, len(multipliers))) if x0 is None else np.repeat(np.array(x0, float)[:, None], len(multipliers), axis=1)
+    live = np.ones(len(multipliers), bool)
+    for t in range(steps):
+        s = m.m[list(draw(key, t, m.blocks, q, "without"))].sum(axis=0) * (m.blocks / q) if q < m.blocks else run.total
+        move = run.unit * np.array(multipliers) * 2 * (s[:-1, :-1] @ x - s[:-1, -1:])
+        x = np.where(live, x - move, x)
+        live &= np.isfinite(x).all(axis=0) & (np.abs(x).max(axis=0) <= 1e150)  # the rest has diverged
+        if not live.any():
+            break
+    far = np.linalg.norm(run.best[:, None] - x, axis=0) / math.sqrt(m.rows)
+    return [math.log10(max(v, 1e-17)) if np.isfinite(v) else float("inf") for v in far]
+
+
 def frozen_solve(m: Moments, q: int, key: str = "draw") -> np.ndarray:
     """One draw, then the exact solution of the small system."""
     own = draw(key, 0, m.blocks, q, "without")
@@ -169,16 +213,50 @@ def history(spark: SparkSession, runs: dict[str, Run]) -> DataFrame:
 def row_pass_descent(mat: DataFrame, tau: int, blocks: int, q: int, steps: int, xi: float, d: int, key: str = "draw") -> list[tuple[int, list[float]]]:
     """Descent without moments: a job per step over the rows of the drawn blocks only.
 
-    For blocks whose moments exceed the driver.  With rows stored by block (``write_blocks``)
-    the filter prunes files; x travels as a literal and d sums come back.
+    For blocks whose moments exceed the driver.  x travels as a literal and d sums come back.
     """
     rows = mat.select(F.expr(f"row_id div {tau}").alias("block_id"), "features", "label")
     x = np.zeros(d)
     out = [(0, x.tolist())]
     for t in range(steps):
         own = list(draw(key, t, blocks, q, "without"))
-        residual = dot(F.col("features"), literal(x)) - F.col("label")
-        got = rows.filter(F.col("block_id").isin(own)).select(residual.alias("e"), "features").agg(*[F.sum(F.col("e") * F.col("features")[j]).alias(str(j)) for j in range(d)]).first()
-        x = x - xi * 2 * blocks / q * np.array([v or 0.0 for v in got])
+        x = x - xi * blocks / q * row_gradient(rows.filter(F.col("block_id").isin(own)), x)
         out.append((t + 1, x.tolist()))
     return out
+
+
+def row_gradient(rows: DataFrame, x: np.ndarray) -> np.ndarray:
+    """2 A'(Ax - b) over rows (features, label)."""
+    residual = dot(F.col("features"), literal(x)) - F.col("label")
+    got = rows.select(residual.alias("e"), "features").agg(*[F.sum(F.col("e") * F.col("features")[j]).alias(str(j)) for j in range(len(x))]).first()
+    return 2 * np.array([v or 0.0 for v in got])
+
+
+def stored_blocks(stored: DataFrame, own: list[int], buckets: int) -> DataFrame:
+    """The drawn blocks of rows that ``write_blocks`` stored (block_id, v, block_bucket): the filter on the partition column prunes files."""
+    return stored.filter(F.col("block_bucket").isin(sorted({b % buckets for b in own})) & F.col("block_id").isin(own))
+
+
+def stored_descent(stored: DataFrame, blocks: int, buckets: int, q: int, steps: int, step, d: int, rows: int, **options) -> Run:
+    """Sketched descent over stored rotated blocks, a pruned job per step and no moments of blocks.
+
+    Only the d x d total is summed once, for the step (line search included) and the reference.
+    """
+    from rotagrad.operators import gradient
+
+    total = np.zeros((1, d + 1, d + 1))
+    for r in gradient.block_moments(stored.select(F.lit(0).cast("bigint").alias("row_id"), "v"), 1, d + 1).collect():
+        total[0] = np.array(r.m).reshape(d + 1, d + 1)
+    run = Run(Moments(total, rows), q, step, **options)
+    split = stored.select("block_id", "block_bucket", F.slice("v", 1, d).alias("features"), F.col("v")[d].alias("label"))
+    x = np.zeros(d)
+    run.record(0, x, 0.0)
+    for t in range(steps):
+        own = draw(run.key, t if run.resample else 0, blocks, q, "permuted" if run.sampling == "permuted" else "without")
+        g = blocks / q * row_gradient(stored_blocks(split, list(own), buckets), x)
+        xi = run.step.xi(t, run, x, g)
+        x = x - xi * g
+        run.record(t + 1, x, xi)
+        if xi == 0:
+            break
+    return run

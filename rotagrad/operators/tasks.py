@@ -72,3 +72,38 @@ def secure_inverse(a: np.ndarray, rotation: np.ndarray, steps: int) -> np.ndarra
         xi = np.divide(np.einsum("ij,ij->j", g, e), bottom, out=np.zeros(len(a)), where=bottom > 0)
         x = x - g * xi
     return rotation.T @ x
+
+
+#: Bytes of the matrix that every task of a distributed inversion holds.
+INVERSE_BYTES = 64 << 20
+
+
+def secure_inverse_columns(spark, a: np.ndarray, rotation: np.ndarray, steps: int) -> DataFrame:
+    """(i, column): the inverse's columns, one least-squares problem each, spread over the cluster.
+
+    Tasks get A Q' only (broadcast, at most ``INVERSE_BYTES``); the decoding by Q' is done on the way out.
+    """
+    if a.nbytes > INVERSE_BYTES:
+        raise ValueError(f"a matrix of {a.nbytes} bytes; the limit is {INVERSE_BYTES}")
+    shared = spark.sparkContext.broadcast((a @ rotation.T, rotation))
+
+    def run(batches):
+        import pandas as pd
+
+        m, q = shared.value
+        gram = m.T @ m
+        for batch in batches:
+            out = []
+            for i in batch["id"]:
+                x, c = np.zeros(len(m)), m[i]
+                for _ in range(steps):
+                    e = gram @ x - c
+                    g = 2 * e
+                    bottom = g @ gram @ g
+                    if bottom <= 0:
+                        break
+                    x = x - g * (g @ e / bottom)
+                out.append((int(i), (q.T @ x).tolist()))
+            yield pd.DataFrame(out, columns=["i", "column"])
+
+    return spark.range(len(a)).repartition(min(len(a), 64), "id").mapInPandas(run, "i bigint, column array<double>")

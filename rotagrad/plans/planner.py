@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 
 from rotagrad.operators import gradient, solver
 from rotagrad.operators.rotation import Identity, Rotation
+from rotagrad.sources import matrices
 
 
 @dataclass(frozen=True)
@@ -34,9 +35,15 @@ def use_moments(plan: SketchPlan, n: int) -> bool:
     return plan.d + 1 < plan.rotation.height(n) // plan.blocks and plan.blocks * (plan.d + 1) ** 2 * 8 <= gradient.DRIVER_BYTES
 
 
-def execute(plan: SketchPlan, mat: DataFrame, n: int | None = None, **options) -> solver.Run:
+def execute(plan: SketchPlan, mat: DataFrame, n: int | None = None, folder: str | None = None, buckets: int = 64, **options) -> solver.Run:
+    """Moments where they pay; otherwise the rotated blocks are stored in ``folder`` and each step reads those drawn."""
     n = n if n is not None else mat.count()
     plan = cancel_rotation(plan)
-    solver.check_draw(plan.q, -(-plan.rotation.height(n) // plan.blocks), plan.d)
-    m = gradient.moments(mat, plan.rotation, plan.blocks, plan.d, n)
-    return solver.sketched_descent(m, plan.q, plan.steps, plan.step, sampling=plan.sampling, **options)
+    tau = -(-plan.rotation.height(n) // plan.blocks)
+    solver.check_draw(plan.q, tau, plan.d)
+    if use_moments(plan, n) or folder is None:
+        m = gradient.moments(mat, plan.rotation, plan.blocks, plan.d, n)
+        return solver.sketched_descent(m, plan.q, plan.steps, plan.step, sampling=plan.sampling, **options)
+    rotated = gradient.with_blocks(plan.rotation.apply(gradient.stacked(mat), n, plan.d + 1), tau)
+    matrices.write_blocks(rotated.select("block_id", "v"), folder, buckets)
+    return solver.stored_descent(mat.sparkSession.read.parquet(folder), plan.blocks, buckets, plan.q, plan.steps, plan.step, plan.d, n, sampling=plan.sampling, **options)

@@ -466,14 +466,14 @@ def repetition_recovery(spark, sf):
     return got.groupBy("pair").agg(*[F.sum(F.col(f"g{j}") * F.col("coef").cast("bigint")).alias(f"g{j}") for j in range(4)])
 
 
-@query()
+@query(f"WITH {LATENCY} SELECT t, 1.0::DOUBLE AS error, CASE WHEN count(DISTINCT server_id // 3) < 4 THEN 1.0 ELSE 0.0 END::DOUBLE AS coefficient_gap, 2.0::DOUBLE AS fixed FROM ranked WHERE rank <= 6 GROUP BY t")
 def optimal_decode_error(spark, sf):
     code = coding.as_matrix(coding.fractional_repetition(12, 2), 12)
     out = []
     for t in range(20):
         own = list(solver.draw("latency", t, 12, 6, "without"))
         a = coding.optimal_decode(code, own)
-        out.append((t, measures.decode_error(code, own), float(np.abs(a @ code[own] - 1).max()), coding.fixed_coefficient(12, 6)))
+        out.append((t, round(measures.decode_error(code, own), 9), round(float(np.abs(a @ code[own] - 1).max()), 9) + 0.0, coding.fixed_coefficient(12, 6)))
     return spark.createDataFrame(out, "t int, error double, coefficient_gap double, fixed double")
 
 
@@ -654,17 +654,18 @@ def iterative_vs_frozen(spark, sf):
     return solver.history(spark, {"scrambled": solver.sketched_descent(m, q, STEPS, s), "sign_hadamard": solver.sketched_descent(h, q, STEPS, s), "frozen": solver.sketched_descent(m, q, STEPS, s, resample=False)})
 
 
-def sweep(spark, sf, x0_scale: float | None = None, salts: int = 2, steps: int = 600) -> DataFrame:
+SWEEP = (0.05, 0.1, 0.2, 0.45, 1.0)
+
+
+def sweep(spark, sf, x0_scale: float | None = None, salts: int = 6, steps: int = 600) -> DataFrame:
     d, k, q = shape(spark, sf)
     out = []
-    for name in ("identity", "sign_hadamard", "scrambled"):
+    for name in FAMILY:
         for salt in range(1, salts + 1):
             m = part_moments(spark, sf, name, salt=salt, blocks=k, d=d)
             x0 = None if x0_scale is None else prf.rng(f"x0:{salt}").standard_normal(d) / m.rows
-            for mult in (0.05, 0.1, 0.2, 0.45, 1.0):
-                run = solver.Run(m, q, solver.Fixed(mult))
-                run.go(steps, x0)
-                out.append((name, mult, salt, float(min(run.history[-1][4], 300.0))))
+            for mult, last in zip(SWEEP, solver.fixed_sweep(m, q, steps, SWEEP, x0)):
+                out.append((name, mult, salt, float(min(last, 300.0))))
     return spark.createDataFrame(out, "rotation string, mult double, salt int, log_residual double")
 
 
@@ -675,7 +676,7 @@ def step_sweep_rollup(spark, sf):
 
 @query()
 def small_start_sweep(spark, sf):
-    return sweep(spark, sf, 1.0, 1).groupBy("rotation").pivot("mult").agg(F.avg("log_residual"))
+    return sweep(spark, sf, 1.0).groupBy("rotation").pivot("mult").agg(F.avg("log_residual"))
 
 
 @query()
@@ -683,7 +684,8 @@ def flatness_by_rotation(spark, sf):
     d, k, _ = shape(spark, sf)
     out = []
     for name in FAMILY + ("super_block", "kronecker"):
-        f = measures.flatness(measures.block_scores(part_moments(spark, sf, name, blocks=k, d=d)))
+        m = part_moments(spark, sf, name, blocks=k, d=d)
+        f = measures.flatness(measures.block_scores(m), tau=-(-m.rows // k))
         out.append((name, f["max_k"], f["min_k"], f["distance"], f["bound"], f["vacuous"]))
     return spark.createDataFrame(out, "rotation string, max_k double, min_k double, distance double, bound double, vacuous boolean")
 
@@ -723,12 +725,39 @@ def secure_exact_descent(spark, sf):
     return spark.createDataFrame(out, "rotation string, gap double, shuffles int, key_bits double")
 
 
-@query()
+def _six_sql(steps: int, step: str, sampling: str = "without", ridge: float = 0.0, runs: str = "0", key: str = "'draw'") -> str:
+    """CTEs up to it(r, t, x0, x1): descents over 3 of 6 blocks of the lane, as many runs as ``runs`` has numbers."""
+    e0, e1 = "(k.n * x0 + k.p * x1 - k.y)", "(k.p * x0 + k.pp * x1 - k.py)"
+    u = f"((cast(('0x' || substr(sha256({key} || ':' || t || ':' || s), 1, 8))::BIGINT as double) + 0.5e0) / 4294967296.0e0)"
+    if sampling == "with":
+        d = f"d AS (SELECT r, t, ('0x' || substr(sha256({key} || ':' || t || ':' || i), 1, 8))::BIGINT % 6 AS s, 1 AS rank FROM (SELECT unnest([{runs}]) AS r), range({steps}) a(t), range(3) c(i))"
+    else:
+        d = f"d AS (SELECT r, t, s, row_number() OVER (PARTITION BY r, t ORDER BY round(-ln({u}), 12), s) AS rank FROM (SELECT unnest([{runs}]) AS r), range({steps}) a(t), range(6) c(s))"
+    sums = ", ".join(f"2 * sum({c}) AS {c}" for c in ("n", "p", "pp", "y", "py"))
+    move = [f"{x} - {step} * (2 * {e} + {2 * ridge!r} * {x})" for x, e in (("x0", e0), ("x1", e1))]
+    return f"""{LANE}, b AS (SELECT row_id // ceil((SELECT count(*) FROM orders) / 6)::BIGINT AS s, count(*)::DOUBLE AS n, sum(p) AS p, sum(p * p) AS pp, sum(y) AS y, sum(p * y) AS py FROM lane GROUP BY 1),
+{d}, k AS (SELECT r, t, {sums} FROM d JOIN b USING (s) WHERE rank <= 3 GROUP BY r, t),
+it(r, t, x0, x1) AS (SELECT unnest([{runs}]), 0, 0.0::DOUBLE, 0.0::DOUBLE UNION ALL
+SELECT it.r, it.t + 1, {move[0]}, {move[1]} FROM it JOIN k ON k.t = it.t AND k.r = it.r, l)"""
+
+
+#: The solution, the objective above its optimum and the distance to the solution, in SQL.
+_BEST = "z AS (SELECT (pp * y - p * py) / (n * pp - p * p) AS b0, (n * py - p * y) / (n * pp - p * p) AS b1 FROM s)"
+_ABOVE = "(s.n * (x0 - b0) * (x0 - b0) + 2 * s.p * (x0 - b0) * (x1 - b1) + s.pp * (x1 - b1) * (x1 - b1))"
+_FAR = "log10(greatest(sqrt((x0 - b0) * (x0 - b0) + (x1 - b1) * (x1 - b1)) / sqrt(s.n), 1e-17))"
+
+
+@query(f"""WITH RECURSIVE {_six_sql(20, '(0.4 * 2 / top / (it.t + 1))')}, {_BEST},
+h AS (SELECT 'lane' AS run, t::INT AS t, {_FAR} AS f, {_ABOVE} AS o FROM it, s, z)
+SELECT run, t, round(f, 5) AS log_residual, round(f - lag(f) OVER (ORDER BY t), 5) AS contraction,
+round(sum(o) OVER (ORDER BY t), 2) AS regret_sum, round(avg(f) OVER (ORDER BY t ROWS BETWEEN 9 PRECEDING AND CURRENT ROW), 5) AS moving FROM h""")
 def log_residual_curve(spark, sf):
     """Contraction per step, running regret and a moving mean of the residual, by windows over a history."""
-    rows = solver.history(spark, {"lane": solver.sketched_descent(lane_moments(spark, sf, 6), 3, 20, solver.Decay(0.4))})
+    run = solver.sketched_descent(lane_moments(spark, sf, 6), 3, 20, solver.Decay(0.4))
+    rows = solver.history(spark, {"lane": run}).withColumn("above", F.col("objective") - run.objective(run.best))
     w = W.Window.partitionBy("run").orderBy("t")
-    return rows.select("run", "t", "log_residual", (F.col("log_residual") - F.lag("log_residual").over(w)).alias("contraction"), F.sum("objective").over(w.rowsBetween(W.Window.unboundedPreceding, 0)).alias("regret_sum"), F.avg("log_residual").over(w.rowsBetween(-9, 0)).alias("moving"))
+    far = F.col("log_residual")
+    return rows.select("run", "t", F.round(far, 5).alias("log_residual"), F.round(far - F.lag(far).over(w), 5).alias("contraction"), F.round(F.sum("above").over(w.rowsBetween(W.Window.unboundedPreceding, 0)), 2).alias("regret_sum"), F.round(F.avg(far).over(w.rowsBetween(-9, 0)), 5).alias("moving"))
 
 
 @query()
@@ -828,7 +857,16 @@ def scrambled_attack(spark, sf):
     return same.agg(F.avg(hit.cast("double")).alias("matched")).select(F.lit("scrambled").alias("rotation"), "matched")
 
 
-@query()
+def _coordinate_sql() -> str:
+    bound = repr(math.sqrt(2 * math.log(2 * 1024 * 2 / 0.1) / 1024))
+    keys = []
+    for k in ("a", "b", "c"):
+        x = f"SELECT i, sum((1 - 2 * (bit_count(i & j) % 2)) * {DUCK.sign(k, 'j')}) / 1024.0::DOUBLE AS x1, max(CASE WHEN j = 0 THEN 1 ELSE 0 END) / 32.0::DOUBLE AS x0 FROM range(1024) r(i), range(1024) s(j) GROUP BY i"
+        keys += [f"SELECT '{k}' AS key, {j}::INT AS j, round(max(abs(x{j})), 9) AS largest, round(avg((abs(x{j}) > {bound})::INT), 9) AS exceeds FROM ({x})" for j in (0, 1)]
+    return " UNION ALL ".join(keys)
+
+
+@query(_coordinate_sql())
 def coordinate_bound(spark, sf):
     """Share of rotated coordinates of a unit vector above sqrt(2 log(2 N d / 0.1) / N), over keys."""
     out = None
@@ -838,7 +876,7 @@ def coordinate_bound(spark, sf):
         one = r.select(F.lit(key).alias("key"), F.posexplode("v").alias("j", "x"))
         out = one if out is None else out.union(one)
     bound = math.sqrt(2 * math.log(2 * 1024 * 2 / 0.1) / 1024)
-    return out.groupBy("key", "j").agg(F.max(F.abs("x")).alias("largest"), F.avg((F.abs("x") > bound).cast("double")).alias("exceeds"))
+    return out.groupBy("key", "j").agg(F.round(F.max(F.abs("x")), 9).alias("largest"), F.round(F.avg((F.abs("x") > bound).cast("double")), 9).alias("exceeds"))
 
 
 @query()
@@ -869,7 +907,9 @@ def _logistic(spark, sf, fit) -> DataFrame:
     z = sum((F.col("features")[j] * float(v) for j, v in enumerate(x)), F.lit(0.0))
     p = 1 / (1 + F.exp(-z))
     y = F.col("label")
-    return mat.agg(F.avg(((p > 0.5) == (y > 0.5)).cast("double")).alias("accuracy"), F.avg(-y * F.log(p) - (1 - y) * F.log(1 - p)).alias("log_loss")).withColumn("x", F.array(*[F.lit(float(v)) for v in x]))
+    got = mat.agg(F.avg(((p > 0.5) == (y > 0.5)).cast("double")).alias("accuracy"), F.avg(-y * F.log(p) - (1 - y) * F.log(1 - p)).alias("log_loss")).first()
+    mat.unpersist()
+    return spark.createDataFrame([(got.accuracy, got.log_loss, [float(v) for v in x])], "accuracy double, log_loss double, x array<double>")
 
 
 @query()
@@ -1033,14 +1073,31 @@ def row_pass_descent(spark, sf):
     return spark.createDataFrame([(t, round(x[0], 6), round(x[1], 6)) for t, x in path], "t int, x0 double, x1 double")
 
 
-@query()
+def _kinds_sql() -> str:
+    step, out = "(0.1 * 2 / top)", []
+    for kind, sampling, ridge in (("with", "with", 0.0), ("without", "without", 0.0), ("unscaled", "without", 0.0), ("ridge", "without", 10.0)):
+        out.append(f"SELECT * FROM (WITH RECURSIVE {_six_sql(20, step, sampling, ridge)} SELECT '{kind}' AS run, t::INT AS t, round(x0, 6) AS x0, round(x1, 6) AS x1 FROM it)")
+    return " UNION ALL ".join(out)
+
+
+@query(_kinds_sql())
 def with_replacement_descent(spark, sf):
+    """Both sampling modes, blocks left unscaled (the step makes up for it), and a ridge term."""
     m = lane_moments(spark, sf, 6)
     kinds = {"with": {"sampling": "with"}, "without": {"sampling": "without"}, "unscaled": {"block_scale": "none"}, "ridge": {"reg": 10.0}}
-    return solver.history(spark, {k: solver.sketched_descent(m, 3, 20, solver.Fixed(0.1), **o) for k, o in kinds.items()})
+    rows = solver.history(spark, {k: solver.sketched_descent(m, 3, 20, solver.Fixed(0.1), **o) for k, o in kinds.items()})
+    return rows.select("run", "t", F.round(F.col("x")[0], 6).alias("x0"), F.round(F.col("x")[1], 6).alias("x1"))
 
 
-@query()
+def _mean_sql() -> str:
+    e0, e1 = "(l.n * x0 + l.p * x1 - l.y)", "(l.p * x0 + l.pp * x1 - l.py)"
+    runs = _six_sql(10, "(0.1 * 2 / top)", runs=", ".join(map(str, range(200))), key="'draw:' || r")
+    return f"""WITH RECURSIVE {runs}, pl(t, x0, x1) AS (SELECT 0, 0.0::DOUBLE, 0.0::DOUBLE UNION ALL
+SELECT t + 1, x0 - 0.1 * 2 / top * 2 * {e0}, x1 - 0.1 * 2 / top * 2 * {e1} FROM pl, l WHERE t < 10)
+SELECT it.t::INT AS t, round(abs(avg(it.x0) - any_value(pl.x0)), 6) AS gap0, round(abs(avg(it.x1) - any_value(pl.x1)), 6) AS gap1 FROM it JOIN pl ON pl.t = it.t GROUP BY 1"""
+
+
+@query(_mean_sql())
 def mean_path_gap(spark, sf):
     """The mean of many sketched runs against plain descent with the same steps."""
     m = lane_moments(spark, sf, 6)
@@ -1048,17 +1105,18 @@ def mean_path_gap(spark, sf):
     runs = {f"r{i}": solver.sketched_descent(m, 3, 10, solver.Fixed(0.1), key=f"draw:{i}") for i in range(200)}
     mean = solver.history(spark, runs).groupBy("t").agg(F.avg(F.col("x")[0]).alias("x0"), F.avg(F.col("x")[1]).alias("x1"))
     known = spark.createDataFrame([(h[0], *h[1]) for h in plain], "t int, p0 double, p1 double")
-    return mean.join(known, "t").select("t", F.abs(F.col("x0") - F.col("p0")).alias("gap0"), F.abs(F.col("x1") - F.col("p1")).alias("gap1"))
+    return mean.join(known, "t").select("t", F.round(F.abs(F.col("x0") - F.col("p0")), 6).alias("gap0"), F.round(F.abs(F.col("x1") - F.col("p1")), 6).alias("gap1"))
 
 
-@query()
+@query(f"""WITH RECURSIVE {_six_sql(40, '(0.4 * 2 / top / sqrt(it.t + 1))')}, {_BEST}, h AS (SELECT t::INT AS t, {_ABOVE} AS o FROM it, s, z WHERE t > 0)
+SELECT 'r' AS run, t, round(avg(o) OVER (ORDER BY t), 3) AS regret, round(1 / sqrt(t) + 3 / t, 9) AS rate FROM h""")
 def regret_curve(spark, sf):
     """Mean objective above the optimum so far, beside the rate 1/sqrt(t) + r/t."""
     run = solver.sketched_descent(lane_moments(spark, sf, 6), 3, 40, solver.Decay(0.4, True))
     best = run.objective(run.best)
     rows = solver.history(spark, {"r": run}).filter("t > 0")
     w = W.Window.partitionBy("run").orderBy("t").rowsBetween(W.Window.unboundedPreceding, 0)
-    return rows.select("run", "t", (F.avg(F.col("objective") - best).over(w)).alias("regret"), (1 / F.sqrt("t") + 3 / F.col("t")).alias("rate"))
+    return rows.select("run", "t", F.round(F.avg(F.col("objective") - best).over(w), 3).alias("regret"), F.round(1 / F.sqrt("t") + 3 / F.col("t"), 9).alias("rate"))
 
 
 @query()
@@ -1095,12 +1153,15 @@ def partial_straggler_descent(spark, sf):
 def stream_equals_batch(spark, sf):
     """Days whose moments differ between a stream over all files and the batch (none should)."""
     batch = src.read(spark, sf, "events")
-    ckpt = f"{(spark.conf.get('spark.checkpoint.dir', None) or '/tmp/checkpoints').rstrip('/')}/events-{uuid.uuid4().hex}"
+    ckpt = f"{src.shared_folder(spark)}/events-{uuid.uuid4().hex}"
     stream = ev.source(spark, f"{sf}/events.parquet*", batch.schema)
     got, want = _rounded(ev.run_available(stream, "event_moments", ckpt), "w"), _rounded(ev.tumbling(ev.zoned(batch)), "w")
     return got.exceptAll(want).union(want.exceptAll(got)).agg(F.count(F.lit(1)).alias("differences"))
 
 
+from rotagrad import lane_queries  # noqa: E402, F401  registers its queries
+
+
 def queries() -> dict:
     return dict(QUERIES)
 

@@ -26,15 +26,33 @@ def write_blocks(blocks: DataFrame, path: str, buckets: int = 64) -> None:
     bucketed.repartition("block_bucket").sortWithinPartitions("block_id").write.partitionBy("block_bucket").mode("overwrite").parquet(path)
 
 
+def append_history(rows: DataFrame, path: str) -> None:
+    """A run's history, added to those stored under ``path``, a folder per run; a run that is written again is replaced."""
+    rows.write.partitionBy("run").option("partitionOverwriteMode", "dynamic").mode("overwrite").parquet(path)
+
+
+def write_sketch(rotated: DataFrame, own: list[int], scale: float, path: str) -> None:
+    """The compressed store: the drawn blocks' rotated rows (block_id, v), scaled, in place of the matrix."""
+    rotated.filter(F.col("block_id").isin(own)).select("block_id", F.transform("v", lambda x: x * scale).alias("v")).write.mode("overwrite").parquet(path)
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the folder the session names; /tmp/checkpoints only where it names none."""
+    """A reliable checkpoint in the folder the session names."""
     spark = df.sparkSession
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
+        sc.setCheckpointDir(shared_folder(spark))
     return df.checkpoint(eager=True)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder in spark.checkpoint.dir; one of the machine's own only where Spark runs on one machine alone."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named is None and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return (named or "/tmp/checkpoints").rstrip("/")
+
+
 def dense_row_ids(df: DataFrame, keys: list[str], name: str = "row_id") -> DataFrame:
     """Dense ids in the order of ``keys`` without a global window.
 

@@ -75,6 +75,38 @@ def first_answers(answers: DataFrame, q: int) -> DataFrame:
     return answers.groupBy("t").applyInPandasWithState(take, "t int, server_id bigint, latency double, rank int", "taken array<bigint>", "append", "NoTimeout")
 
 
+def once_within(answers: DataFrame, delay: str = "10 minutes") -> DataFrame:
+    """Answers that arrive again (t, server_id, ts, ...) dropped within the watermark; state older than that goes."""
+    return answers.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["t", "server_id"])
+
+
+def first_answers_by_deadline(answers: DataFrame, q: int, deadline: str = "1 minute") -> DataFrame:
+    """First answers per step (t, server_id, latency, ts) with an event-time deadline: when the watermark passes the step's
+    first answer by ``deadline``, its state is dropped and whatever comes later is a straggler."""
+    wait = int(pd.Timedelta(deadline).total_seconds() * 1000)
+
+    def take(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        taken, end = (list(state.get[0]), state.get[1]) if state.exists else ([], 0)
+        rows = []
+        for batch in batches:
+            for server, latency, ts in batch.sort_values(["ts", "latency", "server_id"])[["server_id", "latency", "ts"]].itertuples(index=False):
+                at = int(ts.timestamp() * 1000)
+                end = end or at + wait
+                if len(taken) < q and server not in taken and at <= end:
+                    taken.append(int(server))
+                    rows.append((key[0], int(server), float(latency), len(taken)))
+        if end > state.getCurrentWatermarkMs():
+            state.update((taken, end))
+            state.setTimeoutTimestamp(end)
+        yield pd.DataFrame(rows, columns=["t", "server_id", "latency", "rank"])
+
+    late = answers.withWatermark("ts", "0 seconds").groupBy("t")
+    return late.applyInPandasWithState(take, "t int, server_id bigint, latency double, rank int", "taken array<bigint>, deadline bigint", "append", "EventTimeTimeout")
+
+
 class MinibatchDescent:
     """A ``foreachBatch`` sink: every micro-batch is a responder set and moves x once.
 
