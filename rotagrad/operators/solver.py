@@ -176,9 +176,14 @@ def plain_descent(m: Moments, steps: int, step, **options) -> Run:
     return sketched_descent(m, m.blocks, steps, step, **options)
 
 
-def fixed_sweep(m: Moments, q: int, steps: int, multipliers: tuple[float, ...], x0: np.ndarray | None = None, key: str = "draw") -> list[float]:
-    """Last log residuals of runs with several constant steps over the same draws: one pass, x is d x runs."""
+def fixed_sweep(m: Moments, q: int, steps: int, multipliers: tuple[float, ...], x0: np.ndarray | None = None, key: str = "draw", of: Run | None = None) -> list[float]:
+    """Last log residuals of runs with several constant steps over the same draws: one pass, x is d x runs.
+
+    Step unit and reference solution are those of ``of`` (the matrix itself), which projections do not keep.
+    """
     run = Run(m, q, Fixed(1.0), key=key)
+    if of is not None:
+        run.unit, run.best = of.unit, of.best
     x = np.zeros((m.d, len(multipliers))) if x0 is None else np.repeat(np.array(x0, float)[:, None], len(multipliers), axis=1)
     live = np.ones(len(multipliers), bool)
     for t in range(steps):

@@ -659,12 +659,14 @@ SWEEP = (0.05, 0.1, 0.2, 0.45, 1.0)
 
 def sweep(spark, sf, x0_scale: float | None = None, salts: int = 6, steps: int = 600) -> DataFrame:
     d, k, q = shape(spark, sf)
-    out = []
+    out, own = [], {}
     for name in FAMILY:
         for salt in range(1, salts + 1):
             m = part_moments(spark, sf, name, salt=salt, blocks=k, d=d)
+            if name == "identity":
+                own[salt] = solver.Run(m, q, solver.Fixed(1.0))
             x0 = None if x0_scale is None else prf.rng(f"x0:{salt}").standard_normal(d) / m.rows
-            for mult, last in zip(SWEEP, solver.fixed_sweep(m, q, steps, SWEEP, x0)):
+            for mult, last in zip(SWEEP, solver.fixed_sweep(m, q, steps, SWEEP, x0, of=own[salt])):
                 out.append((name, mult, salt, float(min(last, 300.0))))
     return spark.createDataFrame(out, "rotation string, mult double, salt int, log_residual double")
 
