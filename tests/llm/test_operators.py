@@ -384,6 +384,29 @@ def test_pruning_skips_blocks_and_loses_nothing():
     assert sorted(i for i, _ in found) == [0, 700, 1400] and len(shard.stripes) == 2 and sum(calls) == 1
 
 
+def test_pivots_pass_over_blocks_and_documents():
+    """Sums over all documents beside the pruned search, for a batch of queries over words of very uneven frequency."""
+    rnd = random.Random(12)
+    words = [f"w{i}" for i in range(400)]
+    texts = [" ".join(words[min(399, int(rnd.paretovariate(0.5)) - 1)] for _ in range(rnd.randint(0, 40))) for _ in range(3000)]
+    mean = sum(len(t.split()) for t in texts) / len(texts)
+    shard = bm25.Shard(list(range(3000)), texts, mean, 1.2, 0.75)
+    df = collections.Counter(w for t in texts for w in set(t.split()))
+    idf = {w: math.log((3000 - f + 0.5) / (f + 0.5) + 1) for w, f in df.items()}
+    asked = [collections.Counter(t.split()) for t in texts[:60]]
+    cells = [(i, shard.terms[w], c * idf[w]) for i, own in enumerate(asked) for w, c in own.items()]
+    got = shard.search_many(*(np.array(x) for x in zip(*cells)), 60, 5)
+    counts = [collections.Counter(t.split()) for t in texts]
+    for own, mine in zip(asked, got):
+        want = []
+        for i, c in enumerate(counts):
+            size = 1.2 * (0.25 + 0.75 * sum(c.values()) / mean)
+            score = round(math.fsum(k * idf[w] * (c[w] * 2.2 / (c[w] + size)) for w, k in own.items() if w in c), 9)
+            want += [(-score, i)] if score > 0 else []
+        assert [i for i, _ in mine] == [i for _, i in sorted(want)[:5]] and np.allclose([s for _, s in mine], [-s for s, _ in sorted(want)[:5]])
+    assert all(shard.counts.values()), shard.counts  # blocks and documents are both passed over and read
+
+
 def test_batches_of_queries_survive_packing():
     texts, counts, dfs = ["a b zz", "b"], [[1, 3, 2], [4]], [[9, 70000, 1], [70000]]
     ids, rows, order, df, query, word, count = bm25.unpack(bm25.pack([7, None], [0, 5], texts, counts, dfs))
