@@ -54,6 +54,19 @@ class Dialect:
                 b = self.xor(b, f"({self.digits(f'{key}:{r}', a)} % {1 << low})")
         return f"(({a}) * {1 << low} + ({b}))"
 
+    def unfeistel(self, key: str, x: str, bits: int, rounds: int = 4) -> str:
+        """The inverse of ``feistel``: the same rounds from the last to the first."""
+        if bits == 0:
+            return x
+        low = bits - bits // 2
+        a, b = self.div(x, 1 << low), f"(({x}) % {1 << low})"
+        for r in reversed(range(rounds)):
+            if r % 2 == 0:
+                a = self.xor(a, f"({self.digits(f'{key}:{r}', b)} % {1 << (bits - low)})")
+            else:
+                b = self.xor(b, f"({self.digits(f'{key}:{r}', a)} % {1 << low})")
+        return f"(({a}) * {1 << low} + ({b}))"
+
 
 SPARK, DUCK = Dialect(False), Dialect(True)
 
@@ -79,6 +92,10 @@ def feistel(key: str, bits: int, row_id: str = "row_id") -> Column:
     return F.expr(SPARK.feistel(key, row_id, bits)).cast("bigint")
 
 
+def unfeistel(key: str, bits: int, row_id: str = "row_id") -> Column:
+    return F.expr(SPARK.unfeistel(key, row_id, bits)).cast("bigint")
+
+
 def feistel_place(key: str, bits: int, x: int, rounds: int = 4) -> int:
     """The Python twin of ``feistel``."""
     low = bits - bits // 2

@@ -217,6 +217,8 @@ class Scrambled(SignHadamard):
         return out.select(prf.feistel(self.key, self.digits(n)).alias("row_id"), "v")
 
     def inverse(self, df, n, width):
+        if self.perm == "feistel":
+            return super().inverse(df.select(prf.unfeistel(self.key, self.digits(n)).alias("row_id"), "v"), n, width)
         pairs = self.places(df.sparkSession, n)
         return super().inverse(df.join(pairs, "row_id").select(F.col("old").alias("row_id"), "v"), n, width)
 
@@ -249,10 +251,17 @@ class SuperBlock(Rotation):
 
 
 class Dense(Rotation):
-    """A dense N x N matrix: uniform orthonormal, Gaussian or Rademacher (the last two are only projections)."""
+    """A dense N x N matrix: uniform orthonormal, Gaussian or Rademacher (the last two are only projections).
+
+    ``how`` makes the uniform one of up to DENSE_LIMIT rows: "qr_sign" (QR of a normal matrix, signs of the
+    diagonal), "gram_schmidt" (its columns made orthonormal one by one, twice over) or "reflections", which is
+    what taller ones always are.
+    """
 
-    def __init__(self, key: str, kind: str = "orthonormal"):
-        self.key, self.kind, self.name = key, kind, kind
+    def __init__(self, key: str, kind: str = "orthonormal", how: str = "qr_sign"):
+        if how not in ("qr_sign", "gram_schmidt", "reflections"):
+            raise ValueError(f"no construction {how}")
+        self.key, self.kind, self.name, self.how = key, kind, kind, how
         self.orthonormal = kind == "orthonormal"
 
     def key_bits(self, n: int) -> float:
@@ -267,6 +276,13 @@ class Dense(Rotation):
         g = r.standard_normal((n, n))
         if self.kind == "gaussian":
             return g / math.sqrt(n)
+        if self.how == "gram_schmidt":
+            out = np.empty((n, n))  # a row holds a column, for contiguous products
+            for i, column in enumerate(g.T):
+                for _ in range(2):
+                    column = column - out[:i].T @ (out[:i] @ column)
+                out[i] = column / np.linalg.norm(column)
+            return out.T
         q, t = np.linalg.qr(g)
         return q * np.sign(np.diag(t))
 
@@ -291,7 +307,7 @@ class Dense(Rotation):
     def product(self, x: np.ndarray, transposed: bool) -> np.ndarray:
         """The matrix, or its transpose, times x."""
         n = len(x)
-        if n <= DENSE_LIMIT:
+        if n <= DENSE_LIMIT and not (self.orthonormal and self.how == "reflections"):
             m = self.matrix(n)
             return (m.T if transposed else m) @ x
         out = np.zeros_like(x)
@@ -334,15 +350,47 @@ class Dense(Rotation):
         return self.times(df, n, width, True)
 
 
+class SignedPermutation(Rotation):
+    """Keyed signs, then a keyed bijection of the rows: projections only, at any height.
+
+    Orthonormal, and a draw from the finite group that hides a matrix up to its rows' order and signs;
+    it flattens nothing, as every entry of a row stays where its row goes.
+    """
+
+    name, structured = "signed_permutation", True
+
+    def __init__(self, key: str):
+        self.key = key
+
+    def bits(self, n: int) -> int:
+        return max(1, (n - 1).bit_length())
+
+    def height(self, n: int) -> int:
+        return 1 << self.bits(n)
+
+    def key_bits(self, n: int) -> float:
+        return self.height(n) + prf.log2_factorial(self.height(n))
+
+    def signed(self, df: DataFrame) -> DataFrame:
+        kind = "bigint" if "bigint" in df.schema["v"].dataType.simpleString() else "double"
+        return df.withColumn("s", prf.keyed_sign(self.key).cast(kind)).select("row_id", F.transform("v", lambda x: x * F.col("s")).alias("v"))
+
+    def apply(self, df, n, width):
+        return self.signed(df).select(prf.feistel(self.key, self.bits(n)).alias("row_id"), "v")
+
+    def inverse(self, df, n, width):
+        return self.signed(df.select(prf.unfeistel(self.key, self.bits(n)).alias("row_id"), "v"))
+
+
 def by_name(name: str, key: str = "k1") -> Rotation:
-    """identity, sign_hadamard, scrambled, kronecker (a 3 x 3 base), super_block, orthonormal, gaussian, rademacher."""
+    """identity, sign_hadamard, scrambled, kronecker (a 3 x 3 base), super_block, signed_permutation, orthonormal, gaussian, rademacher."""
     if name == "identity":
         return Identity()
     if name in ("orthonormal", "gaussian", "rademacher"):
         return Dense(key, name)
     if name == "kronecker":
         return Kronecker(reflection(3), key)
-    return {"sign_hadamard": SignHadamard, "scrambled": Scrambled, "super_block": SuperBlock}[name](key)
+    return {"sign_hadamard": SignHadamard, "scrambled": Scrambled, "super_block": SuperBlock, "signed_permutation": SignedPermutation}[name](key)
 
 
 def reflection(k: int) -> list[list[float]]:

@@ -115,6 +115,24 @@ def feistel_permutation(spark, sf):
     return src.read(spark, sf, "part").filter("p_partkey < 1024").select(F.col("p_partkey").alias("row_id"), prf.feistel("perm", 10, "p_partkey").alias("place"))
 
 
+#: Index bits of the least height that the SQL of ``signed_permutation`` writes out.
+PLACES = 18
+
+
+@query(f"WITH {EXACT} SELECT {DUCK.feistel('group', 'row_id', PLACES)} AS row_id, " + ", ".join(f"{DUCK.sign('group', 'row_id')} * {v} AS {v}" for v in V5) + " FROM ex")
+def signed_permutation(spark, sf):
+    """All orders under a keyed signed permutation of 2^18 places (more for more orders)."""
+    rows = src.orders_exact(spark, sf)
+    return wide(rotation.SignedPermutation("group").apply(rows, max(1 << PLACES, rows.count()), 5), V5)
+
+
+@query(f"WITH {EXACT} SELECT * FROM ex")
+def signed_permutation_inverse(spark, sf):
+    rows, r = src.orders_exact(spark, sf), rotation.SignedPermutation("group")
+    n = rows.count()
+    return wide(r.inverse(r.apply(rows, n, 5), n, 5), V5)
+
+
 @query()
 def feistel_permutation_all(spark, sf):
     """The permutation of every part, over the least power of two that holds them."""
@@ -281,6 +299,11 @@ def dense_rotation_all(spark, sf):
     return _round_trip_all(spark, sf, rotation.Dense("k1"))
 
 
+@query(_ALL_REAL)
+def reflections_rotation_all(spark, sf):
+    return _round_trip_all(spark, sf, rotation.Dense("k1", how="reflections"))
+
+
 @query(_ALL_REAL)
 def givens_rotation_all(spark, sf):
     return _round_trip_all(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))

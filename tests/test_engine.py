@@ -259,6 +259,40 @@ def test_dense_ids_and_blocks_on_disk(spark, tmp_path):
     assert src.read_any(spark, "json", str(tmp_path / "j"), "row_id bigint").count() == 3
 
 
+def test_regression_from_sql_equals_the_solver(spark):
+    sqlapi.register(spark)
+    mat = matrix(spark, random_matrix(5, 50, 3), random_matrix(6, 50, 1)[:, 0])
+    mat.createOrReplaceTempView("small_matrix")
+    got = spark.sql("SELECT * FROM sketched_regression(TABLE(SELECT * FROM small_matrix), 8, 4, 12, 'k1')").collect()
+    m = gradient.moments(mat, rotation.Scrambled("k1"), 8, 3, 50)
+    want = solver.sketched_descent(m, 4, 12, solver.LineSearch()).history
+    assert len(got) == 13 and [r.t for r in got] == [h[0] for h in want]
+    assert all(np.allclose(r.x, h[1]) and np.isclose(r.objective, h[3]) for r, h in zip(got, want))
+    assert spark.sql("SELECT * FROM sketched_regression(TABLE(SELECT * FROM small_matrix WHERE row_id < 0), 8, 4, 12, 'k1')").count() == 0
+    with pytest.raises(Exception, match="null in a matrix row"):
+        spark.sql("SELECT * FROM sketched_regression(TABLE(SELECT row_id, features, cast(null AS double) AS label FROM small_matrix), 8, 4, 12, 'k1')").collect()
+
+
+@pytest.mark.parametrize("how", ["qr_sign", "gram_schmidt", "reflections"])
+def test_every_construction_of_the_uniform_rotation(how):
+    r = rotation.Dense("k9", how=how)
+    m = r.product(np.eye(70), False)
+    assert np.allclose(m.T @ m, np.eye(70)) and np.allclose(r.product(np.eye(70), True), m.T)
+    # Entries of a uniform matrix have mean 0 and variance 1/N, on the diagonal too.
+    assert abs(m.mean()) < 0.01 and abs(np.diag(m).mean()) < 5 / 70
+
+
+def test_permutations_are_undone_without_a_shuffle(spark):
+    for bits in (1, 2, 5, 8):
+        ids = spark.range(1 << bits).select(prf.feistel("p", bits, "id").alias("row_id"), "id")
+        back = ids.select("row_id", prf.unfeistel("p", bits).alias("back"), "id").collect()
+        assert all(r.back == r.id for r in back) and sorted(r.row_id for r in back) == list(range(1 << bits))
+    r = rotation.SignedPermutation("p")
+    rows = spark.createDataFrame([(i, [float(i), 1.0]) for i in range(37)], "row_id long, v array<double>")
+    out = r.inverse(r.apply(rows, 37, 2), 37, 2)
+    assert "Exchange" not in out._jdf.queryExecution().toString() and sorted(map(tuple, ((i, *v) for i, v in out.collect()))) == [(i, float(i), 1.0) for i in range(37)]
+
+
 def test_sql_functions_and_vectors(spark):
     sqlapi.register(spark)
     rows = spark.sql("SELECT * FROM draw_blocks(6, 3, 4, 'draw', 'without')").collect()
