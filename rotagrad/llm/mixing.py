@@ -7,9 +7,9 @@ quota of blocks is a number of whole passes plus a circular stretch of blocks fr
 seeded start.  Every count is an integer and depends on ids, sizes and the seed only, so
 reruns agree whatever the partitioning.
 
-Sizes reach the driver per source and per (source, shard) only: at most ``max_shards``
-rows per source, never per document.  A hot source has more shards, so its windows stay
-small.
+Sizes reach the driver per source only (at most MAX_SOURCES rows); a source's quota is
+dealt over its shards in a group of at most ``max_shards`` rows, never of documents.  A
+hot source has more shards, so its windows stay small.
 
 Defined results: null text has size 0; null source is a source of its own, after all
 others; documents of size 0 take 0; rows that repeat an id are separate documents;
@@ -21,9 +21,9 @@ from __future__ import annotations
 import heapq
 from fractions import Fraction
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql import window as W
 
 from rotagrad.llm.common import checkpointed, word_count
@@ -97,28 +97,31 @@ def mix(
     shards = [1 << max(0, min(max_shards.bit_length() - 1, (r.n // rows_per_shard).bit_length())) for r in per]
 
     spark = df.sparkSession
-    schema = "source string, no int, shards int, source_size long, target double"
-    known = spark.createDataFrame([(r.source, i, shards[i], sizes[i], float(targets[i])) for i, r in enumerate(per)], schema)
+    schema = "source string, no int, shards int, source_size long, target double, blocks long, whole boolean"
+    known = spark.createDataFrame([(r.source, i, shards[i], sizes[i], float(targets[i]), blocks[i], targets[i] == cap * sizes[i]) for i, r in enumerate(per)], schema)
     keyed = (
         sized.alias("d")
         .join(F.broadcast(known.alias("s")), F.col("d.source").eqNullSafe(F.col("s.source")))
         .select("d.doc_id", "d.source", "d.size", "no", "source_size", "target", F.pmod(F.xxhash64(F.col("d.doc_id"), F.lit(seed)), F.col("shards")).cast("int").alias("shard"))
     )
-    words = {(r.no, r.shard): r.words for r in keyed.groupBy("no", "shard").agg(F.sum("size").alias("words")).collect()}
-    plan = []
-    for no in range(len(per)):
-        own = [(no, s) for s in range(shards[no]) if (no, s) in words]
-        whole = targets[no] == cap * sizes[no]
-        for key, q in zip(own, sainte_lague([words[k] for k in own], blocks[no])):
-            w = words[key]
-            quota = cap * w if whole else min(q * block_words, cap * w)
+
+    def quotas(own: pd.DataFrame) -> pd.DataFrame:
+        """A source's shards: whole passes over each, and the stretch of blocks beside them."""
+        own = own.sort_values("shard")
+        no, votes = int(own["no"].iloc[0]), own["words"].tolist()
+        out = []
+        for shard, w, seats in zip(own["shard"].tolist(), votes, sainte_lague(votes, int(own["blocks"].iloc[0]))):
+            quota = cap * w if own["whole"].iloc[0] else min(seats * block_words, cap * w)
             passes, rest = divmod(quota, w) if w else (0, 0)
-            start = (hash_mix(seed, *key) % max(1, -(-w // block_words))) * block_words
-            plan.append((*key, w, passes, rest, start))
-    schema = T.StructType([T.StructField(n, T.IntegerType() if n in ("no", "shard") else T.LongType()) for n in ("no", "shard", "w", "passes", "rest", "start")])
+            start = (hash_mix(seed, no, shard) % max(1, -(-w // block_words))) * block_words
+            out.append((no, shard, w, passes, rest, start))
+        return pd.DataFrame(out, columns=["no", "shard", "w", "passes", "rest", "start"])
+
+    words = keyed.groupBy("no", "shard").agg(F.sum("size").alias("words")).join(F.broadcast(known.select("no", "blocks", "whole")), "no")
+    plan = words.groupBy("no").applyInPandas(quotas, "no int, shard int, w long, passes long, rest long, start long")
     order = W.Window.partitionBy("no", "shard").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "size")
     before = F.sum("size").over(order.rowsBetween(W.Window.unboundedPreceding, 0)) - F.col("size")
-    placed = keyed.withColumn("lo", before).join(spark.createDataFrame(plan, schema), ["no", "shard"])
+    placed = keyed.withColumn("lo", before).join(plan, ["no", "shard"])
 
     def overlap(a, b):
         return F.greatest(F.lit(0), F.least(F.col("lo") + F.col("size"), b) - F.greatest(F.col("lo"), a))
