@@ -85,36 +85,30 @@ def planted_response(spark, sf):
 
 EXACT = """ex AS (SELECT o_orderkey AS row_id, 1::BIGINT AS v0, month(o_orderdate)::BIGINT AS v1, substr(o_orderpriority, 1, 1)::BIGINT AS v2,
   (o_custkey % 7)::BIGINT AS v3, round(o_totalprice)::BIGINT AS v4 FROM orders)"""
-SEVEN = """f7 AS (SELECT c_custkey AS row_id, 1::BIGINT AS v0, c_nationkey::BIGINT AS v1, floor(c_acctbal)::BIGINT AS v2, (c_nationkey % 3)::BIGINT AS v3
-  FROM customer WHERE c_custkey < 64)"""
 V5, V4 = ["v0", "v1", "v2", "v3", "v4"], ["v0", "v1", "v2", "v3"]
 
 
 #: Every customer, and the ids of the padded height.
-ALL = SEVEN.replace("f7 AS", "fa AS").replace("WHERE c_custkey < 64", "") + """,
+ALL = """fa AS (SELECT c_custkey AS row_id, 1::BIGINT AS v0, c_nationkey::BIGINT AS v1, floor(c_acctbal)::BIGINT AS v2, (c_nationkey % 3)::BIGINT AS v3 FROM customer),
 n AS (SELECT count(*) AS n, (2 ** ceil(log2(count(*))))::BIGINT AS high FROM customer), ids AS (SELECT unnest(range((SELECT high FROM n))) AS i)"""
 
 
+def _any_feistel(key: str, x: str, high: str, most: int = 20) -> str:
+    """SQL of the permutation of ``high`` places, a power of two up to 2^most known only when it runs."""
+    return f"(CASE {high} " + " ".join(f"WHEN {1 << bits} THEN {DUCK.feistel(key, x, bits)}" for bits in range(1, most + 1)) + " END)"
+
+
 def all_customers(spark, sf, real: bool = False) -> tuple[DataFrame, int]:
     rows = src.customers_all(spark, sf)
     n = rows.count()
     return (rows.select("row_id", F.transform("v", lambda x: x.cast("double")).alias("v")) if real else rows), n
 
 
-def every_64():
-    return F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(63).cast("bigint")))
-
-
 @query(f"WITH {EXACT} SELECT row_id, " + ", ".join(f"{DUCK.sign('flip', 'row_id')} * {v} AS {v}" for v in V5) + " FROM ex")
 def sign_flip(spark, sf):
     return wide(rotation.SignHadamard("flip", False).signed(src.orders_exact(spark, sf)), V5)
 
 
-@query(f"SELECT p_partkey AS row_id, {DUCK.feistel('perm', 'p_partkey', 10)} AS place FROM part WHERE p_partkey < 1024")
-def feistel_permutation(spark, sf):
-    return src.read(spark, sf, "part").filter("p_partkey < 1024").select(F.col("p_partkey").alias("row_id"), prf.feistel("perm", 10, "p_partkey").alias("place"))
-
-
 #: Index bits of the least height that the SQL of ``signed_permutation`` writes out.
 PLACES = 18
 
@@ -133,8 +127,9 @@ def signed_permutation_inverse(spark, sf):
     return wide(r.inverse(r.apply(rows, n, 5), n, 5), V5)
 
 
-@query()
-def feistel_permutation_all(spark, sf):
+@query(f"""WITH h AS (SELECT greatest(2, 2 ** ceil(log2(count(*))))::BIGINT AS high FROM part)
+SELECT p_partkey AS row_id, {_any_feistel('perm', 'p_partkey', 'high')} AS place FROM part, h""")
+def feistel_permutation(spark, sf):
     """The permutation of every part, over the least power of two that holds them."""
     rows = src.read(spark, sf, "part")
     bits = max(1, (rows.count() - 1).bit_length())
@@ -163,14 +158,6 @@ def _walsh(source: str, ids: str, columns: list[str], out: str = "o.i", sign: st
     return f"SELECT {out} AS row_id, {sums} FROM {ids} o(i), {source} GROUP BY o.i"
 
 
-@query(f"WITH {SEVEN} {_walsh('f7', 'range(64)', V4)}")
-def hadamard_defining_sum(spark, sf):
-    rows = wide(src.customers_exact(spark, sf), V4)
-    parity = 1 - 2 * (F.bit_count(F.col("i").bitwiseAND(F.col("row_id"))) % 2)
-    # The definition itself: each of 64 rows goes to 64 sums.
-    return rows.withColumn("i", every_64()).groupBy("i").agg(*[F.sum(parity * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
-
-
 @query(f"""WITH p AS (SELECT p_partkey AS row_id, 1::BIGINT AS v0, p_size::BIGINT AS v1, floor(p_retailprice)::BIGINT AS v2 FROM part),
 ids AS (SELECT unnest(range((2 ** ceil(log2((SELECT count(*) FROM part))))::BIGINT)) AS i) {_walsh('p', 'ids', ['v0', 'v1', 'v2'], sign=DUCK.sign('k1', 'p.row_id'))}""")
 def hadamard_staged(spark, sf):
@@ -179,26 +166,16 @@ def hadamard_staged(spark, sf):
     return wide(rotation.SignHadamard("k1", False).apply(rows, rows.count(), 3), ["v0", "v1", "v2"])
 
 
-@query(f"WITH {SEVEN} SELECT i AS row_id, " + ", ".join(f"coalesce(64 * {c}, 0)::BIGINT AS {c}" for c in V4) + " FROM range(64) r(i) LEFT JOIN f7 ON i = row_id")
-def hadamard_involution(spark, sf):
-    r = rotation.SignHadamard(None, False)
-    return wide(r.apply(r.apply(src.customers_exact(spark, sf), 64, 4), 64, 4), V4)
-
-
-@query(f"WITH {SEVEN}, hd AS ({_walsh('f7', 'range(64)', V4, sign=DUCK.sign('k1', 'f7.row_id'))}) SELECT {DUCK.feistel('k1', 'row_id', 6)} AS row_id, v0, v1, v2, v3 FROM hd")
-def scrambled_rotation(spark, sf):
-    return wide(rotation.Scrambled("k1", False).apply(src.customers_exact(spark, sf), 64, 4), V4)
-
-
 @query(f"WITH {ALL} SELECT i AS row_id, " + ", ".join(f"coalesce((SELECT high FROM n) * {c}, 0)::BIGINT AS {c}" for c in V4) + " FROM ids LEFT JOIN fa ON i = row_id")
-def hadamard_involution_all(spark, sf):
+def hadamard_involution(spark, sf):
     rows, n = all_customers(spark, sf)
     r = rotation.SignHadamard(None, False)
     return wide(r.apply(r.apply(rows, n, 4), n, 4), V4)
 
 
-@query()
-def scrambled_rotation_all(spark, sf):
+@query(f"""WITH {ALL}, hd AS ({_walsh('fa', 'ids', V4, sign=DUCK.sign('k1', 'fa.row_id'))})
+SELECT {_any_feistel('k1', 'row_id', 'high')} AS row_id, v0, v1, v2, v3 FROM hd, n""")
+def scrambled_rotation(spark, sf):
     rows, n = all_customers(spark, sf)
     return wide(rotation.Scrambled("k1", False).apply(rows, n, 4), V4)
 
@@ -206,107 +183,63 @@ def scrambled_rotation_all(spark, sf):
 THREE = ((1, 1, 0), (0, 1, 1), (1, 0, -1))
 
 
-def _kron_sql() -> str:
+def _kron_sql(most: int = 12) -> str:
+    """Ids have at most ``most`` ternary digits; digits beyond the height are zero on both sides and give one."""
     pick = "(CASE (o.i // {p}) % 3 * 3 + (row_id // {p}) % 3 " + " ".join(f"WHEN {3 * a + b} THEN {THREE[a][b]}" for a in range(3) for b in range(3)) + " END)"
-    entry = " * ".join(pick.format(p=3**k) for k in range(4))
-    return f"WITH {SEVEN} SELECT o.i AS row_id, " + ", ".join(f"CAST(sum({entry} * {c}) AS BIGINT) AS {c}" for c in V4) + " FROM range(81) o(i), f7 GROUP BY o.i"
+    entry = " * ".join(pick.format(p=3**k) for k in range(most))
+    high = "(SELECT min(h) FROM (SELECT (3 ** k)::BIGINT AS h FROM range(30) x(k)) WHERE h >= (SELECT n FROM n))"
+    return f"WITH {ALL} SELECT o.i AS row_id, " + ", ".join(f"CAST(sum(e * {c}) AS BIGINT) AS {c}" for c in V4) + f" FROM (SELECT o.i, {entry} AS e, {', '.join(V4)} FROM (SELECT unnest(range({high})) AS i) o, fa) o GROUP BY o.i"
 
 
 @query(_kron_sql())
 def kronecker_rotation(spark, sf):
-    return wide(rotation.Kronecker(THREE, None).apply(src.customers_exact(spark, sf), 64, 4), V4)
-
-
-@query()
-def kronecker_rotation_all(spark, sf):
     rows, n = all_customers(spark, sf)
     return wide(rotation.Kronecker(THREE, None).apply(rows, n, 4), V4)
 
 
-@query(f"WITH {SEVEN} SELECT o.i AS row_id, " + ", ".join(f"CAST(sum({DUCK.sign('rad', 'o.i * 64 + row_id')} * {c}) AS BIGINT) AS {c}" for c in V4) + " FROM range(64) o(i), f7 GROUP BY o.i")
-def rademacher_rotation(spark, sf):
-    rows = wide(src.customers_exact(spark, sf), V4)
-    s = F.expr(SPARK.sign("rad", "i * 64 + row_id"))
-    return rows.withColumn("i", every_64()).groupBy("i").agg(*[F.sum(s * F.col(c)).cast("bigint").alias(c) for c in V4]).withColumnRenamed("i", "row_id")
-
-
 @query()
-def rademacher_rotation_all(spark, sf):
+def rademacher_rotation(spark, sf):
     rows, n = all_customers(spark, sf, real=True)
     return wide(rotation.Dense("k1", "rademacher").apply(rows, n, 4), V4, "double")
 
 
 def _round_trip(spark, sf, r):
-    rows = src.customers_exact(spark, sf).select("row_id", F.transform("v", lambda x: x.cast("double")).alias("v"))
-    back = wide(r.inverse(r.apply(rows, 64, 4), 64, 4), V4, "double").filter("row_id < 64")
+    rows, n = all_customers(spark, sf, real=True)
+    back = wide(r.inverse(r.apply(rows, n, 4), n, 4), V4, "double").filter(F.col("row_id") < n)
     return back.select("row_id", *[(F.round(c, 6) + F.lit(0.0)).alias(c) for c in V4])
 
 
-_SEVEN_REAL = f"WITH {SEVEN} SELECT i AS row_id, " + ", ".join(f"coalesce({c}, 0)::DOUBLE AS {c}" for c in V4) + " FROM range(64) r(i) LEFT JOIN f7 ON i = row_id"
+_ALL_REAL = f"WITH {ALL} SELECT row_id, " + ", ".join(f"{c}::DOUBLE AS {c}" for c in V4) + " FROM fa"
 
 
-@query(_SEVEN_REAL)
+@query(_ALL_REAL)
 def sign_hadamard_inverse(spark, sf):
     return _round_trip(spark, sf, rotation.SignHadamard("k1"))
 
 
-@query(_SEVEN_REAL)
+@query(_ALL_REAL)
 def scrambled_inverse(spark, sf):
     return _round_trip(spark, sf, rotation.Scrambled("k1"))
 
 
-@query(_SEVEN_REAL)
+@query(_ALL_REAL)
 def kronecker_inverse(spark, sf):
     return _round_trip(spark, sf, rotation.Kronecker(rotation.reflection(3), "k1"))
 
 
-@query(_SEVEN_REAL)
+@query(_ALL_REAL)
 def dense_rotation(spark, sf):
     return _round_trip(spark, sf, rotation.Dense("k1"))
 
 
-@query(_SEVEN_REAL)
-def givens_rotation(spark, sf):
-    return _round_trip(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))
-
-
-def _round_trip_all(spark, sf, r):
-    rows, n = all_customers(spark, sf, real=True)
-    back = wide(r.inverse(r.apply(rows, n, 4), n, 4), V4, "double").filter(F.col("row_id") < n)
-    return back.select("row_id", *[(F.round(c, 6) + F.lit(0.0)).alias(c) for c in V4])
-
-
-_ALL_REAL = f"WITH {ALL} SELECT row_id, " + ", ".join(f"{c}::DOUBLE AS {c}" for c in V4) + " FROM fa"
-
-
-@query(_ALL_REAL)
-def sign_hadamard_inverse_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.SignHadamard("k1"))
-
-
-@query(_ALL_REAL)
-def scrambled_inverse_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.Scrambled("k1"))
-
-
-@query(_ALL_REAL)
-def kronecker_inverse_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.Kronecker(rotation.reflection(3), "k1"))
-
-
-@query(_ALL_REAL)
-def dense_rotation_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.Dense("k1"))
-
-
 @query(_ALL_REAL)
-def reflections_rotation_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.Dense("k1", how="reflections"))
+def reflections_rotation(spark, sf):
+    return _round_trip(spark, sf, rotation.Dense("k1", how="reflections"))
 
 
 @query(_ALL_REAL)
-def givens_rotation_all(spark, sf):
-    return _round_trip_all(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))
+def givens_rotation(spark, sf):
+    return _round_trip(spark, sf, rotation.Kronecker(rotation.givens(0.7), "k1"))
 
 
 @query()
@@ -315,15 +248,8 @@ def gaussian_rotation(spark, sf):
     return wide(rotation.Dense("k1", "gaussian").apply(rows, n, 4), V4, "double")
 
 
-@query(f"WITH {SEVEN}, hd AS ({_walsh('f7', 'range(64)', V4, sign=DUCK.sign('k1', 'f7.row_id'))}) SELECT row_id AS block_id, v0 * v0 AS g00, v0 * v1 AS g01, v1 * v1 AS g11 FROM hd")
-def row_sampled_hadamard(spark, sf):
-    rows = rotation.SignHadamard("k1", False).apply(src.customers_exact(spark, sf), 64, 4)
-    m = gradient.block_moments(rows, 1, 4)
-    return m.select("block_id", *[F.col("m")[i].cast("bigint").alias(n) for n, i in (("g00", 0), ("g01", 1), ("g11", 5))])
-
-
 @query(f"WITH {ALL}, hd AS ({_walsh('fa', 'ids', V4, sign=DUCK.sign('k1', 'fa.row_id'))}) SELECT row_id AS block_id, v0 * v0 AS g00, v0 * v1 AS g01, v1 * v1 AS g11 FROM hd")
-def row_sampled_hadamard_all(spark, sf):
+def row_sampled_hadamard(spark, sf):
     rows, n = all_customers(spark, sf)
     m = gradient.block_moments(rotation.SignHadamard("k1", False).apply(rows, n, 4), 1, 4)
     return m.select("block_id", *[F.col("m")[i].cast("bigint").alias(name) for name, i in (("g00", 0), ("g01", 1), ("g11", 5))])
@@ -352,14 +278,8 @@ def block_gram(spark, sf):
     return m.select("block_id", *[F.col("m")[5 * i + j].cast("bigint").alias(f"m{i}{j}") for i, j in _PAIRS])
 
 
-@query(f"WITH {SEVEN} SELECT " + ", ".join(f"CAST(64 * sum(v{i} * v{j}) AS BIGINT) AS m{i}{j}" for i in range(4) for j in range(i, 4)) + " FROM f7")
-def gram_from_rotated(spark, sf):
-    rows = rotation.Scrambled("k1", False).apply(src.customers_exact(spark, sf), 64, 4)
-    return rows.agg(*gradient.gram(rows, 4)).toDF(*[f"m{i}{j}" for i in range(4) for j in range(i, 4)])
-
-
 @query(f"WITH {ALL} SELECT " + ", ".join(f"CAST((SELECT high FROM n) * sum(v{i} * v{j}) AS BIGINT) AS m{i}{j}" for i in range(4) for j in range(i, 4)) + " FROM fa")
-def gram_from_rotated_all(spark, sf):
+def gram_from_rotated(spark, sf):
     rows, n = all_customers(spark, sf)
     rotated = rotation.Scrambled("k1", False).apply(rows, n, 4)
     return rotated.agg(*gradient.gram(rotated, 4)).toDF(*[f"m{i}{j}" for i in range(4) for j in range(i, 4)])
@@ -436,13 +356,6 @@ def second_moment(spark, sf):
     return ranked(spark).groupBy(F.col("server_id").alias("block_id")).agg(F.count_if(F.col("rank") <= 6).alias("drawn"), F.round(F.avg(w), 6).alias("mean_weight"))
 
 
-@query(f"""WITH {SEVEN}, g AS (SELECT row_id // 11 AS b, {', '.join(f'sum(2 * v{j} * (v0 + 2 * v1 - v2 - v3)) AS g{j}' for j in range(3))} FROM f7 GROUP BY 1)
-SELECT {', '.join(f'round(sum(g{j})::DOUBLE, 6) AS g{j}' for j in range(3))}, 20::BIGINT AS sets FROM g""")
-def gradient_bias_enumerated(spark, sf):
-    """The mean over all 20 responder sets of 3 of 6 blocks, scaled by K/q: the full gradient exactly."""
-    return _mean_over_sets(spark, gradient.partial_gradients(src.customers_exact(spark, sf), [1, 2, -1], 11))
-
-
 def _mean_over_sets(spark, parts: DataFrame) -> DataFrame:
     sets = spark.createDataFrame([(i, b) for i, c in enumerate(itertools.combinations(range(6), 3)) for b in c], "set int, block_id bigint")
     per = sets.join(parts, "block_id").groupBy("set").agg(*[(2.0 * F.sum(f"g{j}")).alias(f"g{j}") for j in range(3)])
@@ -451,8 +364,8 @@ def _mean_over_sets(spark, parts: DataFrame) -> DataFrame:
 
 @query(f"""WITH {ALL}, g AS (SELECT row_id // ((SELECT n FROM n) // 6 + 1) AS b, {', '.join(f'sum(2 * v{j} * (v0 + 2 * v1 - v2 - v3)) AS g{j}' for j in range(3))} FROM fa GROUP BY 1)
 SELECT {', '.join(f'round(sum(g{j})::DOUBLE, 6) AS g{j}' for j in range(3))}, 20::BIGINT AS sets FROM g""")
-def gradient_bias_enumerated_all(spark, sf):
-    """The same over six blocks of all rows."""
+def gradient_bias_enumerated(spark, sf):
+    """The mean over all 20 responder sets of 3 of 6 blocks, scaled by K/q: the full gradient exactly."""
     rows, n = all_customers(spark, sf)
     return _mean_over_sets(spark, gradient.partial_gradients(rows, [1, 2, -1], n // 6 + 1))
 

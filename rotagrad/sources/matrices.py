@@ -118,11 +118,6 @@ def customers_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read(spark, sf_dir, "customer").select(F.col("c_custkey").cast("bigint").alias("row_id"), v.alias("v"))
 
 
-def customers_exact(spark: SparkSession, sf_dir: str, n: int = 64) -> DataFrame:
-    """The first rows only, for queries whose SQL sums over all pairs of 64 ids."""
-    return customers_all(spark, sf_dir).filter(F.col("row_id") < n)
-
-
 def vectors(spark: SparkSession, sf_dir: str, d: int = 40) -> DataFrame:
     """The embeddings' first d coordinates with a planted response: flat scores, a control."""
     rows = read(spark, sf_dir, "embeddings")

@@ -27,23 +27,29 @@ def test_scrambled_and_kronecker_take_all_customers(spark, sf, customers):
         h = np.kron(h, np.array(rotation.HADAMARD))
     for _ in range(5):
         k = np.kron(k, np.array(engine.THREE))
-    ids, got = collected(engine.QUERIES["kronecker_rotation_all"](spark, sf))
+    ids, got = collected(engine.QUERIES["kronecker_rotation"](spark, sf))
     assert len(ids) == 243 and (got == k[:, :150] @ customers).all()
     s = {r[0]: r[1] for r in spark.range(150).select("id", prf.keyed_sign("k1", "id").alias("s")).collect()}
     place = {r[0]: r[1] for r in spark.range(256).select("id", prf.feistel("k1", 8, "id").alias("p")).collect()}
     want = h[:, :150] @ (customers * np.array([s[i] for i in range(150)])[:, None])
-    ids, got = collected(engine.QUERIES["scrambled_rotation_all"](spark, sf))
+    ids, got = collected(engine.QUERIES["scrambled_rotation"](spark, sf))
     assert len(ids) == 256 and all((got[place[i]] == want[i]).all() for i in range(256))
 
 
 def test_queries_without_bound_sql_see_every_row(spark, sf):
-    for name, n in (("feistel_permutation_all", 200), ("gaussian_rotation", 150), ("rademacher_rotation_all", 150)):
+    for name, n in (("feistel_permutation", 200), ("gaussian_rotation", 150), ("rademacher_rotation", 150)):
         rows = engine.QUERIES[name](spark, sf).collect()
         assert len({r.row_id for r in rows}) == len(rows) == n
-    places = [r.place for r in engine.QUERIES["feistel_permutation_all"](spark, sf).collect()]
+    places = [r.place for r in engine.QUERIES["feistel_permutation"](spark, sf).collect()]
     assert len(set(places)) == 200 and max(places) < 256
 
 
+@pytest.mark.parametrize("kind", ["gaussian", "rademacher"])
+def test_projections_take_all_customers(spark, sf, customers, kind):
+    ids, got = collected(engine.QUERIES[f"{kind}_rotation"](spark, sf))
+    assert (ids == np.arange(150)).all() and np.allclose(got, rotation.Dense("k1", kind).matrix(150) @ customers)
+
+
 @pytest.mark.parametrize("make", [lambda: rotation.Scrambled("k", group_rows=16), lambda: rotation.Kronecker(rotation.reflection(3), "k", group_rows=27)])
 def test_inverse_over_many_groups(spark, sf, customers, make):
     """More index digits than one group holds, with several groups in every stage."""
