@@ -39,3 +39,10 @@ def test_sliding_windows_take_the_nearest_second(spark, tmp_path):
     rows = [(i, day + dt.timedelta(hours=6 * i, seconds=s), i, 1.5 + i) for i, s in enumerate((-0.3, -0.5, 0.5, -0.6, 20.25))]
     spark.createDataFrame(rows, "event_id bigint, ts timestamp_ntz, user_id bigint, value double").write.parquet(f"{tmp_path}/events.parquet")
     assert against_sql(spark, str(tmp_path), "event_sliding_moments", ["events"])
+
+
+def test_signed_permutation_beyond_its_places(spark, tmp_path):
+    n = (1 << engine.PLACES) + 50
+    spark.range(n).selectExpr("id as o_orderkey", "date'1995-01-01' as o_orderdate", "'1-X' as o_orderpriority", "id as o_custkey", "cast(id as double) as o_totalprice").write.parquet(f"{tmp_path}/orders.parquet")
+    assert against_sql(spark, str(tmp_path), "signed_permutation", ["orders"])
+    assert engine.signed_permutation(spark, str(tmp_path)).select("row_id").distinct().count() == n
