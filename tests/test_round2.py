@@ -46,3 +46,18 @@ def test_signed_permutation_beyond_its_places(spark, tmp_path):
     spark.range(n).selectExpr("id as o_orderkey", "date'1995-01-01' as o_orderdate", "'1-X' as o_orderpriority", "id as o_custkey", "cast(id as double) as o_totalprice").write.parquet(f"{tmp_path}/orders.parquet")
     assert against_sql(spark, str(tmp_path), "signed_permutation", ["orders"])
     assert engine.signed_permutation(spark, str(tmp_path)).select("row_id").distinct().count() == n
+
+
+@pytest.fixture(scope="module")
+def rich(spark, tmp_path_factory):
+    """Customers whose sums of squares times the height exceed 64 bits."""
+    folder = str(tmp_path_factory.mktemp("rich"))
+    spark.range(2000).selectExpr("id as c_custkey", "id % 25 as c_nationkey", "cast(1500000 + id * 100 as double) as c_acctbal").write.parquet(f"{folder}/customer.parquet")
+    return folder
+
+
+def test_gram_from_rotated_beyond_64_bits(spark, rich):
+    rows = [(1, i % 25, 1500000 + i * 100, i % 25 % 3) for i in range(2000)]
+    got = engine.gram_from_rotated(spark, rich).first()
+    want = {f"m{i}{j}": 2048 * sum(r[i] * r[j] for r in rows) for i in range(4) for j in range(i, 4)}
+    assert want["m22"] > 1 << 63 and {c: int(got[c]) for c in want} == want
