@@ -61,3 +61,7 @@ def test_gram_from_rotated_beyond_64_bits(spark, rich):
     got = engine.gram_from_rotated(spark, rich).first()
     want = {f"m{i}{j}": 2048 * sum(r[i] * r[j] for r in rows) for i in range(4) for j in range(i, 4)}
     assert want["m22"] > 1 << 63 and {c: int(got[c]) for c in want} == want
+
+
+def test_exact_recovery_beyond_64_bits(spark, rich):
+    assert engine.exact_recovery_gap(spark, rich).first()[0] == 0
