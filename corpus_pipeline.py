@@ -52,8 +52,8 @@ def exact_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents linked by a similarity of 0.8 or more over five-word shingles (as SimHash of 256 bits estimates it),
-    the one with the smallest id stays (null after all others; of one id on several texts, the smallest hash)."""
+    """Of documents linked by a similarity of 0.8 or more over five-word shingles (as SimHash of 256 bits
+    estimates it, and exactly where that leaves two apart), the one with the smallest id stays (null after all others; of one id on several texts, the smallest hash)."""
     key = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), content(F.col("text")).alias("h"))
     found = simhash.similar(docs.select(key.alias("key"), "text"), id_col="key", shingle=5, similarity=0.8)
     return only(docs, found.select("doc_id.doc_id", "doc_id.h", (F.col("doc_id") == F.col("component_id")).alias("kept")), content(docs["text"]))

@@ -16,7 +16,9 @@ no such stretch.  It deals by ``tables`` keyed choices of bits instead, as many
 similarity needs to meet with probability ``recall``; the choice widens with the logarithm of
 the number of fingerprints, so buckets stay small.  The distance estimates the similarity (standard error
 0.02 at 0.8).  A bucket above ``SPLIT`` rows is compared in salted parts, and the
-least and greatest member of each part's groups meet once more.
+least and greatest member of each part's groups meet once more.  What chance leaves out is found
+exactly after that (``missed``): two sets of that similarity share one of the first shingles of
+either, so documents of different groups that do are compared by their whole shingle sets.
 
 A bucket gives only a spanning forest of its links, as trees of fan-out ``FAN``, so that no
 vertex has many.  Components come from repeated hooking to the smallest neighbour and pointer
@@ -38,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rotagrad.llm.common import checkpointed
+from rotagrad.llm.common import broadcast_if_small, checkpointed
 
 SEED = 42
 TILE = 1024
@@ -93,7 +95,10 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
 
 def wide_fingerprint(text: str | None, shingle: int = 5) -> bytes:
     """Majority bits of 256-bit expansions of the different shingles' hashes."""
-    h = np.unique(shingle_hashes(text, shingle))
+    return wide_bits(np.unique(shingle_hashes(text, shingle)))
+
+
+def wide_bits(h: np.ndarray) -> bytes:
     if not len(h):
         return bytes(8 * WORDS)
     parts = []
@@ -333,22 +338,155 @@ def wide_links(distinct: DataFrame, radius: int, width: int, tables: int) -> Dat
 def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, recall: float = 0.97) -> DataFrame:
     """One row per input row: doc_id, component_id (smallest doc_id reachable over links of that similarity or more).
 
-    Two fingerprints link up to the distance expected at ``similarity`` and one standard deviation more.
+    Two fingerprints link up to the distance expected at ``similarity`` and one standard deviation more; two documents
+    that this leaves apart link if their shingle sets reach ``similarity``.
     """
     rows = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = [wide_fingerprint(t.as_py(), shingle) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.binary())], ["doc_id", "fp"])
-
-    docs = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary"))
-    distinct = checkpointed(docs.groupBy("fp").agg(F.min("doc_id").alias("least")))
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                sets = [np.unique(shingle_hashes(t.as_py(), shingle)) for t in part.column(1)]
+                ends = np.concatenate([[0], np.cumsum([len(h) for h in sets])]).astype(np.int32)
+                lists = pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([wide_bits(h) for h in sets], pa.binary()), lists, pa.array(counted(sets), pa.binary())], ["doc_id", "fp", "shingles", "counts"])
+
+    whole = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary, shingles array<long>, counts binary"))
+    whole = whole.withColumn("at", F.monotonically_increasing_id())
+    docs = checkpointed(whole.select("doc_id", "fp", "at"))
+    distinct = checkpointed(docs.groupBy("fp").agg(F.min("doc_id").alias("least"), F.min("at").alias("first")))
     p, bits = agreement(similarity), 64 * WORDS
     radius = int(bits * (1 - p) + math.sqrt(bits * p * (1 - p)))
     width = max(10, (distinct.count() >> 4).bit_length())
     tables = math.ceil(math.log(1 - recall) / math.log(1 - p**width))
-    return labelled(docs, distinct, components(wide_links(distinct, radius, width, tables))).select("doc_id", "component_id")
+    edges = checkpointed(wide_links(distinct, radius, width, tables))
+    roots = components(edges)
+    more = missed(whole, distinct, roots, similarity)
+    if not more.isEmpty():
+        roots = components(roots.select(F.col("v").alias("a"), F.col("root").alias("b")).union(more))
+    return labelled(docs, distinct, roots).select("doc_id", "component_id")
+
+
+def counted(sets: list[np.ndarray]) -> list[bytes]:
+    """How many of each set's shingles have each of 128 beginnings; nothing where a byte does not hold a count."""
+    owner = np.repeat(np.arange(len(sets)) << 7, [len(h) for h in sets])
+    counts = np.bincount(owner + (np.concatenate(sets) >> np.uint64(57)).astype(np.int64), minlength=len(sets) << 7).reshape(-1, 128)
+    return [c.astype(np.uint8).tobytes() if c.max() < 256 else b"" for c in counts]
+
+
+def most_shared(a: list[bytes], b: list[bytes]) -> np.ndarray:
+    """What two sets can have in common at most by their counts; -1 where these say nothing."""
+    out = np.full(len(a), -1, np.int64)
+    known = np.array([i for i, (x, y) in enumerate(zip(a, b)) if x and y], np.int64)
+    if len(known):
+        x, y = (np.frombuffer(b"".join(side[i] for i in known), np.uint8).reshape(-1, 128) for side in (a, b))
+        out[known] = np.minimum(x, y).sum(axis=1, dtype=np.int64)
+    return out
+
+
+#: One in so many documents is counted to find shingles that many share, and how many of those make one; only the order of shingles depends on it.
+COUNTED, COMMON, LISTED = 16, 8, 1 << 16
+
+
+def common_shingles(whole: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that many documents share, ascending, and the rank of each (0 the most common)."""
+    each = whole.filter(F.pmod("at", F.lit(COUNTED)) == 0).select(F.explode("shingles").alias("h"))
+    top = each.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= COMMON).orderBy(F.desc("n"), "h").limit(LISTED).collect()
+    h = np.array([r.h for r in top], np.int64).view(np.uint64)
+    order = np.argsort(h)
+    return h[order], order
+
+
+def missed(whole: DataFrame, distinct: DataFrame, roots: DataFrame, similarity: float) -> DataFrame:
+    """Rows (a, b): fingerprints of documents in different groups whose shingle sets have the similarity; none is left out.
+
+    Shingles stand in one order for all documents, common ones last.  The first n - ceil(similarity n) + 1 of two sets in reach
+    have one in common, and at the first in common sizes and places leave room for the overlap.  Pairs whose counts by beginning
+    leave room too are compared by their whole sets.  whole: fp, shingles, at; distinct: fp and its first at; roots: (v, root).
+    """
+    t, eps = similarity, 1e-9
+    common, rank = common_shingles(whole)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for begin in range(0, batch.num_rows, 1024):
+                part = batch.slice(begin, 1024)
+                sets = part.column(2).flatten().to_numpy().view(np.uint64)
+                sizes = np.asarray(part.column(2).value_lengths()).astype(np.int64)
+                owner = np.repeat(np.arange(len(sizes)), sizes)
+                last = np.zeros(len(sets), np.int64)
+                if len(common):
+                    where = np.minimum(np.searchsorted(common, sets), len(common) - 1)
+                    last = np.where(common[where] == sets, len(common) - rank[where], 0)
+                order = np.lexsort((sets, last, owner))
+                place = np.arange(len(sets)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+                keep = place < np.repeat(sizes - np.ceil(t * sizes - eps).astype(np.int64) + 1, sizes)
+                own = owner[order][keep]
+                columns = [sets[order][keep].view(np.int64), part.column(0).to_numpy()[own], part.column(1).to_numpy()[own], sizes[own].astype(np.int32), place[keep].astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["h", "at", "root", "n", "place"])
+
+    def pairs_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for at, root, n, place, h in grouped(batches, 1):
+            starts = np.concatenate([[0], np.flatnonzero(np.diff(h)) + 1])
+            sizes = np.diff(np.concatenate([starts, [len(h)]]))
+            mixed = np.minimum.reduceat(root, starts) != np.maximum.reduceat(root, starts)
+            keep = np.repeat(mixed, sizes)
+            if not keep.any():
+                continue
+            at, root, n, place = (x[keep].astype(np.int64) for x in (at, root, n, place))
+            sizes = sizes[mixed]
+            run = np.repeat(np.arange(len(sizes)), sizes)
+
+            def reach(i, j):
+                small, large = np.minimum(n[i], n[j]), np.maximum(n[i], n[j])
+                room = 1 + np.minimum(n[i] - place[i], n[j] - place[j]) - 1
+                return (root[i] != root[j]) & (small >= t * large - eps) & (room >= t / (1 + t) * (small + large) - eps)
+
+            def found(i, j):
+                ok = reach(i, j)
+                a, b = at[i[ok]], at[j[ok]]
+                return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+
+            near = np.flatnonzero(np.repeat(sizes <= 64, sizes))
+            for step in range(1, 64):  # rows of one run stand together
+                near = near[near + step < len(run)]
+                near = near[run[near] == run[near + step]]
+                if not len(near):
+                    break
+                yield found(near, near + step)
+            begin = np.cumsum(sizes) - sizes
+            for s, m in zip(begin[sizes > 64].tolist(), sizes[sizes > 64].tolist()):
+                by_size = s + np.argsort(n[s : s + m], kind="stable")
+                limit = np.searchsorted(n[by_size], n[by_size] / t + eps, side="right")
+                for i in range(0, m, TILE):
+                    for j in range(i, int(limit[min(i + TILE, m) - 1]), TILE):
+                        x, y = np.meshgrid(np.arange(i, min(i + TILE, m)), np.arange(j, min(j + TILE, m)), indexing="ij")
+                        ahead = x < y
+                        yield found(by_size[x[ahead]], by_size[y[ahead]])
+
+    tops = distinct.join(roots, distinct.fp == roots.v).groupBy("root").agg(F.min("first").alias("top"))
+    linked = broadcast_if_small(checkpointed(roots.join(tops, "root").select(F.col("v").alias("fp"), "top")))
+    placed = whole.join(linked, "fp", "left").select("at", F.coalesce("top", "at").alias("root"), "shingles")
+    dealt = placed.mapInArrow(first, "h long, at long, root long, n int, place int").select("at", "root", "n", "place", "h")
+    met = dealt.repartition("h").sortWithinPartitions("h").mapInArrow(pairs_of, "a long, b long")
+
+    def roomy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            most = most_shared(batch.column(2).to_pylist(), batch.column(4).to_pylist())
+            both = np.asarray(batch.column(3)).astype(np.int64) + np.asarray(batch.column(5))
+            yield batch.select([0, 1]).filter(pa.array((most < 0) | (most >= t / (1 + t) * both - eps)))
+
+    known = whole.select("at", "counts", F.size("shingles").alias("n"))
+    a, b = (known.select(F.col("at").alias(x), F.col("counts").alias(f"counts_{x}"), F.col("n").alias(f"n_{x}")) for x in "ab")
+    pairs = met.distinct().join(a, "a").join(b, "b").select("a", "b", "counts_a", "n_a", "counts_b", "n_b")
+    met = checkpointed(pairs.mapInArrow(roomy, "a long, b long"))
+    sides = checkpointed(met.select(F.col("a").alias("at")).union(met.select("b")).distinct())
+    sets = checkpointed(whole.join(broadcast_if_small(sides), "at", "left_semi").select("at", "fp", "shingles"))
+    a, b = (sets.select(F.col("at").alias(x), F.col("fp").alias(f"fp_{x}"), F.col("shingles").alias(f"set_{x}")) for x in "ab")
+    both = met.join(a, "a").join(b, "b").withColumn("shared", F.size(F.array_intersect("set_a", "set_b")))
+    enough = F.col("shared") >= t * (F.size("set_a") + F.size("set_b") - F.col("shared")) - eps
+    return checkpointed(both.filter(enough & (F.col("fp_a") != F.col("fp_b"))).select(F.col("fp_a").alias("a"), F.col("fp_b").alias("b")).distinct())
 
 
 def parts(mask: int, count: int) -> list[int]:
