@@ -343,16 +343,18 @@ def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shing
     """
     rows = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
+    common, rank = common_shingles(rows, shingle)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
                 sets = [np.unique(shingle_hashes(t.as_py(), shingle)) for t in part.column(1)]
-                ends = np.concatenate([[0], np.cumsum([len(h) for h in sets])]).astype(np.int32)
-                lists = pa.ListArray.from_arrays(ends, pa.array(np.concatenate(sets).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([wide_bits(h) for h in sets], pa.binary()), lists, pa.array(counted(sets), pa.binary())], ["doc_id", "fp", "shingles", "counts"])
+                columns = [[wide_bits(h) for h in sets], counted(sets), occupied(sets)]
+                sizes = pa.array([len(h) for h in sets], pa.int32())
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, pa.binary()) for c in columns), sizes, first_shingles(sets, similarity, common, rank)], ["doc_id", "fp", "counts", "bits", "n", "first"])
 
-    whole = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary, shingles array<long>, counts binary"))
+    whole = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary, counts binary, bits binary, n int, first array<long>"))
     whole = whole.withColumn("at", F.monotonically_increasing_id())
     docs = checkpointed(whole.select("doc_id", "fp", "at"))
     distinct = checkpointed(docs.groupBy("fp").agg(F.min("doc_id").alias("least"), F.min("at").alias("first")))
@@ -362,69 +364,92 @@ def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shing
     tables = math.ceil(math.log(1 - recall) / math.log(1 - p**width))
     edges = checkpointed(wide_links(distinct, radius, width, tables))
     roots = components(edges)
-    more = missed(whole, distinct, roots, similarity)
+    more = missed(rows, whole, distinct, roots, similarity, shingle)
     if not more.isEmpty():
         roots = components(roots.select(F.col("v").alias("a"), F.col("root").alias("b")).union(more))
     return labelled(docs, distinct, roots).select("doc_id", "component_id")
 
 
+#: Numbers that a set's counts by beginning have, and bits of its occupied beginnings (powers of two).
+COUNTS, PLACES = 32, 2048
+
+
 def counted(sets: list[np.ndarray]) -> list[bytes]:
-    """How many of each set's shingles have each of 128 beginnings; nothing where a byte does not hold a count."""
-    owner = np.repeat(np.arange(len(sets)) << 7, [len(h) for h in sets])
-    counts = np.bincount(owner + (np.concatenate(sets) >> np.uint64(57)).astype(np.int64), minlength=len(sets) << 7).reshape(-1, 128)
+    """How many of each set's shingles have each of COUNTS beginnings; nothing where a byte does not hold a count."""
+    owner = np.repeat(np.arange(len(sets)) * COUNTS, [len(h) for h in sets])
+    begin = (np.concatenate(sets) >> np.uint64(65 - COUNTS.bit_length())).astype(np.int64)
+    counts = np.bincount(owner + begin, minlength=len(sets) * COUNTS).reshape(-1, COUNTS)
     return [c.astype(np.uint8).tobytes() if c.max() < 256 else b"" for c in counts]
 
 
-def most_shared(a: list[bytes], b: list[bytes]) -> np.ndarray:
-    """What two sets can have in common at most by their counts; -1 where these say nothing."""
-    out = np.full(len(a), -1, np.int64)
+def occupied(sets: list[np.ndarray]) -> list[bytes]:
+    """A bit for each of PLACES beginnings that any of a set's shingles has."""
+    bits = np.zeros((len(sets), PLACES), bool)
+    bits[np.repeat(np.arange(len(sets)), [len(h) for h in sets]), (np.concatenate(sets) >> np.uint64(65 - PLACES.bit_length())).astype(np.int64)] = True
+    return [b.tobytes() for b in np.packbits(bits, axis=1)]
+
+
+def most_by_counts(a: list[bytes], n_a: np.ndarray, b: list[bytes], n_b: np.ndarray) -> np.ndarray:
+    """What two sets can have in common at most: the lesser count of each beginning."""
+    out = np.minimum(n_a, n_b)
     known = np.array([i for i, (x, y) in enumerate(zip(a, b)) if x and y], np.int64)
     if len(known):
-        x, y = (np.frombuffer(b"".join(side[i] for i in known), np.uint8).reshape(-1, 128) for side in (a, b))
+        x, y = (np.frombuffer(b"".join(side[i] for i in known), np.uint8).reshape(-1, COUNTS) for side in (a, b))
         out[known] = np.minimum(x, y).sum(axis=1, dtype=np.int64)
     return out
 
 
+def most_by_bits(a: list[bytes], n_a: np.ndarray, b: list[bytes], n_b: np.ndarray) -> np.ndarray:
+    """The same: a beginning that only one set has holds at least one shingle that the other lacks."""
+    x, y = (np.frombuffer(b"".join(side), np.uint64).reshape(-1, PLACES // 64) for side in (a, b))
+    alone = [np.bitwise_count(v & ~w).sum(axis=1, dtype=np.int64) for v, w in ((x, y), (y, x))]
+    return np.minimum(n_a - alone[0], n_b - alone[1])
+
+
+def first_shingles(sets: list[np.ndarray], t: float, common: np.ndarray, rank: np.ndarray) -> pa.Array:
+    """Of each set the first n - ceil(t n) + 1 shingles in an order all sets share: by value, and those in ``common`` (ascending) last, by rank."""
+    sizes = np.array([len(h) for h in sets], np.int64)
+    every, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), sizes)
+    last = np.zeros(len(every), np.int64)
+    if len(common):
+        where = np.minimum(np.searchsorted(common, every), len(common) - 1)
+        last = np.where(common[where] == every, len(common) - rank[where], 0)
+    order = np.lexsort((every, last, owner))
+    take = np.where(sizes > 0, sizes - np.ceil(t * sizes - EPS).astype(np.int64) + 1, 0)
+    place = np.arange(len(every)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    kept = every[order][place < np.repeat(take, sizes)]
+    return pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(take)]).astype(np.int32), pa.array(kept.view(np.int64)))
+
+
+EPS = 1e-9
 #: One in so many documents is counted to find shingles that many share, and how many of those make one; only the order of shingles depends on it.
 COUNTED, COMMON, LISTED = 16, 8, 1 << 16
 
 
-def common_shingles(whole: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+def common_shingles(rows: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
     """Shingles that many documents share, ascending, and the rank of each (0 the most common)."""
-    each = whole.filter(F.pmod("at", F.lit(COUNTED)) == 0).select(F.explode("shingles").alias("h"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for t in batch.column(0):
+                yield pa.RecordBatch.from_arrays([pa.array(np.unique(shingle_hashes(t.as_py(), shingle)).view(np.int64))], ["h"])
+
+    each = rows.filter(F.pmod(F.xxhash64("text"), F.lit(COUNTED)) == 0).select("text").mapInArrow(run, "h long")
     top = each.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= COMMON).orderBy(F.desc("n"), "h").limit(LISTED).collect()
     h = np.array([r.h for r in top], np.int64).view(np.uint64)
     order = np.argsort(h)
     return h[order], order
 
 
-def missed(whole: DataFrame, distinct: DataFrame, roots: DataFrame, similarity: float) -> DataFrame:
+def missed(rows: DataFrame, whole: DataFrame, distinct: DataFrame, roots: DataFrame, similarity: float, shingle: int) -> DataFrame:
     """Rows (a, b): fingerprints of documents in different groups whose shingle sets have the similarity; none is left out.
 
-    Shingles stand in one order for all documents, common ones last.  The first n - ceil(similarity n) + 1 of two sets in reach
-    have one in common, and at the first in common sizes and places leave room for the overlap.  Pairs whose counts by beginning
-    leave room too are compared by their whole sets.  whole: fp, shingles, at; distinct: fp and its first at; roots: (v, root).
+    The first shingles (``first_shingles``) of two sets in reach have one in common, and at the first in common sizes and
+    places leave room for the overlap.  Pairs for which counts and occupied beginnings leave room too are compared by their
+    whole sets, made anew from their texts.  rows: doc_id, text; whole: a row each, with its place ``at``; distinct: fp
+    and its first at; roots: (v, root).
     """
-    t, eps = similarity, 1e-9
-    common, rank = common_shingles(whole)
-
-    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for begin in range(0, batch.num_rows, 1024):
-                part = batch.slice(begin, 1024)
-                sets = part.column(2).flatten().to_numpy().view(np.uint64)
-                sizes = np.asarray(part.column(2).value_lengths()).astype(np.int64)
-                owner = np.repeat(np.arange(len(sizes)), sizes)
-                last = np.zeros(len(sets), np.int64)
-                if len(common):
-                    where = np.minimum(np.searchsorted(common, sets), len(common) - 1)
-                    last = np.where(common[where] == sets, len(common) - rank[where], 0)
-                order = np.lexsort((sets, last, owner))
-                place = np.arange(len(sets)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-                keep = place < np.repeat(sizes - np.ceil(t * sizes - eps).astype(np.int64) + 1, sizes)
-                own = owner[order][keep]
-                columns = [sets[order][keep].view(np.int64), part.column(0).to_numpy()[own], part.column(1).to_numpy()[own], sizes[own].astype(np.int32), place[keep].astype(np.int32)]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["h", "at", "root", "n", "place"])
+    t, eps = similarity, EPS
 
     def pairs_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for at, root, n, place, h in grouped(batches, 1):
@@ -467,22 +492,33 @@ def missed(whole: DataFrame, distinct: DataFrame, roots: DataFrame, similarity:
 
     tops = distinct.join(roots, distinct.fp == roots.v).groupBy("root").agg(F.min("first").alias("top"))
     linked = broadcast_if_small(checkpointed(roots.join(tops, "root").select(F.col("v").alias("fp"), "top")))
-    placed = whole.join(linked, "fp", "left").select("at", F.coalesce("top", "at").alias("root"), "shingles")
-    dealt = placed.mapInArrow(first, "h long, at long, root long, n int, place int").select("at", "root", "n", "place", "h")
-    met = dealt.repartition("h").sortWithinPartitions("h").mapInArrow(pairs_of, "a long, b long")
+    placed = whole.select("fp", "at", "n", "first").join(linked, "fp", "left").select("at", F.coalesce("top", "at").alias("root"), "n", F.posexplode("first").alias("place", "h"))
+    met = placed.repartition("h").sortWithinPartitions("h").mapInArrow(pairs_of, "a long, b long").distinct()
 
-    def roomy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def roomy(pairs: DataFrame, column: str, most: Callable) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                if batch.num_rows:
+                    n_a, n_b = (np.asarray(batch.column(k)).astype(np.int64) for k in (3, 5))
+                    room = most(batch.column(2).to_pylist(), n_a, batch.column(4).to_pylist(), n_b)
+                    yield batch.select([0, 1]).filter(pa.array(room >= t / (1 + t) * (n_a + n_b) - eps))
+
+        a, b = (whole.select(F.col("at").alias(x), F.col(column).alias(f"x_{x}"), F.col("n").alias(f"n_{x}")) for x in "ab")
+        both = pairs.join(a, "a").join(b, "b").select("a", "b", "x_a", "n_a", "x_b", "n_b")
+        return checkpointed(both.mapInArrow(run, "a long, b long"))
+
+    met = roomy(roomy(met, "counts", most_by_counts), "bits", most_by_bits)
+    sides = checkpointed(whole.join(broadcast_if_small(checkpointed(met.select(F.col("a").alias("at")).union(met.select("b")).distinct())), "at").select(F.col("doc_id").alias("id"), "at", "fp"))
+
+    def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            most = most_shared(batch.column(2).to_pylist(), batch.column(4).to_pylist())
-            both = np.asarray(batch.column(3)).astype(np.int64) + np.asarray(batch.column(5))
-            yield batch.select([0, 1]).filter(pa.array((most < 0) | (most >= t / (1 + t) * both - eps)))
-
-    known = whole.select("at", "counts", F.size("shingles").alias("n"))
-    a, b = (known.select(F.col("at").alias(x), F.col("counts").alias(f"counts_{x}"), F.col("n").alias(f"n_{x}")) for x in "ab")
-    pairs = met.distinct().join(a, "a").join(b, "b").select("a", "b", "counts_a", "n_a", "counts_b", "n_b")
-    met = checkpointed(pairs.mapInArrow(roomy, "a long, b long"))
-    sides = checkpointed(met.select(F.col("a").alias("at")).union(met.select("b")).distinct())
-    sets = checkpointed(whole.join(broadcast_if_small(sides), "at", "left_semi").select("at", "fp", "shingles"))
+            for at, fp, text in zip(*(c.to_pylist() for c in batch.columns)):
+                h = np.unique(shingle_hashes(text, shingle))
+                if wide_bits(h) == fp:  # an id may stand on several texts
+                    yield pa.RecordBatch.from_arrays([pa.array([at]), pa.array([fp], pa.binary()), pa.array([h.view(np.int64)], pa.list_(pa.int64()))], ["at", "fp", "shingles"])
+
+    texts = rows.join(broadcast_if_small(sides), F.col("doc_id").eqNullSafe(F.col("id"))).select("at", "fp", "text")
+    sets = checkpointed(texts.mapInArrow(again, "at long, fp binary, shingles array<long>"))
     a, b = (sets.select(F.col("at").alias(x), F.col("fp").alias(f"fp_{x}"), F.col("shingles").alias(f"set_{x}")) for x in "ab")
     both = met.join(a, "a").join(b, "b").withColumn("shared", F.size(F.array_intersect("set_a", "set_b")))
     enough = F.col("shared") >= t * (F.size("set_a") + F.size("set_b") - F.col("shared")) - eps
