@@ -65,3 +65,13 @@ def test_gram_from_rotated_beyond_64_bits(spark, rich):
 
 def test_exact_recovery_beyond_64_bits(spark, rich):
     assert engine.exact_recovery_gap(spark, rich).first()[0] == 0
+
+
+ON_TABLES = ["adaptive_repetition"]
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_queries_read_their_table(spark, tmp_path, name):
+    """Each was a form over made-up numbers and did without a table."""
+    with pytest.raises(Exception):
+        engine.QUERIES[name](spark, str(tmp_path)).collect()
