@@ -67,7 +67,7 @@ def test_exact_recovery_beyond_64_bits(spark, rich):
     assert engine.exact_recovery_gap(spark, rich).first()[0] == 0
 
 
-ON_TABLES = ["adaptive_repetition", "comm_cost", "coordinate_bound", "gradient_error_bound", "hadamard_entry_table"]
+ON_TABLES = ["adaptive_repetition", "comm_cost", "coordinate_bound", "gradient_error_bound", "hadamard_entry_table", "key_bits"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
