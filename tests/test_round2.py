@@ -67,7 +67,7 @@ def test_exact_recovery_beyond_64_bits(spark, rich):
     assert engine.exact_recovery_gap(spark, rich).first()[0] == 0
 
 
-ON_TABLES = ["adaptive_repetition", "comm_cost", "coordinate_bound", "gradient_error_bound", "hadamard_entry_table", "key_bits", "op_counts", "optimal_decode_error", "property_matrix", "q_required", "repeat_probability"]
+ON_TABLES = ["adaptive_repetition", "comm_cost", "coordinate_bound", "gradient_error_bound", "hadamard_entry_table", "key_bits", "op_counts", "optimal_decode_error", "property_matrix", "q_required", "repeat_probability", "repetition_code"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
