@@ -3,10 +3,12 @@
 import datetime as dt
 
 import duckdb
+import numpy as np
 import pytest
 
 from rotagrad import lane_queries as lanes
 from rotagrad import queries as engine
+from rotagrad.operators import rotation
 from test_queries import canonical
 
 
@@ -75,3 +77,23 @@ def test_queries_read_their_table(spark, tmp_path, name):
     """Each was a form over made-up numbers and did without a table."""
     with pytest.raises(Exception):
         engine.QUERIES[name](spark, str(tmp_path)).collect()
+
+
+@pytest.mark.parametrize("kind", ["gaussian", "rademacher"])
+def test_tall_projections_are_made_in_many_tasks(spark, kind):
+    n = rotation.DENSE_LIMIT + 100
+    x = np.random.default_rng(1).standard_normal((n, 3))
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "row_id bigint, v array<double>")
+    out = rotation.Dense("k", kind).apply(rows, n, 3)
+    got = {r.row_id: r.v for r in out.collect()}
+    assert len(got) == n and np.allclose([got[i] for i in range(n)], rotation.Dense("k", kind).product(x, False))
+    assert out.rdd.mapPartitions(lambda part: [any(True for _ in part)]).filter(bool).count() > 1
+
+
+def test_groups_of_reflections_are_made_ahead(monkeypatch):
+    monkeypatch.setattr(rotation, "DENSE_LIMIT", 8)
+    monkeypatch.setattr(rotation, "PANEL", 1000)
+    r, x = rotation.Dense("k"), np.random.default_rng(1).standard_normal((150, 3))
+    whole = r.product(x, False)
+    monkeypatch.setattr(rotation, "AHEAD", 1)
+    assert (r.product(x, False) == whole).all() and np.allclose(r.product(whole, True), x)
