@@ -24,6 +24,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -72,20 +73,64 @@ def edges(word: str, index: dict[str, int], unknown: int, longest: int) -> Itera
                 break
 
 
+class Trie:
+    """The strings of ``with_prefixes`` as states, to walk from many places at once."""
+
+    def __init__(self, index: dict[str, int]):
+        state = {"": 0} | {s: i for i, s in enumerate(index, 1)}
+        steps = np.array([state[s[:-1]] << 21 | ord(s[-1]) for s in index], np.int64)
+        order = np.argsort(steps)
+        #: Parent and code point of each step in order, a bar above all, and where each leads.
+        self.steps, self.to = np.append(steps[order], np.iinfo(np.int64).max), np.append(order + 1, -1).astype(np.int32)
+        self.piece = np.array([PREFIX, *index.values()], np.int32)
+        self.inner = np.zeros(len(self.piece), bool)
+        self.inner[steps >> 21] = True
+
+    def step(self, state: np.ndarray, code: np.ndarray) -> np.ndarray:
+        """The states after one more character; -1 where no piece begins so."""
+        key = state.astype(np.int64) << 21 | code
+        at = np.searchsorted(self.steps, key)
+        return np.where(self.steps[at] == key, self.to[at], -1)
+
+    def edges(self, words: list[str], unknown: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """What ``edges`` gives for each word, as arrays word, start, end, piece; of one word and end, starts rise."""
+        lengths = np.fromiter(map(len, words), np.int64, len(words))
+        code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+        word = np.repeat(np.arange(len(words)), lengths)
+        begin = np.cumsum(lengths) - lengths
+        last, own = (begin + lengths)[word], np.arange(len(code))
+        state, size, out = np.zeros(len(code), np.int32), 0, []
+        while len(own):
+            state, size = self.step(state, code[own + size]), size + 1
+            piece = np.where(state >= 0, self.piece[state], NO_PIECE)
+            use = piece >= 0 if size > 1 else np.ones(len(own), bool)
+            out.append((own[use], size, np.where(piece[use] >= 0, piece[use], unknown)))
+            on = (state >= 0) & self.inner[state] & (own + size < last[own])
+            own, state = own[on], state[on]
+        at = np.concatenate([np.zeros(0, np.int64), *(x for x, _, _ in out[::-1])])
+        size = np.repeat(np.array([n for _, n, _ in out[::-1]], np.int64), [len(x) for x, _, _ in out[::-1]])
+        w = word[at]
+        start = at - begin[w]
+        return w, start, start + size, np.concatenate([np.zeros(0, np.int64), *(x for _, _, x in out[::-1])])
+
+
 class Lattices:
     """All segmentations of many words of at most ``LONG`` characters: edges from start to end, grouped by end."""
 
-    def __init__(self, words: list[str], index: dict[str, int], unknown: int):
-        """index: as ``with_prefixes`` makes it; unknown: the number for characters without a piece."""
-        self.n, longest = len(words), max(map(len, index), default=1)
-        flat = [(w, *e) for w, word in enumerate(words) for e in edges(word, index, unknown, longest)]
-        self.lengths = np.fromiter(map(len, words), np.int64, len(words))
-        self.w, self.start, self.end, self.piece = np.array(flat, np.int64).reshape(-1, 4).T.copy()
-        self.scale = SCALE ** (self.end - self.start)
+    def __init__(self, words: list[str], index: dict[str, int] | Trie, unknown: int):
+        """index: as ``with_prefixes`` makes it, or its trie; unknown: the number for characters without a piece."""
+        trie = index if isinstance(index, Trie) else Trie(index)
+        self.n, self.lengths = len(words), np.fromiter(map(len, words), np.int64, len(words))
+        self.w, self.start, self.end, self.piece = trie.edges(words, unknown)
         self.deep = int(self.lengths.max(initial=0))
-        by_end, by_start = np.argsort(self.end, kind="stable"), np.argsort(self.start, kind="stable")
-        self.at_end = np.split(by_end, np.searchsorted(self.end[by_end], np.arange(1, self.deep + 1))[1:]) if self.deep else []
-        self.at_start = np.split(by_start, np.searchsorted(self.start[by_start], np.arange(self.deep))[1:]) if self.deep else []
+        self.scale = (SCALE ** np.arange(self.deep + 1))[self.end - self.start]
+        by_end = np.argsort(self.end.astype(np.int16), kind="stable")
+        self.at_end = np.split(by_end, np.cumsum(np.bincount(self.end, minlength=self.deep + 1)[1:-1])) if self.deep else []
+
+    @cached_property
+    def at_start(self) -> list[np.ndarray]:
+        by_start = np.argsort(self.start.astype(np.int16), kind="stable")
+        return np.split(by_start, np.cumsum(np.bincount(self.start, minlength=self.deep)[:-1])) if self.deep else []
 
     def forward(self, p: np.ndarray) -> np.ndarray:
         """Sums over segmentations of each prefix, times SCALE per character: words x positions."""
@@ -155,12 +200,13 @@ class Model:
     def fit(cls, counts: list[tuple[str, str, int]], pieces: list[str], rounds: int = 4, smooth: float = 0.05) -> Model:
         """counts: (language, word, occurrences)."""
         index = with_prefixes(pieces)
+        trie = Trie(index)
         languages = sorted({c[0] for c in counts})
         out = np.zeros((len(languages), len(pieces) + 1))
         for k, lang in enumerate(languages):
             own = sorted((MARK + w, n) for c, w, n in counts if c == lang)
             short = [x for x in own if len(x[0]) <= LONG]
-            lattices, n = Lattices([w for w, _ in short], index, len(pieces)), np.array([c for _, c in short], float)
+            lattices, n = Lattices([w for w, _ in short], trie, len(pieces)), np.array([c for _, c in short], float)
             far = [(LongLattice(w, index, len(pieces)), c) for w, c in own if len(w) > LONG]
             p = np.full(len(pieces) + 1, 1 / len(pieces))
             p[-1] = UNKNOWN_SHARE
@@ -178,6 +224,7 @@ class Scorer:
 
     def __init__(self, model: Model):
         self.model, self.index = model, with_prefixes(model.pieces)
+        self.trie = Trie(self.index)
         self.clear()
 
     def clear(self) -> None:
@@ -190,7 +237,7 @@ class Scorer:
         p, unknown = self.model.probabilities, len(self.model.pieces)
         new = np.empty((len(words), len(p)))
         short = [k for k, w in enumerate(marked) if len(w) <= LONG]
-        lattices = Lattices([marked[k] for k in short], self.index, unknown)
+        lattices = Lattices([marked[k] for k in short], self.trie, unknown)
         for lang, row in enumerate(p):
             new[short, lang] = lattices.logs(row)
         for k, w in enumerate(marked):
