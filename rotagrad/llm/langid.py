@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rotagrad.llm.common import one_per_worker
+from rotagrad.llm.common import freed, in_slices, one_per_worker
 
 WORDS = re.compile(r"[^\W\d_]+")
 #: Characters of a word (with its mark) up to which words are scored in batches.
@@ -306,13 +306,14 @@ def identify(df: DataFrame, model: Model, text_col: str = "text", lang_out: str
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = one_per_worker(tag, lambda: Scorer(shared.value))
         for batch in batches:
-            lang, score = scorer.predict(batch.column(where).to_pylist())
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())], names)
+            for part in in_slices(batch):
+                lang, score = scorer.predict(part.column(where).to_pylist())
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())], names)
 
     from pyspark.sql import types as T
 
     schema = T.StructType([*df.schema.fields, T.StructField(lang_out, T.StringType()), T.StructField(score_out, T.DoubleType())])
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(freed(run, model=True), schema)
 
 
 def letters(text: Column) -> Column:

@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rotagrad.llm.common import broadcast_if_small, checkpointed
+from rotagrad.llm.common import broadcast_if_small, checkpointed, freed
 
 SEED = 42
 TILE = 1024
@@ -119,7 +119,7 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             fps = [fingerprint(t.as_py(), shingle) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64())], ["doc_id", "fp"])
 
-    return rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp long")
+    return rows.mapInArrow(freed(run), f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp long")
 
 
 def stretches(count: int) -> list[int]:
@@ -266,7 +266,7 @@ def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
                 out_b.append(np.minimum(own[child], own[parent]))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out_a)), pa.array(np.concatenate(out_b))], ["a", "b"])
 
-    return dealt.mapInArrow(run, "a long, b long").distinct()
+    return dealt.mapInArrow(freed(run), "a long, b long").distinct()
 
 
 def agreement(similarity: float) -> float:
@@ -317,7 +317,7 @@ def wide_links(distinct: DataFrame, radius: int, width: int, tables: int) -> Dat
         return run
 
     found = "a binary, b binary, k int, bits long"
-    dealt = distinct.select("fp").mapInArrow(deal, "fp binary, k int, bits long")
+    dealt = distinct.select("fp").mapInArrow(freed(deal), "fp binary, k int, bits long")
     count = dealt.groupBy("k", "bits").agg(F.count(F.lit(1)).alias("n"))
     hot = checkpointed(count.filter(F.col("n") > SPLIT))
 
@@ -325,13 +325,13 @@ def wide_links(distinct: DataFrame, radius: int, width: int, tables: int) -> Dat
         return rows.repartition("k", "bits", "salt").sortWithinPartitions("k", "bits", "salt", "fp")
 
     if hot.isEmpty():
-        return together(dealt.withColumn("salt", F.lit(0))).mapInArrow(compare(False), found).select("a", "b").distinct()
+        return together(dealt.withColumn("salt", F.lit(0))).mapInArrow(freed(compare(False)), found).select("a", "b").distinct()
     salted = dealt.join(hot, ["k", "bits"], "left")
     cold = salted.filter("n is null").select("fp", "k", "bits", F.lit(0).alias("salt"))
     warm = salted.filter("n is not null").select("fp", "k", "bits", F.pmod(F.xxhash64("fp"), F.ceil(F.col("n") / SPLIT)).cast("int").alias("salt"))
-    first = checkpointed(together(warm).mapInArrow(compare(True), found))
+    first = checkpointed(together(warm).mapInArrow(freed(compare(True)), found))
     again = first.filter("k >= 0").select(F.col("a").alias("fp"), "k", "bits", F.lit(0).alias("salt"))
-    rest = together(cold.union(again)).mapInArrow(compare(False), found)
+    rest = together(cold.union(again)).mapInArrow(freed(compare(False)), found)
     return rest.select("a", "b").union(first.filter("k < 0").select("a", "b")).distinct()
 
 
@@ -354,7 +354,7 @@ def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shing
                 sizes = pa.array([len(h) for h in sets], pa.int32())
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, pa.binary()) for c in columns), sizes, first_shingles(sets, similarity, common, rank)], ["doc_id", "fp", "counts", "bits", "n", "first"])
 
-    whole = checkpointed(rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary, counts binary, bits binary, n int, first array<long>"))
+    whole = checkpointed(rows.mapInArrow(freed(run), f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, fp binary, counts binary, bits binary, n int, first array<long>"))
     whole = whole.withColumn("at", F.monotonically_increasing_id())
     docs = checkpointed(whole.select("doc_id", "fp", "at"))
     distinct = checkpointed(docs.groupBy("fp").agg(F.min("doc_id").alias("least"), F.min("at").alias("first")))
@@ -434,7 +434,7 @@ def common_shingles(rows: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarr
             for t in batch.column(0):
                 yield pa.RecordBatch.from_arrays([pa.array(np.unique(shingle_hashes(t.as_py(), shingle)).view(np.int64))], ["h"])
 
-    each = rows.filter(F.pmod(F.xxhash64("text"), F.lit(COUNTED)) == 0).select("text").mapInArrow(run, "h long")
+    each = rows.filter(F.pmod(F.xxhash64("text"), F.lit(COUNTED)) == 0).select("text").mapInArrow(freed(run), "h long")
     top = each.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= COMMON).orderBy(F.desc("n"), "h").limit(LISTED).collect()
     h = np.array([r.h for r in top], np.int64).view(np.uint64)
     order = np.argsort(h)
@@ -493,7 +493,7 @@ def missed(rows: DataFrame, whole: DataFrame, distinct: DataFrame, roots: DataFr
     tops = distinct.join(roots, distinct.fp == roots.v).groupBy("root").agg(F.min("first").alias("top"))
     linked = broadcast_if_small(checkpointed(roots.join(tops, "root").select(F.col("v").alias("fp"), "top")))
     placed = whole.select("fp", "at", "n", "first").join(linked, "fp", "left").select("at", F.coalesce("top", "at").alias("root"), "n", F.posexplode("first").alias("place", "h"))
-    met = placed.repartition("h").sortWithinPartitions("h").mapInArrow(pairs_of, "a long, b long").distinct()
+    met = placed.repartition("h").sortWithinPartitions("h").mapInArrow(freed(pairs_of), "a long, b long").distinct()
 
     def roomy(pairs: DataFrame, column: str, most: Callable) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -505,7 +505,7 @@ def missed(rows: DataFrame, whole: DataFrame, distinct: DataFrame, roots: DataFr
 
         a, b = (whole.select(F.col("at").alias(x), F.col(column).alias(f"x_{x}"), F.col("n").alias(f"n_{x}")) for x in "ab")
         both = pairs.join(a, "a").join(b, "b").select("a", "b", "x_a", "n_a", "x_b", "n_b")
-        return checkpointed(both.mapInArrow(run, "a long, b long"))
+        return checkpointed(both.mapInArrow(freed(run), "a long, b long"))
 
     met = roomy(roomy(met, "counts", most_by_counts), "bits", most_by_bits)
     sides = checkpointed(whole.join(broadcast_if_small(checkpointed(met.select(F.col("a").alias("at")).union(met.select("b")).distinct())), "at").select(F.col("doc_id").alias("id"), "at", "fp"))
@@ -518,7 +518,7 @@ def missed(rows: DataFrame, whole: DataFrame, distinct: DataFrame, roots: DataFr
                     yield pa.RecordBatch.from_arrays([pa.array([at]), pa.array([fp], pa.binary()), pa.array([h.view(np.int64)], pa.list_(pa.int64()))], ["at", "fp", "shingles"])
 
     texts = rows.join(broadcast_if_small(sides), F.col("doc_id").eqNullSafe(F.col("id"))).select("at", "fp", "text")
-    sets = checkpointed(texts.mapInArrow(again, "at long, fp binary, shingles array<long>"))
+    sets = checkpointed(texts.mapInArrow(freed(again), "at long, fp binary, shingles array<long>"))
     a, b = (sets.select(F.col("at").alias(x), F.col("fp").alias(f"fp_{x}"), F.col("shingles").alias(f"set_{x}")) for x in "ab")
     both = met.join(a, "a").join(b, "b").withColumn("shared", F.size(F.array_intersect("set_a", "set_b")))
     enough = F.col("shared") >= t * (F.size("set_a") + F.size("set_b") - F.col("shared")) - eps
