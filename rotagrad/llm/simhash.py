@@ -22,7 +22,8 @@ either, so documents of different groups that do are compared by their whole shi
 
 A bucket gives only a spanning forest of its links, as trees of fan-out ``FAN``, so that no
 vertex has many.  Components come from repeated hooking to the smallest neighbour and pointer
-jumping on DataFrames, each round checkpointed; neither links nor fingerprints reach the driver.
+jumping on DataFrames, each round checkpointed and over the links that the last one left between
+different trees; neither links nor fingerprints reach the driver.
 
 Defined results: null and blank texts have fingerprint zero and are linked like any
 other; repeated rows link with each other; a null id is never the smallest; an empty
@@ -40,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rotagrad.llm.common import broadcast_if_small, checkpointed, freed
+from rotagrad.llm.common import broadcast_if_small, checkpointed, drop_shuffles, freed
 
 SEED = 42
 TILE = 1024
@@ -362,11 +363,11 @@ def similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shing
     radius = int(bits * (1 - p) + math.sqrt(bits * p * (1 - p)))
     width = max(10, (distinct.count() >> 4).bit_length())
     tables = math.ceil(math.log(1 - recall) / math.log(1 - p**width))
-    edges = checkpointed(wide_links(distinct, radius, width, tables))
-    roots = components(edges)
+    roots = components(wide_links(distinct, radius, width, tables))
+    drop_shuffles(df.sparkSession)  # the buckets' go before the exact pairs' come
     more = missed(rows, whole, distinct, roots, similarity, shingle)
     if not more.isEmpty():
-        roots = components(roots.select(F.col("v").alias("a"), F.col("root").alias("b")).union(more))
+        roots = followed(roots, components(contracted(more, roots)))
     return labelled(docs, distinct, roots).select("doc_id", "component_id")
 
 
@@ -532,22 +533,49 @@ def parts(mask: int, count: int) -> list[int]:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """Rows (v, root) for every vertex of edges (a, b): root is the smallest vertex it reaches."""
-    both = edges.select(F.col("a").alias("v"), F.col("b").alias("u")).union(edges.select(F.col("b"), F.col("a")))
-    both = checkpointed(both.filter("v != u"))
-    roots = checkpointed(both.groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("root")))
+    """Rows (v, root) for every vertex of edges (a, b): root is the smallest vertex it reaches.
+
+    Every vertex hooks to its smallest neighbour, trees are flattened, and only links between different trees go on, as one
+    link between their tops: in two rounds at least half of the vertices go, so all rounds read little more than the first.
+    """
+    edges = settled(edges)
+    ends = edges.select(F.col("a").alias("v"), F.col("b").alias("u")).union(edges.select("b", "a"))
+    up = flattened(ends.filter("v != u").groupBy("v").agg(F.least(F.min("u"), F.col("v")).alias("root")))
+    rest = settled(contracted(edges, up))
+    return up if rest.isEmpty() else followed(up, components(rest))
+
+
+def settled(df: DataFrame) -> DataFrame:
+    """A checkpoint without the size that Spark foresees: a join's is the product of its sides', whose digits would double
+    with every join of every round until planning takes longer than the joins."""
+    done, spark = checkpointed(df)._jdf, df.sparkSession
+    return DataFrame(spark._jsparkSession.createDataFrame(done.toJavaRDD(), done.schema()), spark)
+
+
+def flattened(up: DataFrame) -> DataFrame:
+    """Rows (v, root) of trees in which every root has a row too, with the tops of the trees as roots."""
+    up = settled(up)
     while True:
-        # Smallest root in the neighbourhood, then hook the old root under it, then jump.
-        seen = both.join(roots.select(F.col("v").alias("u"), F.col("root").alias("r")), "u").groupBy("v").agg(F.min("r").alias("r"))
-        best = roots.join(seen, "v").select("v", "root", F.least("root", "r").alias("r"))
-        hooks = best.groupBy("root").agg(F.min("r").alias("r")).select(F.col("root").alias("h"), F.col("r").alias("to"))
-        hooked = best.join(hooks, F.col("root") == F.col("h")).select("v", F.least("r", "to").alias("r1"), "root")
-        jump = roots.select(F.col("v").alias("j"), F.col("root").alias("to"))
-        new = checkpointed(hooked.join(jump, F.col("r1") == F.col("j"), "left").select("v", F.least("r1", F.coalesce("to", "r1")).alias("root"), (F.least("r1", F.coalesce("to", "r1")) != F.col("root")).alias("moved")))
-        done = new.filter("moved").isEmpty()
-        roots = new.select("v", "root")
-        if done:
-            return roots
+        over = up.filter("v != root").select(F.col("v").alias("j"), F.col("root").alias("to"))
+        new = settled(up.join(over, F.col("root") == F.col("j"), "left").select("v", F.coalesce("to", "root").alias("root"), F.col("to").isNotNull().alias("moved")))
+        up = new.select("v", "root")
+        if new.filter("moved").isEmpty():
+            return up
+
+
+def contracted(edges: DataFrame, roots: DataFrame) -> DataFrame:
+    """The different links (a > b) that edges (a, b) make between roots; a vertex that ``roots`` lacks is its own."""
+    a, b = (roots.select(F.col("v").alias(f"v_{x}"), F.col("root").alias(f"root_{x}")) for x in "ab")
+    some = edges.join(a, F.col("a") == F.col("v_a"), "left").join(b, F.col("b") == F.col("v_b"), "left")
+    some = some.select(F.coalesce("root_a", "a").alias("a"), F.coalesce("root_b", "b").alias("b")).filter("a != b")
+    return some.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+
+
+def followed(roots: DataFrame, more: DataFrame) -> DataFrame:
+    """roots (v, root) whose roots have the roots that ``more`` (v, root) gives them; vertices that only ``more`` has are added."""
+    over = more.select(F.col("v").alias("j"), F.col("root").alias("to"))
+    moved = roots.join(over, F.col("root") == F.col("j"), "left").select("v", F.coalesce("to", "root").alias("root"))
+    return settled(moved.union(more.join(roots.select("v"), "v", "left_anti")))
 
 
 def labelled(docs: DataFrame, distinct: DataFrame, roots: DataFrame) -> DataFrame:
