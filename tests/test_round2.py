@@ -97,3 +97,24 @@ def test_groups_of_reflections_are_made_ahead(monkeypatch):
     whole = r.product(x, False)
     monkeypatch.setattr(rotation, "AHEAD", 1)
     assert (r.product(x, False) == whole).all() and np.allclose(r.product(whole, True), x)
+
+
+@pytest.mark.parametrize("name", ["sketched_descent", "residual_cube", "measured_properties"])
+def test_rotations_of_a_comparison_share_one_matrix(spark, sf, monkeypatch, name):
+    """Each rotation made the hashed matrix anew, in one task for a small file."""
+    made = []
+    real = engine.src.part_heavy
+    monkeypatch.setattr(engine.src, "part_heavy", lambda *a, **k: made.append(real(*a, **k)) or made[-1])
+    assert engine.QUERIES[name](spark, sf).count() > 0
+    assert len(made) == 1 and made[0].rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
+
+
+@pytest.mark.parametrize("n", [2, 65, 150, 1100])
+def test_reflections_in_groups_and_pieces(monkeypatch, n):
+    """Groups smaller than the matrix, several pieces each, against the explicit matrix."""
+    monkeypatch.setattr(rotation, "HELD", 16 * n)
+    r = rotation.Dense("k", how="reflections")
+    m = r.product(np.eye(n), False)
+    assert np.allclose(m @ m.T, np.eye(n)) and np.allclose(r.product(np.eye(n), True), m.T)
+    x = np.random.default_rng(1).standard_normal((n, 3))
+    assert np.allclose(r.product(x, False), m @ x)
